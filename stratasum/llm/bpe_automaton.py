@@ -11,7 +11,8 @@ replays those gadgets that touch one arc, newest first.
 Each prefix of a word has exactly one path, so reading a word byte by byte needs, for each prefix,
 only the label of the last arc: the one token that ends there whose arc leaves the state reached
 before it. The transition table (set of open trie nodes with their states, byte) -> next set is
-filled when first needed and kept while it is small.
+filled when first needed and kept while it is small; states that differ only in arcs which no open
+node can still use are one.
 
 Defined results: null and empty texts have no tokens; any text, however long, is encoded whole;
 repeated rows give repeated results; other columns than doc_id and text are not read.
@@ -32,9 +33,11 @@ from pyspark.sql import DataFrame, SparkSession
 from .common import map_texts, table
 
 #: Words kept with their tokens in one Python worker; it starts anew when full.
-WORDS_KEPT = 150_000
+WORDS_KEPT = 200_000
 #: Entries of the transition table kept in one Python worker.
 STEPS_KEPT = 400_000
+#: States are told apart below a trie node by at most so many tokens; above that, by name.
+FEW = 24
 #: Below this code point the pattern's classes are the same in all versions of Unicode that are in use.
 SETTLED = 0x530
 
@@ -65,6 +68,13 @@ class TokenAutomaton:
                         self.ends.append(-1)
                     node = self.trie[node][byte]
                 self.ends[node] = token
+        self.below: list[tuple[int, ...] | None] = [()] * len(self.trie)
+        for node in range(len(self.trie) - 1, -1, -1):  # children have larger numbers
+            found = [(self.ends[child],) * (self.ends[child] >= 0) + (self.below[child] or ()) for child in self.trie[node].values()]
+            if any(self.below[child] is None for child in self.trie[node].values()) or sum(map(len, found)) > FEW:
+                self.below[node] = None
+            else:
+                self.below[node] = tuple(chain.from_iterable(found))
         self._arcs: dict[tuple[int, int], bool] = {}
         self._reset()
 
@@ -73,8 +83,9 @@ class TokenAutomaton:
         self._ids = {start: 0}
         self._sets = [start]
         self._last = [-1]
-        self._next: list[dict[int, int]] = [{}]
-        self._steps = 0
+        self._next: dict[int, int] = {}
+        self._same: dict[tuple[int, int], tuple[int, int] | None] = {}
+        self._first: dict[tuple[int, int], tuple[int, int]] = {}
 
     def has_arc(self, state: int, label: int) -> bool:
         """Whether the state reached by token `state` (-1: the start) has the arc `label` after all gadgets."""
@@ -101,15 +112,24 @@ class TokenAutomaton:
             else:
                 state, limit = s[2], s[0]  # the state is a copy, made before the loss
 
+    def _alike(self, state: int, node: int) -> tuple[int, int] | None:
+        """One name for all states that have the same arcs to the tokens below a trie node; none if they have no such arc."""
+        if (state, node) not in self._same:
+            mask = sum(1 << i for i, token in enumerate(self.below[node]) if self.has_arc(state, token))
+            self._same[state, node] = self._first.setdefault((node, mask), (state, node)) if mask else None
+        return self._same[state, node]
+
     def _step(self, at: int, byte: int) -> int:
         moved, last = [], -1
         for state, node in self._sets[at]:
             after = self.trie[node].get(byte)
             if after is not None:
-                moved.append((state, after))
                 token = self.ends[after]
                 if token >= 0 and last < 0 and self.has_arc(state, token):
                     last = token
+                pair = (state, after) if self.below[after] is None else self._alike(state, after)
+                if pair:
+                    moved.append(pair)
         if last >= 0:
             moved.append((last, 0))
         moved = tuple(moved)
@@ -118,18 +138,16 @@ class TokenAutomaton:
             found = self._ids[moved] = len(self._sets)
             self._sets.append(moved)
             self._last.append(last)
-            self._next.append({})
-        self._next[at][byte] = found
-        self._steps += 1
+        self._next[at << 8 | byte] = found
         return found
 
     def encode(self, word: bytes) -> tuple[int, ...]:
         """The tokens of one pre-split word."""
-        if self._steps > STEPS_KEPT:
+        if len(self._next) > STEPS_KEPT:
             self._reset()
         table, last, at, ends = self._next, self._last, 0, []
         for byte in word:
-            nxt = table[at].get(byte)
+            nxt = table.get(at << 8 | byte)
             at = self._step(at, byte) if nxt is None else nxt
             ends.append(last[at])
         out, i, labels = [], len(word), self.labels
