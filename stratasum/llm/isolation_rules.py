@@ -28,7 +28,9 @@ from .common import as_bytes, map_texts, table
 SYMBOLS = b"#*$%&|<>"
 #: Labelled rows to learn from, at most.
 LABEL_ROWS = 20_000
-TREES, TREE_ROWS = 200, 256
+TREES, TREE_ROWS, DEEPEST = 100, 256, 20
+#: Cuts are drawn from the range of a node's rows and so much on both sides, in spreads: what lies where no good row does is set apart at once.
+MARGIN = 1.0
 BASE = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 #: Statistics beyond the base.
 MORE = ("n_lines", "n_upper", "n_digits", "n_stops", "n_distinct")
@@ -91,7 +93,7 @@ class IsolationForest:
     def __init__(self, rows: np.ndarray, trees: int = TREES, tree_rows: int = TREE_ROWS, seed: int = 11):
         rng = np.random.default_rng(seed)
         self.sample = min(tree_rows, len(rows))
-        deepest = math.ceil(math.log2(max(2, self.sample)))
+        deepest = DEEPEST
         self.trees = [self._grow(rows[rng.choice(len(rows), self.sample, replace=False)], deepest, rng) for _ in range(trees)]
 
     @staticmethod
@@ -100,12 +102,11 @@ class IsolationForest:
         todo = [(0, rows, 0)]
         while todo:
             node, own, depth = todo.pop()
-            low, high = own.min(0), own.max(0)
-            open_ = np.flatnonzero(high > low)
-            if depth == deepest or len(own) < 2 or not len(open_):
+            if depth == deepest or len(own) < 2:
                 path[node] = depth + _mean_path(len(own))
                 continue
-            f = int(rng.choice(open_))
+            low, high = own.min(0) - MARGIN, own.max(0) + MARGIN
+            f = int(rng.integers(own.shape[1]))
             c = rng.uniform(low[f], high[f])
             under = own[:, f] <= c
             feature[node], cut[node], left[node] = f, c, len(feature)
@@ -139,7 +140,7 @@ class _Standard:
     def __init__(self, good: np.ndarray):
         self.middle = np.median(good, 0)
         spread = np.quantile(good, 0.95, 0) - np.quantile(good, 0.05, 0)
-        self.spread = np.maximum(spread, 1e-3)
+        self.spread = np.maximum(spread, 0.02)
 
     def __call__(self, rows: np.ndarray) -> np.ndarray:
         return np.arcsinh((rows - self.middle) / self.spread)
@@ -175,7 +176,7 @@ class Judge:
 
 
 #: A good row lost weighs as much as so many bad rows kept (as shares of their kinds).
-GOOD_WEIGHT = 5.0
+GOOD_WEIGHT = 10.0
 
 
 def base_failed(stats: np.ndarray) -> np.ndarray:
