@@ -21,6 +21,9 @@ counts as the empty text in the split. Score: the share of the winner's likeliho
 
 from __future__ import annotations
 
+import pickle
+import zlib
+
 import numpy as np
 import pyarrow as pa
 import regex
@@ -105,8 +108,17 @@ class LanguageModel:
     """The merged tree: `next[node, byte]` (a longer context, or that node's stop) and costs by node, byte class, language."""
 
     def __init__(self, texts: dict[str, list[bytes]], order: int = ORDER, least: int = LEAST_COUNT):
-        self.names, self.order = sorted(texts), order
-        counts = [_context_counts(texts[name], order, least) for name in self.names]
+        self._build(sorted(texts), order, [_context_counts(texts[name], order, least) for name in sorted(texts)])
+
+    def __getstate__(self) -> bytes:
+        """What is sent is the counts; each worker lays the costs out for itself."""
+        return zlib.compress(pickle.dumps((self.names, self.order, self.counts)), 6)
+
+    def __setstate__(self, state: bytes) -> None:
+        self._build(*pickle.loads(zlib.decompress(state)))
+
+    def _build(self, names: list[str], order: int, counts: list[dict]) -> None:
+        self.names, self.order, self.counts = names, order, counts
         nodes = sorted(set().union(*counts) if counts else {()}, key=lambda c: (len(c), c))
         number = {c: i for i, c in enumerate(nodes)}
         used = sorted({s for tree in counts for seen in tree.values() for s in seen})
