@@ -134,7 +134,7 @@ class LanguageModel:
             for c, i in number.items():
                 of[i] = row[c] if c in row else of[number[c[:-1]]]
             costs[:, :, k] = bits[of]
-        self.costs = costs.reshape(-1, len(self.names))
+        self.costs = costs.reshape(len(nodes) * self.kinds, len(self.names))
         # nodes from n on are stops: the walk has left the tree and stays where it was
         n = len(nodes)
         self.nodes = n
