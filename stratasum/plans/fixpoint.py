@@ -238,8 +238,9 @@ def stratified_min(arcs: DataFrame, source: int, bound: int) -> DataFrame:
     spark = arcs.sparkSession
     level = spark.createDataFrame([(source, 0.0)], "node bigint, cost double")
     levels = [level]
+    ends = arcs.select(F.col("src").alias("node"), "dst", "cost_of")
     for _ in range(bound):
-        level = level.join(arcs, level["node"] == arcs["src"]).select(arcs["dst"].alias("node"), (F.col("cost") + arcs["cost_of"]).alias("cost"))
+        level = level.join(ends, "node").select(F.col("dst").alias("node"), (F.col("cost") + F.col("cost_of")).alias("cost"))
         levels.append(level)
     return _least(reduce(DataFrame.unionByName, levels))
 

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-
-
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -411,7 +409,6 @@ def monotone_threshold(spark, sf_dir):
 # ---- Lloyd
 
 POINTS = "pts AS MATERIALIZED (SELECT p_partkey AS id, CAST(p_size * 20 AS DOUBLE) AS x, CAST(round((p_retailprice - 900) * 10) AS DOUBLE) AS y FROM part), first AS (SELECT row_number() OVER (ORDER BY id) - 1 AS c, x, y FROM (SELECT * FROM pts ORDER BY id LIMIT 10))"
-NEAREST = "(SELECT id, x, y, arg_min(c, d * 100 + c * 0.0) AS c FROM ({0}) GROUP BY ALL)"
 
 
 def _lloyd_sql(steps: int, tail: str, keep: bool = True) -> str:

@@ -61,7 +61,7 @@ def deduplicated(stream: DataFrame, key: str, delay: str) -> DataFrame:
     return stream.withWatermark("ts", delay).dropDuplicatesWithinWatermark([key])
 
 
-def precount_final(stream: DataFrame, by: str, sizes: DataFrame, timeout: str = "1 day") -> DataFrame:
+def precount_final(stream: DataFrame, by: str, sizes: DataFrame, timeout_s: int = 86_400) -> DataFrame:
     """grp, n, total, given as soon as a group has as many items as `sizes` (grp, size) says; its state is then dropped.
 
     sizes is a static table joined to the stream. Groups that never fill time out without a result.
@@ -82,7 +82,7 @@ def precount_final(stream: DataFrame, by: str, sizes: DataFrame, timeout: str =
             yield pd.DataFrame({"grp": [key[0]], "n": [n], "total": [total]})
         else:
             state.update((n, total))
-            state.setTimeoutDuration(timeout)
+            state.setTimeoutDuration(1000 * timeout_s)
 
     return joined.groupBy("grp").applyInPandasWithState(step, "grp string, n bigint, total bigint", "n bigint, total bigint", "append", GroupStateTimeout.ProcessingTimeTimeout)
 
