@@ -116,6 +116,7 @@ class LanguageModel:
 
     def __setstate__(self, state: bytes) -> None:
         self._build(*pickle.loads(zlib.decompress(state)))
+        self.counts = []
 
     def _build(self, names: list[str], order: int, counts: list[dict]) -> None:
         self.names, self.order, self.counts = names, order, counts
