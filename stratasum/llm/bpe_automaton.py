@@ -33,9 +33,9 @@ from pyspark.sql import DataFrame, SparkSession
 from .common import map_texts, table
 
 #: Words kept with their tokens in one Python worker; it starts anew when full.
-WORDS_KEPT = 60_000
+WORDS_KEPT = 100_000
 #: Entries of the transition table kept in one Python worker.
-STEPS_KEPT = 150_000
+STEPS_KEPT = 300_000
 #: States are told apart below a trie node by at most so many tokens; above that, by name.
 FEW = 24
 #: Below this code point the pattern's classes are the same in all versions of Unicode that are in use.
