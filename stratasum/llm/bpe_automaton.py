@@ -33,9 +33,9 @@ from pyspark.sql import DataFrame, SparkSession
 from .common import map_texts, table
 
 #: Words kept with their tokens in one Python worker; it starts anew when full.
-WORDS_KEPT = 100_000
+WORDS_KEPT = 200_000
 #: Entries of the transition table kept in one Python worker.
-STEPS_KEPT = 300_000
+STEPS_KEPT = 400_000
 #: States are told apart below a trie node by at most so many tokens; above that, by name.
 FEW = 24
 #: Below this code point the pattern's classes are the same in all versions of Unicode that are in use.
@@ -161,9 +161,9 @@ class TokenAutomaton:
 class _Words(dict):
     """Per word: number of tokens, decimal ids, bytes that its arcs emit, ids. The words of the last generation stay at hand."""
 
-    def __init__(self, automaton: TokenAutomaton):
+    def __init__(self, automaton: TokenAutomaton, most: int):
         super().__init__()
-        self.automaton = automaton
+        self.automaton, self.most = automaton, most
         self.before: dict = {}
 
     def __missing__(self, word: str) -> tuple[int, str, bytes, tuple[int, ...]]:
@@ -171,7 +171,7 @@ class _Words(dict):
         if out is None:
             ids = self.automaton.encode(word.encode())
             out = len(ids), ",".join(map(str, ids)), b"".join(map(self.automaton.labels.__getitem__, ids)), ids
-        if len(self) >= WORDS_KEPT:
+        if len(self) >= self.most:
             self.before = dict(self)
             self.clear()
         self[word] = out
@@ -204,7 +204,7 @@ class Tokenizer:
     path: a tokenizer file of the public JSON form with a byte-level BPE model.
     """
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, words_kept: int = WORDS_KEPT):
         import public_tokenizers
         from tokenizers.pre_tokenizers import ByteLevel
 
@@ -216,7 +216,7 @@ class Tokenizer:
         merges = [(vocab[a], vocab[b], vocab[a + b]) for a, b in pairs]
         self.added = {x["content"]: x["id"] for x in form["added_tokens"]}
         self.automaton = TokenAutomaton(labels, merges)
-        self.words = _Words(self.automaton)
+        self.words = _Words(self.automaton, words_kept)
         self.labels = dict(labels) | {i: s.encode() for s, i in self.added.items()}
         self._added = re.compile("(" + "|".join(map(re.escape, sorted(self.added, key=len, reverse=True))) + ")") if self.added else None
         self._settled = _settled_pattern(public_tokenizers.PATTERN)
@@ -251,9 +251,9 @@ class Tokenizer:
 
 
 @cache
-def tokenizer(path: str) -> Tokenizer:
+def tokenizer(path: str, words_kept: int = WORDS_KEPT) -> Tokenizer:
     """One for each Python worker."""
-    return Tokenizer(path)
+    return Tokenizer(path, words_kept)
 
 
 def default_path() -> str:
@@ -262,7 +262,7 @@ def default_path() -> str:
     return public_tokenizers.path("byte_bpe_50k.json")
 
 
-def encode(df: DataFrame, path: str | None = None, ids: bool = True) -> DataFrame:
+def encode(df: DataFrame, path: str | None = None, ids: bool = True, words_kept: int = WORDS_KEPT) -> DataFrame:
     """doc_id, n_tokens, ids_sha256, decoded_sha256 and, if `ids`, the array of ids, of each row of (doc_id, text).
 
     The vocabulary file must be at the same path on each executor. No shuffle.
@@ -270,7 +270,7 @@ def encode(df: DataFrame, path: str | None = None, ids: bool = True) -> DataFram
     path = path or default_path()
 
     def make():
-        tok = tokenizer(path)
+        tok = tokenizer(path, words_kept)
 
         def one(part: pa.RecordBatch) -> pa.RecordBatch:
             n, digest, back, all_ids = [], [], [], []

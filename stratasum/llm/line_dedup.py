@@ -184,8 +184,8 @@ class LineIndex:
         return found, last
 
 
-def _probe(df: DataFrame, rows: list, n_shards: int, min_chars: int) -> DataFrame:
-    """The rows of df, their __drop marks (a byte for each line, in order; null: none yet) with those of these shards added."""
+def _prober(df: DataFrame, rows: list, n_shards: int, min_chars: int):
+    """Maker of the function that gives the rows of a batch, their __drop marks (a byte for each line, in order; null: none yet) with those of these shards added."""
     packed = df.sparkSession.sparkContext.broadcast([{"shard": r["shard"], "packed": bytes(r["packed"])} for r in rows])
 
     def make():
@@ -213,10 +213,11 @@ def _probe(df: DataFrame, rows: list, n_shards: int, min_chars: int) -> DataFram
 
         return one
 
-    return map_texts(df, df.schema, make)
+    return make
 
 
-def _finish(df: DataFrame, digest_only: bool) -> DataFrame:
+def _finisher(df: DataFrame, digest_only: bool):
+    """Schema, and maker of the function that drops the marked lines of a batch."""
     kind = dict(df.dtypes)["doc_id"]
 
     def make():
@@ -237,10 +238,10 @@ def _finish(df: DataFrame, digest_only: bool) -> DataFrame:
         return one
 
     if digest_only:
-        return map_texts(df, f"doc_id {kind}, n_lines bigint, n_dropped bigint, kept_sha256 string", make)
+        return f"doc_id {kind}, n_lines bigint, n_dropped bigint, kept_sha256 string", make
     fields = [f for f in df.schema.fields if f.name != "__drop"]
     schema = T.StructType([*fields, T.StructField("__lines", T.LongType()), T.StructField("__dropped", T.LongType())])
-    return map_texts(df, schema, make)
+    return schema, make
 
 
 def dedup_lines(df: DataFrame, min_chars: int = MIN_CHARS, min_docs: int = MIN_DOCS, broadcast_bytes: int = BROADCAST_BYTES, shard_keys: int = SHARD_KEYS, digest_only: bool = False) -> DataFrame:
@@ -258,10 +259,16 @@ def dedup_lines(df: DataFrame, min_chars: int = MIN_CHARS, min_docs: int = MIN_D
     marked = df.withColumn("__drop", F.lit(None).cast("binary"))
     for first in range(0, n_shards, per_round):
         rows = shards.filter(F.col("shard").between(first, first + per_round - 1)).collect()  # at most broadcast_bytes
-        marked = _probe(marked, rows, n_shards, min_chars)
+        probe = _prober(marked, rows, n_shards, min_chars)
         if first + per_round < n_shards:
-            marked = cut(marked)
-    return _finish(marked, digest_only)
+            marked = cut(map_texts(marked, marked.schema, probe))
+    schema, finish = _finisher(marked, digest_only)
+
+    def both():  # one pass of Python, so a task has one worker
+        first_step, second_step = probe(), finish()
+        return lambda part: second_step(first_step(part))
+
+    return map_texts(marked, schema, both)
 
 
 def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
