@@ -19,6 +19,8 @@ from stratasum.llm.common import cut, table
 
 #: Bits a byte of text takes without a model. A text that no language codes in fewer is in none of them.
 PLAIN_BITS = 8.0
+#: Words that a worker of the last stage keeps, beside what earlier stages left in it.
+WORDS_KEPT = 60_000
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -57,7 +59,7 @@ def _hit_ids(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
 
 def encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """doc_id, n_tokens, ids, and digests of the ids and of the text decoded from them."""
-    return bpe_automaton.encode(docs)
+    return bpe_automaton.encode(docs, words_kept=WORDS_KEPT)
 
 
 STAGES = [
