@@ -23,7 +23,7 @@ from __future__ import annotations
 import hashlib
 import json
 import re
-from functools import cache
+from functools import partial
 from itertools import chain
 
 import pyarrow as pa
@@ -250,12 +250,6 @@ class Tokenizer:
         return b"".join(map(self.labels.__getitem__, ids)).decode("utf-8", "replace")
 
 
-@cache
-def tokenizer(path: str, words_kept: int = WORDS_KEPT) -> Tokenizer:
-    """One for each Python worker."""
-    return Tokenizer(path, words_kept)
-
-
 def default_path() -> str:
     import public_tokenizers
 
@@ -269,9 +263,7 @@ def encode(df: DataFrame, path: str | None = None, ids: bool = True, words_kept:
     """
     path = path or default_path()
 
-    def make():
-        tok = tokenizer(path, words_kept)
-
+    def make(tok: Tokenizer):
         def one(part: pa.RecordBatch) -> pa.RecordBatch:
             n, digest, back, all_ids = [], [], [], []
             for text in part.column("text").to_pylist():
@@ -293,7 +285,7 @@ def encode(df: DataFrame, path: str | None = None, ids: bool = True, words_kept:
 
     kind = dict(df.dtypes)["doc_id"]
     schema = f"doc_id {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * ids
-    return map_texts(df.select("doc_id", "text"), schema, make)
+    return map_texts(df.select("doc_id", "text"), schema, make, keeps=(("bpe", path, words_kept), partial(Tokenizer, path, words_kept)))
 
 
 def op9_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -62,11 +64,40 @@ def slices(batch: pa.RecordBatch, column: str = "text", most: int = SLICE_BYTES)
         yield batch.slice(start)
 
 
-def map_texts(df: DataFrame, schema: str | T.StructType, make: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch | None]], column: str = "text") -> DataFrame:
-    """mapInArrow in slices of bounded size. `make` runs once a task and gives the function of a slice."""
+#: What this Python worker keeps from one task to the next: one object at most, by its name.
+_kept: dict[tuple, object] = {}
+
+
+def kept_in_worker(name: tuple | None, make: Callable[[], object] | None = None) -> object:
+    """The object of that name that this worker has built before, or a new one.
+
+    Workers outlive tasks and serve all operators in turn, so a task drops what another operator has
+    left before it builds its own; a task that keeps nothing (no name) drops it, too.
+    """
+    if _kept and name not in _kept:
+        _kept.clear()
+        gc.collect()
+        if hasattr(libc := ctypes.CDLL(None), "malloc_trim"):
+            libc.malloc_trim(0)
+    if name is None:
+        return None
+    if name not in _kept:
+        _kept[name] = make()
+    return _kept[name]
+
+
+def map_texts(df: DataFrame, schema: str | T.StructType, make: Callable[..., Callable[[pa.RecordBatch], pa.RecordBatch | None]], column: str = "text", keeps: tuple[tuple, Callable[[], object]] | None = None) -> DataFrame:
+    """mapInArrow in slices of bounded size. `make` runs once a task and gives the function of a slice.
+
+    keeps: the name and the maker of an object that workers keep between tasks; `make` gets it.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        one = make()
+        if keeps is None:
+            kept_in_worker(None)
+            one = make()
+        else:
+            one = make(kept_in_worker(*keeps))
         for batch in batches:
             for part in slices(batch, column):
                 if (out := one(part)) is not None and out.num_rows:

@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import as_bytes, cut, map_texts, table
+from .common import as_bytes, cut, kept_in_worker, map_texts, table
 
 MIN_CHARS, MIN_DOCS = 40, 5
 #: Keys of a shard, about.
@@ -148,6 +148,7 @@ def build_shards(frequent: DataFrame, n_shards: int) -> DataFrame:
     """shard, keys, packed arrays: one row for each shard that has keys."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kept_in_worker(None)
         parts = list(batches)
         if not parts:
             return

@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import as_bytes, cut, map_texts, table
+from .common import as_bytes, cut, kept_in_worker, map_texts, table
 from .graph import components
 
 WORDS, RADIUS, BANDS, SEED = 3, 3, 4, 42
@@ -158,6 +158,7 @@ def _least_labels(n: int, a: np.ndarray, b: np.ndarray, label: np.ndarray) -> np
 
 
 def _link_shards(batches: Iterator[pa.RecordBatch], radius: int, n_words: int) -> Iterator[pa.RecordBatch]:
+    kept_in_worker(None)
     parts = list(batches)
     if not parts:
         return
@@ -200,6 +201,7 @@ def _buckets(nodes: DataFrame, bits: list[list[int]]) -> DataFrame:
     chosen = np.array(bits)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kept_in_worker(None)
         weights = (np.uint64(1) << np.arange(chosen.shape[1], dtype=np.uint64)).astype(np.uint64)
         for batch in batches:
             for first in range(0, batch.num_rows, 4096):

@@ -37,7 +37,7 @@ def documents(spark):
 def test_tokens_equal_the_library():
     from tokenizers import Tokenizer
 
-    library, own = Tokenizer.from_file(B.default_path()), B.tokenizer(B.default_path())
+    library, own = Tokenizer.from_file(B.default_path()), B.Tokenizer(B.default_path())
     random.seed(1)
     parts = ["a", "b", "th", "e", " ", "  ", "\n", "'s", "é", "1", "23", "!", "<|endoftext|>", "՘", "中", "😀", "ing", "\x85", "\xa0", "\x1c", "Ж", "aaaa"]
     texts = ["".join(random.choices(parts, k=random.randint(0, 40))) for _ in range(3000)] + [t for _, t in ODD if t]
@@ -367,3 +367,13 @@ def test_edited_and_hot_copies(spark):
     assert sorted(r["doc_id"] for r in got) == list(range(50)) and {r["item_id"] for r in got} == {9}
     assert D.contaminated(spark.createDataFrame(rows, DOCS), benchmark, block_words=1).count() == 50
     assert D.contaminated(spark.createDataFrame(rows, DOCS), benchmark.limit(0)).count() == 0
+
+
+def test_a_worker_keeps_one_object():
+    from stratasum.llm.common import kept_in_worker
+
+    first = kept_in_worker(("a",), list)
+    assert kept_in_worker(("a",), list) is first
+    assert kept_in_worker(("b",), dict) == {}
+    assert kept_in_worker(("a",), list) is not first
+    assert kept_in_worker(None) is None
