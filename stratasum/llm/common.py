@@ -16,6 +16,9 @@ from pyspark.sql import types as T
 
 #: Python code works on slices of about so many bytes of text, whatever the size of Spark's batches.
 SLICE_BYTES = 4 << 20
+#: Bytes of a batch between Spark and a Python worker, where the session sets no limit; a longer row is a batch of its own.
+BATCH_BYTES = 8 << 20
+BATCH_LIMIT = "spark.sql.execution.arrow.maxBytesPerBatch"
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -77,6 +80,7 @@ def kept_in_worker(name: tuple | None, make: Callable[[], object] | None = None)
     if _kept and name not in _kept:
         _kept.clear()
         gc.collect()
+        pa.default_memory_pool().release_unused()
         if hasattr(libc := ctypes.CDLL(None), "malloc_trim"):
             libc.malloc_trim(0)
     if name is None:
@@ -90,7 +94,11 @@ def map_texts(df: DataFrame, schema: str | T.StructType, make: Callable[..., Cal
     """mapInArrow in slices of bounded size. `make` runs once a task and gives the function of a slice.
 
     keeps: the name and the maker of an object that workers keep between tasks; `make` gets it.
+    Batches are bounded by their bytes for the whole session, unless it has its own limit: texts have
+    no usual length, and Spark's default of 10,000 rows may be any size.
     """
+    if df.sparkSession.conf.get(BATCH_LIMIT, None) is None:
+        df.sparkSession.conf.set(BATCH_LIMIT, str(BATCH_BYTES))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if keeps is None:
