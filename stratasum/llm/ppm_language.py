@@ -105,7 +105,7 @@ def tree_costs(counts: dict[tuple[int, ...], dict[int, int]], column: dict[int,
 
 
 class LanguageModel:
-    """The merged tree: `next[node, byte]` (a longer context, or that node's stop) and costs by node, byte class, language."""
+    """The merged tree: `next[node, byte class]` (a longer context, or that node's stop) and costs by node, byte class, language."""
 
     def __init__(self, texts: dict[str, list[bytes]], order: int = ORDER, least: int = LEAST_COUNT):
         self._build(sorted(texts), order, [_context_counts(texts[name], order, least) for name in sorted(texts)])
@@ -122,8 +122,8 @@ class LanguageModel:
         self.names, self.order, self.counts = names, order, counts
         nodes = sorted(set().union(*counts) if counts else {()}, key=lambda c: (len(c), c))
         number = {c: i for i, c in enumerate(nodes)}
-        used = sorted({s for tree in counts for seen in tree.values() for s in seen})
-        self.kind = np.full(256, len(used), np.int64)  # bytes that were never seen are one class
+        used = sorted({s for tree in counts for c, seen in tree.items() for s in (*c, *seen)})
+        self.kind = np.full(256, len(used), np.int64)  # bytes that occur nowhere are one class
         self.kind[used] = np.arange(len(used))
         self.kinds = len(used) + 1
         column = {s: i for i, s in enumerate(used)}
@@ -134,16 +134,16 @@ class LanguageModel:
             of = np.zeros(len(nodes), np.int64)  # a context that a tree lacks costs what its longest known suffix does
             for c, i in number.items():
                 of[i] = row[c] if c in row else of[number[c[:-1]]]
-            costs[:, :, k] = bits[of]
+            costs[:, :, k] = bits.astype(np.float32)[of]
         self.costs = costs.reshape(len(nodes) * self.kinds, len(self.names))
         # nodes from n on are stops: the walk has left the tree and stays where it was
         n = len(nodes)
         self.nodes = n
-        self.next = np.empty((n, 256), np.int32)
+        self.next = np.empty((n, self.kinds), np.int32)
         self.next[:] = np.arange(n, dtype=np.int32)[:, None] + n
         for c, i in number.items():
             if c:
-                self.next[number[c[:-1]], c[-1]] = i
+                self.next[number[c[:-1]], self.kind[c[-1]]] = i
 
     def code_lengths(self, texts: list[bytes]) -> np.ndarray:
         """Bits of each text (rows) under each language (columns)."""
@@ -163,16 +163,16 @@ class LanguageModel:
         return out
 
     def _walk(self, group: list[tuple[int, bytes]], out: np.ndarray) -> None:
-        data = np.frombuffer(b"".join(p for _, p in group), np.uint8)
+        data = self.kind[np.frombuffer(b"".join(p for _, p in group), np.uint8)]
         n, order = len(data), self.order
         node = np.zeros(n - order, np.int32)
         flat = self.next.reshape(-1)
         for k in range(1, order + 1):
             there = node < self.nodes
-            moved = flat[np.where(there, node, 0).astype(np.int64) * 256 + data[order - k : n - k]]
+            moved = flat[np.where(there, node, 0).astype(np.int64) * self.kinds + data[order - k : n - k]]
             node = np.where(there, moved, node)
         node = np.where(node < self.nodes, node, node - self.nodes)
-        cost = self.costs[node.astype(np.int64) * self.kinds + self.kind[data[order:]]]
+        cost = self.costs[node.astype(np.int64) * self.kinds + data[order:]]
         at = 0
         for i, p in group:
             out[i] += cost[at : at + len(p) - order].sum(0, dtype=np.float64)
