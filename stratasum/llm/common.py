@@ -75,9 +75,9 @@ def kept_in_worker(name: tuple | None, make: Callable[[], object] | None = None)
     """The object of that name that this worker has built before, or a new one.
 
     Workers outlive tasks and serve all operators in turn, so a task drops what another operator has
-    left before it builds its own; a task that keeps nothing (no name) drops it, too.
+    left, and gives free memory back, before it builds its own; a task that keeps nothing (no name) does so, too.
     """
-    if _kept and name not in _kept:
+    if name not in _kept:
         _kept.clear()
         gc.collect()
         pa.default_memory_pool().release_unused()
