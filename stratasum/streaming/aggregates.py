@@ -61,10 +61,12 @@ def deduplicated(stream: DataFrame, key: str, delay: str) -> DataFrame:
     return stream.withWatermark("ts", delay).dropDuplicatesWithinWatermark([key])
 
 
-def precount_final(stream: DataFrame, by: str, sizes: DataFrame, timeout_s: int = 86_400) -> DataFrame:
+def precount_final(stream: DataFrame, by: str, sizes: DataFrame, timeout_s: int | None = None) -> DataFrame:
     """grp, n, total, given as soon as a group has as many items as `sizes` (grp, size) says; its state is then dropped.
 
-    sizes is a static table joined to the stream. Groups that never fill time out without a result.
+    sizes is a static table joined to the stream. Groups that never fill have no
+    result; their state stays, or goes after `timeout_s`. Leave that out of runs that end by themselves:
+    with a processing-time timeout Spark adds batches without data for ever.
     """
     joined = stream.join(sizes, stream[by] == sizes["grp"]).select("grp", "size", "cents")
 
@@ -82,9 +84,10 @@ def precount_final(stream: DataFrame, by: str, sizes: DataFrame, timeout_s: int
             yield pd.DataFrame({"grp": [key[0]], "n": [n], "total": [total]})
         else:
             state.update((n, total))
-            state.setTimeoutDuration(1000 * timeout_s)
+            if timeout_s is not None:
+                state.setTimeoutDuration(1000 * timeout_s)
 
-    return joined.groupBy("grp").applyInPandasWithState(step, "grp string, n bigint, total bigint", "n bigint, total bigint", "append", GroupStateTimeout.ProcessingTimeTimeout)
+    return joined.groupBy("grp").applyInPandasWithState(step, "grp string, n bigint, total bigint", "n bigint, total bigint", "append", GroupStateTimeout.NoTimeout if timeout_s is None else GroupStateTimeout.ProcessingTimeTimeout)
 
 
 def near_pairs(left: DataFrame, right: DataFrame, delay: str, within: str) -> DataFrame:
