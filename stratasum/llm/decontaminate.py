@@ -1,25 +1,29 @@
-"""Benchmark decontamination: rare n-gram seeds, then Smith-Waterman alignment.
+"""Benchmark decontamination: rare seeds, then Smith-Waterman alignment.
 
-Every n-gram of words of a test item is counted over all documents. The rarest of each item's own
-n-grams are its seeds: an item that many documents copy keeps seeds, since only its own n-grams
-compete. Documents that hold a seed are joined to its items, and the words around the seeds are
-aligned with the item. A local alignment scores matches, replaced, missing and added words, so
-paraphrased and edited copies still score; a pair is reported if its score is at least `similarity`
-of what the whole item would score.
+A local alignment scores matches, replaced, missing and added words, so paraphrased and edited copies
+still score; a pair is reported if its score is at least `similarity` of what the whole item would
+score. Every such pair is found:
+
+- A pair at the similarity matches at least that share of the item's words. So the seeds of an item
+  are its words, rarest first, until those left are one too few for that: each pair holds a seed,
+  whichever words an edit has replaced. Rarity, the number of documents with each word, only makes
+  candidates few.
+- A candidate's words gain what a match does if the item has them, and lose what another word does
+  if not. No alignment scores more than the sum over its passage, so only passages whose sum can
+  reach the similarity are aligned.
 
 The test set is the small side: it is cut into blocks of at most `block_words` words, and each block is
-broadcast and run against all documents. Nothing else is held; the counts are a row for each n-gram
+broadcast and run against all documents. Nothing else is held; the counts are a row for each word
 of the test set.
 
 Defined results: words are runs of letters and digits in lower case; null and empty texts and items
-without words match nothing; an item shorter than n words is one seed as a whole; repeated rows give
-repeated pairs; a null doc_id or item_id is kept.
+without words match nothing; repeated rows give repeated pairs; a null doc_id or item_id is kept.
 """
 
 from __future__ import annotations
 
+import math
 import re
-from collections import defaultdict
 from itertools import repeat
 
 import numpy as np
@@ -29,9 +33,7 @@ from pyspark.sql import functions as F
 
 from .common import cut, map_texts, table
 
-N, SIMILARITY = 3, 0.5
-#: Share of an item's n-grams that are seeds, the rarest; at least LEAST_SEEDS.
-SEED_SHARE, LEAST_SEEDS = 0.5, 8
+SIMILARITY = 0.5
 MATCH, REPLACED, GAP = 2, -1, -1
 BLOCK_WORDS = 2_000_000
 WORD = re.compile(r"[^\W_]+")
@@ -58,104 +60,90 @@ def align(item: np.ndarray, passage: np.ndarray) -> tuple[float, int, int]:
     return best / (MATCH * max(1, len(item))), *at
 
 
+def _ranges(start: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """The numbers from each start on, n of them, one range after the other."""
+    return np.repeat(start - np.append(0, np.cumsum(n)[:-1]), n) + np.arange(n.sum())
+
+
 class ItemIndex:
-    """Vocabulary, n-grams and items of one block of the test set. Rarity: number of documents with each n-gram, once known."""
+    """Vocabulary and items of one block of the test set, and the seeds of the items."""
 
-    def __init__(self, items: list[tuple[int | None, str | None]], n: int = N):
-        self.n, self.ids, self.items = n, [], []
+    def __init__(self, items: list[tuple[int | None, str | None]]):
+        self.ids, self.items = [], []
         self.vocabulary: dict[str, int] = {}
-        grams: dict[tuple[int, ...], set[int]] = defaultdict(set)
         for item_id, text in items:
             own = [self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in words_of(text)]
             if own:
-                for g in self._grams(own):
-                    grams[g].add(len(self.items))
                 self.ids.append(item_id)
                 self.items.append(np.array(own, np.int64))
-        self.lengths = sorted({len(g) for g in grams}, reverse=True)
-        self.grams = sorted(grams)
-        self.of = [sorted(grams[g]) for g in self.grams]
-        self.codes = {}
-        for length in self.lengths:
-            pairs = sorted((self._code(np.array([g]))[0], k) for k, g in enumerate(self.grams) if len(g) == length)
-            self.codes[length] = np.array([c for c, _ in pairs], np.uint64), np.array([k for _, k in pairs], np.int64)
-        self.seeds = np.ones(len(self.grams), bool)
-
-    def _grams(self, own: list[int]) -> list[tuple[int, ...]]:
-        return [tuple(own[i : i + self.n]) for i in range(max(1, len(own) - self.n + 1))]
-
-    @staticmethod
-    def _code(rows: np.ndarray) -> np.ndarray:
-        code = np.zeros(len(rows), np.uint64)
-        for column in rows.T:
-            code = (code << np.uint64(21)) | column.astype(np.uint64)  # vocabulary of a block is below 2^21
-        return code
-
-    def found(self, own: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Position and number of each n-gram of the test set in a text given as word numbers (0: not in the vocabulary)."""
-        at, gram = [], []
-        for length in self.lengths:
-            if len(own) < length:
-                continue
-            known = own > 0
-            start = known[: len(own) - length + 1].copy()
-            for k in range(1, length):
-                start &= known[k : len(own) - length + 1 + k]
-            start = np.flatnonzero(start)
-            if not len(start):
-                continue
-            code = self._code(own[start[:, None] + np.arange(length)])
-            codes, numbers = self.codes[length]
-            spot = np.minimum(np.searchsorted(codes, code), len(codes) - 1)
-            hit = codes[spot] == code
-            at.append(start[hit])
-            gram.append(numbers[spot[hit]])
-        return (np.concatenate(at), np.concatenate(gram)) if at else (np.empty(0, np.int64), np.empty(0, np.int64))
+        self.length = np.array([len(item) for item in self.items], np.int64)
+        self.words = np.concatenate(self.items) if self.items else np.empty(0, np.int64)
+        self.start = np.cumsum(self.length) - self.length
+        self.of_text, self.of_item = np.zeros((2, len(self.vocabulary) + 1), bool)
 
     def numbers(self, words: list[str]) -> np.ndarray:
+        """The word numbers of a text (0: not in the vocabulary)."""
         return np.fromiter(map(self.vocabulary.get, words, repeat(0)), np.int64, len(words))
 
-    def keep_rare(self, count: dict[int, int]) -> None:
-        """Seeds: of each item the n-grams in the fewest documents."""
-        self.seeds = np.zeros(len(self.grams), bool)
-        own: dict[int, list[tuple[int, int]]] = defaultdict(list)
-        for k, items in enumerate(self.of):
-            for i in items:
-                own[i].append((count.get(k, 0), k))
-        for ranked in own.values():
-            ranked.sort()
-            for _, k in ranked[: max(LEAST_SEEDS, int(len(ranked) * SEED_SHARE))]:
-                self.seeds[k] = True
+    def keep_rare(self, count: dict[int, int], similarity: float = SIMILARITY) -> None:
+        """Seeds: of each item the words in the fewest documents, so many that those left alone cannot reach the similarity."""
+        seeds = []
+        for i, item in enumerate(self.items):
+            least = max(1, math.ceil(similarity * len(item) - 1e-9))  # words that a pair matches
+            ranked = sorted((count.get(w, 0), w) for w in item.tolist())
+            seeds += [(w, i) for w in {w for _, w in ranked[: max(1, len(item) - least + 1)]}]
+        word, self.seeded = np.array(sorted(seeds), np.int64).reshape(-1, 2).T
+        self.first = np.searchsorted(word, np.arange(len(self.vocabulary) + 2))
+
+    def candidates(self, present: np.ndarray, similarity: float) -> tuple[np.ndarray, np.ndarray]:
+        """Items with a seed among the distinct word numbers of a text, and enough words in it; how many seeds each has."""
+        items, n_seeds = np.unique(self.seeded[_ranges(self.first[present], self.first[present + 1] - self.first[present])], return_counts=True)
+        if not len(items):
+            return items, n_seeds
+        length = self.length[items]
+        self.of_text[present] = True
+        found = self.of_text[self.words[_ranges(self.start[items], length)]]
+        self.of_text[present] = False
+        enough = np.add.reduceat(found, np.cumsum(length) - length, dtype=np.int64) >= similarity * length - 1e-9
+        return items[enough], n_seeds[enough]
 
     def matches(self, text: str | None, similarity: float) -> list[tuple[int | None, float, int, int, int]]:
         """item_id, score, seeds found, first and last word (exclusive) of the aligned passage."""
         own = self.numbers(words_of(text))
-        at, gram = self.found(own)
-        hits: dict[int, list[int]] = defaultdict(list)
-        for p, g in zip(at.tolist(), gram.tolist(), strict=True):
-            if self.seeds[g]:
-                for i in self.of[g]:
-                    hits[i].append(p)
+        at = np.flatnonzero(own)
+        if not len(at):
+            return []
+        known = own[at]
+        present = np.unique(known)
         out = []
-        for i, places in sorted(hits.items()):
+        for i, n_seeds in zip(*(x.tolist() for x in self.candidates(present, similarity)), strict=True):
             item = self.items[i]
-            room = len(item) + len(item) // 2 + 2
             best = (0.0, 0, 0)
-            places.sort()
-            first = last = places[0]
-            for p in [*places[1:], None]:
-                if p is not None and p - last <= room:
-                    last = p
-                    continue
-                a, b = max(0, first - room), min(len(own), last + room)
+            for a, b in self._passages(at, known, item, MATCH * similarity * len(item) - 1e-9):
                 score, _, end = align(item, own[a:b])
                 best = max(best, (score, a + end - min(end, len(item)), a + end))
-                if p is not None:
-                    first = last = p
-            if best[0] >= similarity:
-                out.append((self.ids[i], best[0], len(set(places)), best[1], best[2]))
+            if best[0] > 0 and best[0] >= similarity:
+                out.append((self.ids[i], best[0], n_seeds, best[1], best[2]))
         return out
 
+    def _passages(self, at: np.ndarray, known: np.ndarray, item: np.ndarray, need: float) -> list[tuple[int, int]]:
+        """The parts of a text, given as places and numbers of its known words, that hold every passage whose alignment may score `need`."""
+        self.of_item[item] = True
+        p = at[self.of_item[known]]
+        self.of_item[item] = False
+        loss = -max(REPLACED, GAP)
+        before = (MATCH + loss) * np.arange(len(p)) - loss * p  # sum of all words before each word of the item
+        after = before + MATCH
+        ending = after - np.minimum.accumulate(before)  # largest sum of a passage that ends here
+        if not len(p) or ending.max() < need:
+            return []
+        starting = np.maximum.accumulate(after[::-1])[::-1] - before
+        whole = np.flatnonzero(ending + starting - MATCH >= need)
+        apart = ending[whole[:-1]] + starting[whole[1:]] - loss * (np.diff(p[whole]) - 1) < need
+        apart |= np.diff(whole) > 1
+        first, last = p[whole[np.append(True, apart)]], p[whole[np.append(apart, True)]]
+        return list(zip(first.tolist(), (last + 1).tolist(), strict=True))
+
 
 def blocks(benchmark: DataFrame, block_words: int = BLOCK_WORDS) -> list[list[tuple]]:
     """The test set in blocks. It is the bounded side; the driver reads it row by row."""
@@ -170,36 +158,37 @@ def blocks(benchmark: DataFrame, block_words: int = BLOCK_WORDS) -> list[list[tu
     return out
 
 
-def gram_counts(docs: DataFrame, shared) -> DataFrame:
-    """gram, n: documents that hold each n-gram of a block, over all documents."""
+def word_counts(docs: DataFrame, shared) -> DataFrame:
+    """word, n: documents that hold each word of a block, over all documents."""
 
     def make():
         index = shared.value
 
         def one(part: pa.RecordBatch) -> pa.RecordBatch:
-            total = np.zeros(len(index.grams), np.int64)
+            total = np.zeros(len(index.vocabulary) + 1, np.int64)
             for text in part.column("text").to_pylist():
                 if text:
-                    total[np.unique(index.found(index.numbers(words_of(text)))[1])] += 1
+                    total[np.unique(index.numbers(words_of(text)))] += 1
+            total[0] = 0
             k = np.flatnonzero(total)
-            return pa.RecordBatch.from_arrays([pa.array(k), pa.array(total[k])], ["gram", "n"])
+            return pa.RecordBatch.from_arrays([pa.array(k), pa.array(total[k])], ["word", "n"])
 
         return one
 
-    return map_texts(docs.select("text"), "gram bigint, n bigint", make).groupBy("gram").agg(F.sum("n").alias("n"))
+    return map_texts(docs.select("text"), "word bigint, n bigint", make).groupBy("word").agg(F.sum("n").alias("n"))
 
 
-def contaminated(docs: DataFrame, benchmark: DataFrame, similarity: float = SIMILARITY, n: int = N, block_words: int = BLOCK_WORDS) -> DataFrame:
+def contaminated(docs: DataFrame, benchmark: DataFrame, similarity: float = SIMILARITY, block_words: int = BLOCK_WORDS) -> DataFrame:
     """doc_id, item_id, score, n_seeds, first_word, last_word of each document and item that align."""
     spark, kind = docs.sparkSession, dict(docs.dtypes)["doc_id"]
     schema = f"doc_id {kind}, item_id bigint, score double, n_seeds bigint, first_word bigint, last_word bigint"
     found = None
     for rows in blocks(benchmark, block_words):
-        index = ItemIndex(rows, n)
+        index = ItemIndex(rows)
         if not index.items:
             continue
-        counts = {r["gram"]: r["n"] for r in gram_counts(docs, spark.sparkContext.broadcast(index)).collect()}  # a row for each n-gram of the block
-        index.keep_rare(counts)
+        counts = {r["word"]: r["n"] for r in word_counts(docs, spark.sparkContext.broadcast(index)).collect()}  # a row for each word of the block
+        index.keep_rare(counts, similarity)
         shared = spark.sparkContext.broadcast(index)
 
         def make(shared=shared):

@@ -369,6 +369,29 @@ def test_edited_and_hot_copies(spark):
     assert D.contaminated(spark.createDataFrame(rows, DOCS), benchmark.limit(0)).count() == 0
 
 
+def test_single_edited_copies_equal_full_alignment(spark):
+    rng = random.Random(8)
+    words = [f"w{k}" for k in range(3000)]
+    items, rows = [], []
+    for k in range(60):
+        item = rng.choices(words, k=39)
+        share = (0.15, 0.2, 0.25, 0.3)[k % 4]
+        copy = [f"new{k}x{j}" if (j % 3 == 2 if k < 4 else j % 6 == 3 if k < 8 else rng.random() < share) else w for j, w in enumerate(item)]
+        items.append((k, " ".join(item)))
+        rows.append((k, " ".join(rng.choices(words, k=60) + copy + rng.choices(words, k=60))))
+    benchmark = spark.createDataFrame(items, "item_id bigint, text string")
+
+    def want(rows):
+        code = {}
+        number = lambda t: np.array([code.setdefault(w, len(code)) for w in t.split()])
+        return {(d, i): s for d, text in rows for i, item in items if (s := D.align(number(item), number(text))[0]) >= D.SIMILARITY}
+
+    got = lambda rows: {(r["doc_id"], r["item_id"]): r["score"] for r in D.contaminated(spark.createDataFrame(rows, DOCS), benchmark).collect()}
+    assert got(rows) == want(rows) and {(k, k) for k in range(8)} <= set(want(rows))
+    beside = [*rows, *((100 + k, text) for k, text in items)]  # whole copies, which hold all that the edits replaced
+    assert got(beside) == want(beside)
+
+
 def test_a_worker_keeps_one_object():
     from stratasum.llm.common import kept_in_worker
 
