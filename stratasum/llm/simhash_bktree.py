@@ -77,13 +77,14 @@ def fingerprint(hashes: np.ndarray, n: int = 1) -> bytes:
     return np.packbits(2 * total > len(hashes)).tobytes()
 
 
-def fingerprints(df: DataFrame, words: int = WORDS, n: int = 1) -> DataFrame:
-    """doc_id, fp (binary) of each row."""
+def fingerprints(df: DataFrame, words: int = WORDS, n: int = 1, as_set: bool = False) -> DataFrame:
+    """doc_id, fp (binary) of each row. as_set: of the distinct shingles, each counted once."""
     kind = dict(df.dtypes)["doc_id"]
 
     def make():
         def one(part: pa.RecordBatch) -> pa.RecordBatch:
-            fps = [fingerprint(text_hashes(text, words), n) for text in as_bytes(part.column("text"))]
+            hashes = (text_hashes(text, words) for text in as_bytes(part.column("text")))
+            fps = [fingerprint(np.unique(h) if as_set else h, n) for h in hashes]
             return pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(fps, pa.binary())], ["doc_id", "fp"])
 
         return one
@@ -244,12 +245,13 @@ def _assign(own: DataFrame, nodes: DataFrame, found: DataFrame) -> DataFrame:
 def similar_documents(df: DataFrame, words: int = 5, similarity: float = 0.8, n_words: int = 12, recall: float = 0.97, slack: float = 0.015) -> DataFrame:
     """doc_id, fp, component_id, where texts link if their shingle sets have about that Jaccard similarity or more.
 
+    Fingerprints are of the sets, so a passage that recurs in one text counts once, like its shingles.
     Texts of similarity s have a cosine of about 2 s / (1 + s), and each bit differs with the chance
     acos(cosine) / pi. The radius is that share of the bits and a `slack`; the bits of a table grow
     with the logarithm of the number of fingerprints, so shards stay small, and there are as many
     tables as let a pair at the similarity meet with the chance `recall`.
     """
-    own = cut(fingerprints(df, words, n_words))
+    own = cut(fingerprints(df, words, n_words, as_set=True))
     nodes = cut(own.groupBy("fp").agg(F.min("doc_id").alias("least")))
     apart = math.acos(2 * similarity / (1 + similarity)) / math.pi
     length = max(16, math.ceil(math.log2(max(2, nodes.count()))) - 2)

@@ -188,6 +188,16 @@ def test_similar_documents(spark):
     assert all(got[2 * k] == 2 * k for k in range(40))
 
 
+def test_similar_documents_with_a_repeated_passage(spark):
+    rng = random.Random(5)
+    rows = []
+    for k in range(20):
+        base, passage = ([f"w{rng.randrange(10**6)}" for _ in range(n)] for n in (304, 19))
+        rows += [(2 * k, " ".join(base + passage)), (2 * k + 1, " ".join(base + passage * 20))]
+    got = {r["doc_id"]: r["component_id"] for r in S.similar_documents(spark.createDataFrame(rows, DOCS)).collect()}
+    assert all(got[d] == d // 2 * 2 for d, _ in rows)
+
+
 # ---- language, quality, rules
 
 
