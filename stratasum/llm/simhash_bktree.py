@@ -37,6 +37,8 @@ from .common import as_bytes, cut, kept_in_worker, map_texts, table
 from .graph import components
 
 WORDS, RADIUS, BANDS, SEED = 3, 3, 4, 42
+#: Sets of so many shingles or fewer meet by their shingles, not by drawn bits only.
+SMALL_SET = 30
 #: Pairs of query and node that a task looks at in one step.
 BLOCK_PAIRS = 2_000_000
 
@@ -78,18 +80,22 @@ def fingerprint(hashes: np.ndarray, n: int = 1) -> bytes:
 
 
 def fingerprints(df: DataFrame, words: int = WORDS, n: int = 1, as_set: bool = False) -> DataFrame:
-    """doc_id, fp (binary) of each row. as_set: of the distinct shingles, each counted once."""
+    """doc_id, fp (binary) of each row. as_set: of the distinct shingles, each counted once, and their sorted hashes as `shingles`."""
     kind = dict(df.dtypes)["doc_id"]
 
     def make():
         def one(part: pa.RecordBatch) -> pa.RecordBatch:
-            hashes = (text_hashes(text, words) for text in as_bytes(part.column("text")))
-            fps = [fingerprint(np.unique(h) if as_set else h, n) for h in hashes]
-            return pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(fps, pa.binary())], ["doc_id", "fp"])
+            hashes = [text_hashes(text, words) for text in as_bytes(part.column("text"))]
+            if as_set:
+                hashes = list(map(np.unique, hashes))
+            columns = {"doc_id": part.column("doc_id"), "fp": pa.array([fingerprint(h, n) for h in hashes], pa.binary())}
+            if as_set:
+                columns["shingles"] = pa.array([h.tobytes() for h in hashes], pa.binary())
+            return pa.RecordBatch.from_pydict(columns)
 
         return one
 
-    return map_texts(df.select("doc_id", "text"), f"doc_id {kind}, fp binary", make)
+    return map_texts(df.select("doc_id", "text"), f"doc_id {kind}, fp binary" + ", shingles binary" * as_set, make)
 
 
 class TreeSet:
@@ -158,7 +164,8 @@ def _least_labels(n: int, a: np.ndarray, b: np.ndarray, label: np.ndarray) -> np
             return label
 
 
-def _link_shards(batches: Iterator[pa.RecordBatch], radius: int, n_words: int) -> Iterator[pa.RecordBatch]:
+def _link_shards(batches: Iterator[pa.RecordBatch], radius: int, n_words: int, wide: int | None = None) -> Iterator[pa.RecordBatch]:
+    """Links of a spanning forest within the radius; with a wide radius, all pairs beyond the first one that the forest leaves apart."""
     kept_in_worker(None)
     parts = list(batches)
     if not parts:
@@ -189,6 +196,15 @@ def _link_shards(batches: Iterator[pa.RecordBatch], radius: int, n_words: int) -
     for first in range(0, len(linked), 50_000):
         at = linked[first : first + 50_000]
         yield pa.RecordBatch.from_pydict({"a": fps.take(pa.array(at)), "b": fps.take(pa.array(label[at]))})
+    if wide is None:
+        return
+    for first in range(0, len(points), step):
+        own = np.arange(first, min(first + step, len(points)))
+        for who, node in trees.search(points[own], trees.root_of[own], wide):
+            who = own[who]
+            apart = (who < node) & (label[who] != label[node])
+            if apart.any():
+                yield pa.RecordBatch.from_pydict({"a": fps.take(pa.array(who[apart])), "b": fps.take(pa.array(node[apart]))})
 
 
 def drawn_bits(width: int, length: int, tables: int) -> list[list[int]]:
@@ -217,14 +233,15 @@ def _buckets(nodes: DataFrame, bits: list[list[int]]) -> DataFrame:
     return nodes.select("fp").mapInArrow(run, "bucket bigint, fp binary")
 
 
-def links(nodes: DataFrame, radius: int, n_words: int = 1, bits: list[list[int]] | None = None) -> DataFrame:
-    """Links (a, b) of a spanning forest in each shard of the distinct fingerprints `nodes.fp`."""
+def links(nodes: DataFrame, radius: int, n_words: int = 1, bits: list[list[int]] | None = None, wide: int | None = None, more: DataFrame | None = None) -> DataFrame:
+    """Links (a, b) of a spanning forest in each shard of the distinct fingerprints `nodes.fp`; with `wide`, the pairs within it that the forest leaves apart, too. more: further shards (bucket, fp)."""
     if bits is None:
         if radius >= BANDS:
             raise ValueError("a radius of 4 bits or more needs drawn bits")
         bits = [list(range(k * 64 // BANDS, (k + 1) * 64 // BANDS)) for k in range(BANDS)]
-    dealt = _buckets(nodes, bits).repartition("bucket")
-    return dealt.mapInArrow(lambda batches: _link_shards(batches, radius, n_words), "a binary, b binary")
+    dealt = _buckets(nodes, bits)
+    dealt = (dealt if more is None else dealt.unionByName(more)).repartition("bucket")
+    return dealt.mapInArrow(lambda batches: _link_shards(batches, radius, n_words, wide), "a binary, b binary")
 
 
 def near_duplicates(df: DataFrame, words: int = WORDS, radius: int = RADIUS) -> DataFrame:
@@ -242,22 +259,87 @@ def _assign(own: DataFrame, nodes: DataFrame, found: DataFrame) -> DataFrame:
     return own.join(by_fp, "fp").select("doc_id", "fp", "component_id")
 
 
-def similar_documents(df: DataFrame, words: int = 5, similarity: float = 0.8, n_words: int = 12, recall: float = 0.97, slack: float = 0.015) -> DataFrame:
-    """doc_id, fp, component_id, where texts link if their shingle sets have about that Jaccard similarity or more.
+def differing_bits(common: int, left: int, right: int) -> float:
+    """Chance that a bit differs between two sets with so many common and own shingles; exact."""
+
+    def above(own: int, rest: int, n: int) -> float:
+        return sum(math.comb(own, k) for k in range(own + 1) if 2 * (k + rest) > n) / 2**own
+
+    total = 0.0
+    for k in range(common + 1):
+        a, b = above(left, k, common + left), above(right, k, common + right)
+        total += math.comb(common, k) / 2**common * (a * (1 - b) + b * (1 - a))
+    return total
+
+
+def most_differing(similarity: float, largest: int = 60) -> float:
+    """The largest such chance of sets of the similarity or more: small sets exceed the share that the angle of large ones gives."""
+    found = [math.acos(2 * similarity / (1 + similarity)) / math.pi]
+    for common in range(1, largest):
+        own = math.floor(common / similarity + 1e-9) - common  # shingles that only one of both has
+        found += [differing_bits(common, left, own - left) for left in range(own // 2 + 1)]
+    return max(found)
+
+
+def _least_shingles(sets: DataFrame, similarity: float, most: int) -> DataFrame:
+    """bucket, fp: shards in which all similar sets of at most `most` shingles meet, since they share one of so many least hashes."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            fps, buckets = [], []
+            for fp, own in zip(batch.column("fp").to_pylist(), batch.column("shingles").to_pylist(), strict=True):
+                own = np.frombuffer(own, np.int64)
+                own = own[: len(own) - math.ceil(similarity * len(own) - 1e-9) + 1]
+                fps += [fp] * len(own)
+                buckets += own.tolist()
+            yield pa.RecordBatch.from_pydict({"bucket": pa.array(buckets, pa.int64()), "fp": pa.array(fps, pa.binary())})
+
+    small = sets.filter(f"length(shingles) between 8 and {8 * most}").select("fp", "shingles")
+    return small.mapInArrow(run, "bucket bigint, fp binary").distinct()
+
+
+def similar_pairs(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """The pairs (a, b) of fingerprints whose shingle sets have the Jaccard similarity or more. sets: fp, shingles."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = []
+            for x, y in zip(batch.column("x").to_pylist(), batch.column("y").to_pylist(), strict=True):
+                x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
+                both = len(np.intersect1d(x, y, assume_unique=True))
+                keep.append(both >= similarity * (len(x) + len(y) - both) - 1e-9)
+            yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+
+    of = lambda end, name: sets.select(F.col("fp").alias(end), F.col("shingles").alias(name))
+    return pairs.join(of("a", "x"), "a").join(of("b", "y"), "b").select("a", "b", "x", "y").mapInArrow(run, "a binary, b binary")
+
+
+def similar_documents(df: DataFrame, words: int = 5, similarity: float = 0.8, n_words: int = 12, recall: float = 0.999, spread: float = 4.0) -> DataFrame:
+    """doc_id, fp, component_id, where texts link if their shingle sets have that Jaccard similarity or more.
 
     Fingerprints are of the sets, so a passage that recurs in one text counts once, like its shingles.
-    Texts of similarity s have a cosine of about 2 s / (1 + s), and each bit differs with the chance
-    acos(cosine) / pi. The radius is that share of the bits and a `slack`; the bits of a table grow
-    with the logarithm of the number of fingerprints, so shards stay small, and there are as many
-    tables as let a pair at the similarity meet with the chance `recall`.
+    They only find candidates: the radius is the expected number of differing bits at the similarity
+    and `spread` standard deviations, and there are as many tables as let a pair at the similarity
+    meet with the chance `recall`, so about one pair in a thousand at the similarity itself may be
+    missed, fewer above it. The bits of a table grow with the logarithm of the number of fingerprints,
+    so shards stay small. Bits of small sets differ more often, so these meet by their shingles as
+    well, where none is missed. Every link is confirmed on the shingle sets. Pairs nearer than the expected
+    number by as many deviations are tried as a spanning forest in each shard, so copies do not
+    multiply; the others all, where that forest leaves them apart.
     """
     own = cut(fingerprints(df, words, n_words, as_set=True))
     nodes = cut(own.groupBy("fp").agg(F.min("doc_id").alias("least")))
-    apart = math.acos(2 * similarity / (1 + similarity)) / math.pi
+    width = 64 * n_words
+    apart, usual = most_differing(similarity), math.acos(2 * similarity / (1 + similarity)) / math.pi
     length = max(16, math.ceil(math.log2(max(2, nodes.count()))) - 2)
-    tables = math.ceil(math.log(1 - recall) / math.log(1 - (1 - apart) ** length))
-    radius = round((apart + slack) * 64 * n_words)
-    return _assign(own, nodes, links(nodes, radius, n_words, drawn_bits(64 * n_words, length, tables)))
+    tables = math.ceil(math.log(1 - recall) / math.log(1 - (1 - usual) ** length))
+    near = max(0, math.floor(width * usual - spread * math.sqrt(width * usual * (1 - usual))))
+    wide = math.ceil(width * apart + spread * math.sqrt(width * apart * (1 - apart)))
+    found = cut(links(nodes, near, n_words, drawn_bits(width, length, tables), wide, _least_shingles(own, similarity, SMALL_SET)))
+    pairs = cut(found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
+    ends = pairs.select(F.col("a").alias("fp")).unionByName(pairs.select(F.col("b").alias("fp"))).distinct()
+    sets = cut(own.join(ends, "fp", "left_semi").dropDuplicates(["fp"]).select("fp", "shingles"))
+    return _assign(own.select("doc_id", "fp"), nodes, similar_pairs(pairs, sets, similarity))
 
 
 def op6_simhash_bktree(spark: SparkSession, sf_dir: str) -> DataFrame:
