@@ -108,12 +108,13 @@ def permutation_facts(df: DataFrame, item: str, max_n: int = 7) -> DataFrame:
     return reduce(DataFrame.unionByName, levels)
 
 
-def grouped_running(df: DataFrame, by: list[str], value: str, item: list[str], kind: str = "sum", counter: str = "group") -> DataFrame:
+def grouped_running(df: DataFrame, by: list[str], value: str, item: list[str], kind: str = "sum", counter: str = "group", mode: str = "window") -> DataFrame:
     """Continuous aggregate of groups.
 
     counter="group": one fact an item, counted in its group. counter="global": every group has a fact
     for each counter from 0 on, as each item moves the counter of all groups but the value of its own
-    only; that is groups x (items + 1) facts, so it is for small sets.
+    only; that is groups x (items + 1) facts. mode="prefix" makes them by prefix sums of range-partitioned
+    parts, so neither the items nor a group pass through one task; a row for each part and group is broadcast.
     """
     spec = SPECS[kind]
     if counter == "group":
@@ -121,6 +122,8 @@ def grouped_running(df: DataFrame, by: list[str], value: str, item: list[str], k
         return df.select(*by, F.row_number().over(w).cast("bigint").alias("counter"), spec.running(F.col(value), w).alias("running"))
     if kind != "sum":
         raise ValueError("the global counter starts every group at zero: sums only")
+    if mode == "prefix":
+        return _global_prefix(df, by, value, item)
     order = Window.orderBy(*item)
     steps = df.select(F.row_number().over(order).cast("bigint").alias("counter"), *[F.col(b).alias(f"__{b}") for b in by], F.col(value).alias("__v"))
     groups = df.select(*by).dropDuplicates()
@@ -131,11 +134,37 @@ def grouped_running(df: DataFrame, by: list[str], value: str, item: list[str], k
     return start.unionByName(rows).select(*by, "counter", F.sum("__own").over(w).alias("running"))
 
 
-def grouped_final(df: DataFrame, by: list[str], value: str, item: list[str], kind: str = "sum", strategy: str = "complete", count_scope: str = "group") -> DataFrame:
+def _global_prefix(df: DataFrame, by: list[str], value: str, item: list[str]) -> DataFrame:
+    """by, counter, running for every group and counter from 0 on."""
+    parts = min(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), MOST_PARTS)
+    own = [f"__{b}" for b in by]
+    items = df.select(*item, *[F.col(b).alias(o) for b, o in zip(by, own, strict=True)], F.col(value).alias("__v"))
+    dealt = keep(items.repartitionByRange(parts, *item).withColumn("__part", F.spark_partition_id()))
+    inside = Window.partitionBy("__part").orderBy(*item)
+    sizes = dealt.groupBy("__part").agg(F.count(F.lit(1)).alias("__n"))
+    before = Window.orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)  # a row a part: MOST_PARTS at most
+    sizes = sizes.select("__part", F.coalesce(F.sum("__n").over(before), F.lit(0)).alias("__n0"))
+    groups = df.select(*by).dropDuplicates()
+    mine = reduce(lambda a, b: a & b, [F.col(b).eqNullSafe(F.col(o)) for b, o in zip(by, own, strict=True)])
+    sums = dealt.groupBy("__part", *own).agg(F.sum("__v").alias("__sum")).withColumnRenamed("__part", "__of")
+    every = groups.hint("broadcast").join(sizes, F.lit(True))
+    at = every.join(F.broadcast(sums), mine & (F.col("__of") == F.col("__part")), "left")
+    offsets = at.select(*by, "__part", "__n0", F.coalesce("__sum", F.lit(0)).alias("__sum"))
+    earlier = Window.partitionBy(*by).orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = offsets.select(*by, "__part", "__n0", F.coalesce(F.sum("__sum").over(earlier), F.lit(0)).alias("__acc0"))
+    numbered = dealt.withColumn("__k", F.row_number().over(inside).cast("bigint"))
+    facts = numbered.join(F.broadcast(offsets), "__part").withColumn("__own", F.when(mine, F.col("__v")).otherwise(F.lit(0)))
+    run = Window.partitionBy("__part", *by).orderBy("__k").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    rows = facts.select(*by, (F.col("__n0") + F.col("__k")).alias("counter"), (F.col("__acc0") + F.coalesce(F.sum("__own").over(run), F.lit(0))).alias("running"))
+    zero = F.lit(0).cast("bigint")
+    return groups.select(*by, zero.alias("counter"), zero.alias("running")).unionByName(rows)
+
+
+def grouped_final(df: DataFrame, by: list[str], value: str, item: list[str], kind: str = "sum", strategy: str = "complete", count_scope: str = "group", mode: str = "window") -> DataFrame:
     """by, value: the final aggregate of each group, by any strategy."""
     if strategy == "complete":
         return df.groupBy(*by).agg(SPECS[kind].total(F.col(value)).alias("value"))
-    own = grouped_running(df, by, value, item, kind, "global" if count_scope == "global" else "group")
+    own = grouped_running(df, by, value, item, kind, "global" if count_scope == "global" else "group", mode)
     if strategy == "max_running":
         return own.groupBy(*by).agg(F.max_by("running", "counter").alias("value"))
     if strategy == "negation":

@@ -150,6 +150,18 @@ for _name, _kind, _strategy, _scope in (
     query(f"WITH {FEW if _scope == 'global' else PAIRS} SELECT grp, {_sql} AS value FROM pairs GROUP BY grp", _name)(_grouped(_kind, _strategy, _scope, _scope == "global"))
 
 
+@query()
+def grp_running_sum_global_all(spark, sf_dir):
+    """grp_running_sum_global over all orders."""
+    return A.grouped_running(flows.order_pairs(spark, sf_dir), ["grp"], "cents", ["item"], counter="global", mode="prefix")
+
+
+@query()
+def grp_final_sum_precount_all(spark, sf_dir):
+    """grp_final_sum_precount over all orders."""
+    return A.grouped_final(flows.order_pairs(spark, sf_dir), ["grp"], "cents", ["item"], "sum", "precount", "global", "prefix")
+
+
 @query(f"""WITH {PAIRS} SELECT grp, strategy, CAST(sum(cents) AS BIGINT) AS value
 FROM pairs, (VALUES ('complete'), ('negation'), ('max_running'), ('precount')) AS s(strategy) GROUP BY grp, strategy""")
 def grp_strategy_agreement(spark, sf_dir):

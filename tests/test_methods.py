@@ -8,6 +8,8 @@ from stratasum.operators import markov as M
 from stratasum.operators import set_aggregates as A
 from stratasum.plans import fixpoint as X
 from stratasum.plans.program import Literal, NotStratifiable, Program, Rule, drop_count_stratum, last_delta, negation_to_lookup
+from stratasum.queries import methods
+from stratasum.sources import flows
 
 
 @pytest.fixture(scope="module")
@@ -205,3 +207,16 @@ def test_plans(spark, small):
     assert "CartesianProduct" not in running
     pruned = plan(flows.nation_weights(spark, small))
     assert "l_extendedprice" not in pruned
+
+
+def test_global_counter_over_all_orders(spark, small):
+    pairs = flows.order_pairs(spark, small).orderBy("item").collect()
+    groups = sorted({r["grp"] for r in pairs})
+    sums, want = dict.fromkeys(groups, 0), [(g, 0, 0) for g in groups]
+    for n, r in enumerate(pairs, 1):
+        sums[r["grp"]] += r["cents"]
+        want += [(g, n, sums[g]) for g in groups]
+    got = methods.QUERIES["grp_running_sum_global_all"](spark, small).collect()
+    assert sorted((r["grp"], r["counter"], r["running"]) for r in got) == sorted(want)
+    final = methods.QUERIES["grp_final_sum_precount_all"](spark, small).collect()
+    assert sorted((r["grp"], r["value"]) for r in final) == sorted(sums.items())
