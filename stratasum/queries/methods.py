@@ -366,6 +366,22 @@ def fix_reachability_naive(spark, sf_dir):
     return X.reachable_from(X.keep(_few_arcs(spark, sf_dir)), 1, "naive")
 
 
+def _all_arcs(spark, sf_dir):
+    return X.keep(flows.part_weights(spark, sf_dir).select("src", "dst").distinct())
+
+
+@query()
+def fix_reachability_all(spark, sf_dir):
+    """fix_reachability over the succession of all parts."""
+    return X.reachable_from(_all_arcs(spark, sf_dir), 1)
+
+
+@query()
+def fix_reachability_naive_all(spark, sf_dir):
+    """fix_reachability_naive over the succession of all parts."""
+    return X.reachable_from(_all_arcs(spark, sf_dir), 1, "naive")
+
+
 NATION_ARCS = WEIGHTS + ", few AS (SELECT src, dst FROM raw r WHERE weight > (SELECT 1.15 * avg(weight) FROM raw) AND src <> dst)"
 
 

@@ -220,3 +220,12 @@ def test_global_counter_over_all_orders(spark, small):
     assert sorted((r["grp"], r["counter"], r["running"]) for r in got) == sorted(want)
     final = methods.QUERIES["grp_final_sum_precount_all"](spark, small).collect()
     assert sorted((r["grp"], r["value"]) for r in final) == sorted(sums.items())
+
+
+@pytest.mark.parametrize("name", ["fix_reachability_all", "fix_reachability_naive_all"])
+def test_reachability_over_all_parts(spark, name, tmp_path):
+    parts = [1, 250, 900, 7, 5000, 1, 12, 13]  # one order after the other: paths through large numbers
+    rows = [(1, k, p) for k, p in enumerate(parts[:5])] + [(2, k, p) for k, p in enumerate(parts[5:7])] + [(3, 0, 13), (3, 1, 12)]
+    spark.createDataFrame([(o, k, p, 1) for o, k, p in rows], "l_orderkey bigint, l_linenumber int, l_partkey bigint, l_suppkey bigint").write.parquet(f"{tmp_path}/lineitem.parquet")
+    got = methods.QUERIES[name](spark, str(tmp_path))
+    assert sorted(r["node"] for r in got.collect()) == [1, 7, 12, 250, 900, 5000]
