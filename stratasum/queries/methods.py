@@ -427,6 +427,23 @@ def premap_shortest_stratified(spark, sf_dir):
     return X.stratified_min(_costs(spark, sf_dir), 1, 3).select("node", F.round("cost", 6).alias("cost"))
 
 
+def _all_costs(spark, sf_dir):
+    arcs = M.transition(flows._succession(spark, sf_dir, "l_suppkey"))
+    return X.keep(arcs.select("src", "dst", (1 - F.col("share")).alias("cost_of")))
+
+
+@query()
+def premap_shortest_all(spark, sf_dir):
+    """premap_shortest over the arcs of all suppliers."""
+    return X.min_in_recursion(_all_costs(spark, sf_dir), 1).select("node", F.round("cost", 6).alias("cost"))
+
+
+@query()
+def premap_shortest_stratified_all(spark, sf_dir):
+    """premap_shortest_stratified over the arcs of all suppliers. It lists all paths, which is what the minimum in recursion avoids."""
+    return X.stratified_min(_all_costs(spark, sf_dir), 1, 3).select("node", F.round("cost", 6).alias("cost"))
+
+
 @query()
 def monotone_threshold(spark, sf_dir):
     arcs = X.keep(flows._succession(spark, sf_dir, "l_suppkey").select("src", "dst").distinct())

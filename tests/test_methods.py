@@ -229,3 +229,19 @@ def test_reachability_over_all_parts(spark, name, tmp_path):
     spark.createDataFrame([(o, k, p, 1) for o, k, p in rows], "l_orderkey bigint, l_linenumber int, l_partkey bigint, l_suppkey bigint").write.parquet(f"{tmp_path}/lineitem.parquet")
     got = methods.QUERIES[name](spark, str(tmp_path))
     assert sorted(r["node"] for r in got.collect()) == [1, 7, 12, 250, 900, 5000]
+
+
+@pytest.mark.parametrize("name", ["premap_shortest_all", "premap_shortest_stratified_all"])
+def test_shortest_over_all_suppliers(spark, name, tmp_path):
+    orders = [[1, 50, 70, 2], [1, 3], [1, 3], [3, 50], [3, 90], [70, 4], [50, 50]]
+    rows = [(o, k, 1, s) for o, own in enumerate(orders) for k, s in enumerate(own)]
+    spark.createDataFrame(rows, "l_orderkey bigint, l_linenumber int, l_partkey bigint, l_suppkey bigint").write.parquet(f"{tmp_path}/lineitem.parquet")
+    arcs = [(a, b) for own in orders for a, b in zip(own, own[1:], strict=False)]
+    cost = {(a, b): 1 - arcs.count((a, b)) / sum(x == a for x, _ in arcs) for a, b in arcs}
+    best = {1: 0.0}
+    for _ in range(3):  # no least path has more arcs
+        for (a, b), c in cost.items():
+            if a in best:
+                best[b] = min(best.get(b, math.inf), best[a] + c)
+    got = {r["node"]: r["cost"] for r in methods.QUERIES[name](spark, str(tmp_path)).collect()}
+    assert set(got) == {1, 2, 3, 4, 50, 70, 90} and got == pytest.approx(best, abs=1e-6)
