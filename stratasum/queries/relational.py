@@ -3,14 +3,14 @@
 from __future__ import annotations
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from stratasum.functions.aggspec import grouped_udaf
 from stratasum.operators import relational as R
 from stratasum.sources.catalog import scan, table, views, write
 from stratasum.sources.flows import part_points
-from stratasum.plans.materialize import shared_folder
+from stratasum.plans.materialize import keep, shared_folder
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -208,6 +208,33 @@ def udtf_running(spark, sf_dir):
     return spark.sql("SELECT f.counter, f.running FROM twenty_suppliers, LATERAL continuous_sum(cs) f")
 
 
+@query()
+def udtf_running_all(spark, sf_dir):
+    """udtf_running over all suppliers: the table function gets a part of the order at a time and goes on from the parts before it."""
+
+    @F.udtf(returnType="counter bigint, running bigint")
+    class Facts:
+        def __init__(self):
+            self.n = None
+
+        def eval(self, row):
+            if self.n is None:
+                self.n, self.total = row["n0"], row["c0"]
+            self.n += 1
+            self.total += row["c"] or 0
+            yield self.n, self.total
+
+    spark.udtf.register("continuous_sum_of_parts", Facts)
+    items = table(spark, sf_dir, "supplier").select("s_suppkey", F.round(F.col("s_acctbal") * 100).cast("bigint").alias("c"))
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    dealt = keep(items.repartitionByRange(parts, "s_suppkey").withColumn("part", F.spark_partition_id()))
+    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)  # a row a part
+    sizes = dealt.groupBy("part").agg(F.count(F.lit(1)).alias("n"), F.sum("c").alias("cs"))
+    offsets = sizes.select("part", *[F.coalesce(F.sum(x).over(before), F.lit(0)).alias(y) for x, y in (("n", "n0"), ("cs", "c0"))])
+    dealt.join(F.broadcast(offsets), "part").createOrReplaceTempView("supplier_parts")
+    return spark.sql("SELECT counter, running FROM continuous_sum_of_parts(TABLE(supplier_parts) PARTITION BY part ORDER BY s_suppkey)")
+
+
 @query()
 def op_sample(spark, sf_dir):
     """A tenth of the rows by a hash, the same rows each time."""
