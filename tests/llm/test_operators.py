@@ -1,3 +1,5 @@
+import base64
+import gzip
 import hashlib
 import math
 import random
@@ -323,21 +325,86 @@ def test_chat_equals_sql(spark):
     assert sorted((tuple(r) for r in got.select(*want.columns).collect()), key=key) == sorted(want.fetchall(), key=key)
 
 
+PAGES = "page_id bigint, url string, html string"
+
+
+def brute_pages(rows, least_bytes=0):
+    """page_id, payload_bytes, payload_digest, record_type, refers_to by the definition."""
+    first = {}
+    for i, _, html in rows:
+        key = (html or "").encode()
+        first.setdefault(key, set()).add(i)
+    out = []
+    for i, _, html in rows:
+        payload = (html or "").encode()
+        named = [x for x in first[payload] if x is not None]
+        least = min(named) if named else None
+        answer = len(payload) < least_bytes or i == least
+        out.append((i, len(payload), base64.b32encode(hashlib.sha1(payload).digest()).decode(), "response" if answer else "revisit", None if answer else least))
+    return sorted(out, key=str)
+
+
 def test_archives_and_index(spark, tmp_path):
-    pages = [(1, "http://www.b.example.org/x?q=1", "<p>a\r\n\r\nb"), (2, "http://a.example.org/", "<p>a\r\n\r\nb"), (3, None, None), (4, "http://a.example.org/\r\nX: y", ""), (5, "https://a.example.org/é", "é" * 1000)]
-    df = spark.createDataFrame(pages, "page_id bigint, url string, html string").withColumn("sha", F.lit("clash"))
-    W.write_archives(df, f"file://{tmp_path}/warc")
-    W.write_index(W.captures(spark, f"file://{tmp_path}/warc"), f"file://{tmp_path}/index", block_lines=2)
-    got = {r["page_id"]: r for r in W.read_index(spark, f"file://{tmp_path}/index").collect()}
-    assert {k: (r["record_type"], r["refers_to"], r["payload_bytes"]) for k, r in got.items()} == {1: ("response", None, 9), 2: ("revisit", 1, 9), 3: ("response", None, 0), 4: ("revisit", 3, 0), 5: ("response", None, 2000)}
-    import base64
-
-    assert got[2]["payload_digest"] == base64.b32encode(hashlib.sha1(b"<p>a\r\n\r\nb").digest()).decode()
-    found = W.lookup(spark, f"file://{tmp_path}/index", "https://a.example.org/é")
-    assert [c["page_id"] for c in found] == [5]
-    head, block = W.read_record(spark, found[0]["file"], found[0]["offset"], found[0]["length"])
-    assert block.endswith("é".encode() * 1000) and head[b"warc-type"] == b"response"
-    assert W.lookup(spark, f"file://{tmp_path}/index", "http://nowhere.example/") == []
+    rows = [(1, "http://www.b.example.org/x?q=1", "<p>a\r\n\r\nb"), (2, "http://a.example.org/", "<p>a\r\n\r\nb"), (3, None, None), (4, "http://a.example.org/\r\nX: y", ""), (5, "https://a.example.org/é", "é" * 1000)]
+    rows += [(5, "https://a.example.org/é", "é" * 1000), (None, "http://c.example.org", "é" * 1000), (None, "http://[", "own"), (None, None, "own"), (6, "http://a.example.org/", "x" * 3_000_000)]
+    rows += [(k, f"http://h{k % 7}.example.org/{k}", f"<p>{k % 40}</p>") for k in range(10, 300)]
+    df = spark.createDataFrame(rows, PAGES).withColumn("sha", F.lit("clash")).withColumn("first", F.lit(1)).repartition(3)
+    place = f"file://{tmp_path}"
+    W.write_archives(df, f"{place}/warc", archive_bytes=3000)
+    files = [f for f in (tmp_path / "warc").iterdir() if f.name.startswith("part-")]
+    assert len(files) > 5
+    plain = b"".join(gzip.decompress(f.read_bytes()) for f in files)  # any reader of gzip takes them
+    assert plain.count(b"WARC/1.1\r\n") == len(rows)
+    W.write_index(W.captures(spark, f"{place}/warc"), f"{place}/index", block_lines=4, file_bytes=200)
+    found = W.lookup_all(spark, f"{place}/index", df)
+    got = found.collect()
+    assert sorted(((r["page_id"], r["payload_bytes"], r["payload_digest"], r["record_type"], r["refers_to"]) for r in got), key=str) == brute_pages(rows)
+    assert spark.read.parquet(f"{place}/index/files").count() > 5
+    assert [c["page_id"] for c in W.lookup(spark, f"{place}/index", "https://a.example.org/é")] == [5, 5]
+    assert sorted(c["page_id"] for c in W.lookup(spark, f"{place}/index", "http://a.example.org/")) == [2, 6]
+    assert W.lookup(spark, f"{place}/index", "http://nowhere.example/") == []
+    texts = {i: html or "" for i, _, html in rows if i is not None}
+    for r in got[::20]:
+        head, block = W.read_record(spark, r["file"], r["offset"], r["length"])
+        assert head[b"warc-type"].decode() == r["record_type"]
+        if r["record_type"] == "response" and r["page_id"] is not None:
+            assert block.partition(b"\r\n\r\n")[2].decode() == texts[r["page_id"]]
+
+
+def test_small_payloads_are_all_responses(spark, tmp_path):
+    rows = [(1, "u", "same"), (2, "u", "same"), (3, "u", "longer text"), (4, "u", "longer text")]
+    W.write_archives(spark.createDataFrame(rows, PAGES), f"file://{tmp_path}/warc", least_bytes=5)
+    got = [(r["page_id"], r["payload_bytes"], r["payload_digest"], r["record_type"], r["refers_to"]) for r in W.captures(spark, f"file://{tmp_path}/warc").collect()]
+    assert sorted(got, key=str) == brute_pages(rows, 5)
+
+
+def test_index_reads_few_blocks(tmp_path):
+    lines = [(f"k{n:04}", n, *[None] * 8) for n in range(0, 2000, 2)]
+    blocks = [lines[k : k + 50] for k in range(0, 1000, 50)]
+    directory, data = [], b""
+    for b in blocks:
+        packed = W._pack_lines(b)
+        directory.append((*W._key(*b[0][:2]), *W._key(*b[-1][:2]), len(data), len(packed)))
+        data += packed
+    (tmp_path / "one").write_bytes(data + W._pack_lines(directory) + b"%0*d" % (W.PLACE_DIGITS, len(data)) + b"\n")
+    for key in (0, 98, 99, 100, 1998, 1999, 2500):
+        index = W.IndexFiles([(f"{tmp_path}/one", ("k0000", 0), ("k1998", 1998))])
+        got = [line[1] for line in index.find((f"k{key:04}", W.LEAST_ID), (f"k{key:04}", -W.LEAST_ID))]
+        assert got == ([key] if key % 2 == 0 and key < 2000 else []) and index.blocks_read <= 1
+
+
+def test_every_page_of_the_table(spark):
+    rows = spark.read.parquet(f"{SMALL}/pages.parquet").select("page_id", "url", "html").collect()
+    got = W.op5_warc_index(spark, SMALL).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to").collect()
+    assert sorted((tuple(r) for r in got), key=str) == brute_pages(rows)
+
+
+def test_no_pages(spark, tmp_path):
+    none = spark.createDataFrame([], PAGES)
+    W.write_archives(none, f"file://{tmp_path}/warc")
+    W.write_index(W.captures(spark, f"file://{tmp_path}/warc"), f"file://{tmp_path}/index")
+    assert W.lookup_all(spark, f"file://{tmp_path}/index", none).count() == 0
+    assert W.lookup(spark, f"file://{tmp_path}/index", "http://a.example.org/") == []
 
 
 def test_shards(spark):
