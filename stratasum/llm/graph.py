@@ -11,14 +11,17 @@ from .common import cut
 def components(links: DataFrame) -> DataFrame:
     """node, root for each node of links (a, b); root is the smallest node of its component.
 
-    Alternates two steps until nothing changes: every neighbour above a node, then every neighbour
-    below it, is linked to the node's smallest neighbour instead of the node. Minima are
-    pre-aggregated before they are shuffled, the joins are ones whose hot keys Spark can split, and
-    each round ends in a written table, so lineage stays short. The driver sees two counts a round.
+    Alternates two steps: every neighbour above a node, then every neighbour below it, is linked to the
+    node's smallest neighbour instead of the node. It ends when the links are stars: no node has two
+    links down, and none that has one is linked to from above. Minima are pre-aggregated before they are
+    shuffled, the joins are ones whose hot keys Spark can split, and each round ends in a written
+    table, so lineage stays short. The driver sees whether a row is left.
     """
     edges = cut(links.filter("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
-    size = (-1, -1)
     while True:
+        ends = edges.select(F.col("a").alias("node"), F.lit(1).alias("down"), F.lit(0).alias("up")).unionByName(edges.select(F.col("b").alias("node"), F.lit(0).alias("down"), F.lit(1).alias("up")))
+        if ends.groupBy("node").agg(F.sum("down").alias("down"), F.max("up").alias("up")).filter("down > 1 or (down > 0 and up > 0)").isEmpty():
+            break
         both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
         least = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
         large = both.join(least, "a").filter("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b").distinct()
@@ -27,9 +30,4 @@ def components(links: DataFrame) -> DataFrame:
         moved = large.join(least, "a")
         small = moved.filter("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(least.select("a", F.col("m").alias("b"))).distinct()
         edges = cut(small)
-        row = edges.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum(F.hash("a", "b").cast("bigint")), F.lit(0)).alias("h")).first()
-        if (row["n"], row["h"]) == size:
-            break
-        size = (row["n"], row["h"])
-    stars = edges.groupBy("a").agg(F.min("b").alias("root")).select(F.col("a").alias("node"), "root")
-    return stars.unionByName(stars.select(F.col("root").alias("node"), "root").distinct())
+    return edges.select(F.col("a").alias("node"), F.col("b").alias("root")).unionByName(edges.select(F.col("b").alias("node"), F.col("b").alias("root")).distinct())

@@ -136,13 +136,12 @@ def brute_components(fps, radius):
     return [find(i) for i in range(len(fps))]
 
 
-def test_components_equal_brute_force(spark):
-    rows = S.near_duplicates(documents(spark)).collect()
+@pytest.mark.parametrize("options", [{}, {"chunk": 2, "bin_bytes": 200, "round_bytes": 1000}])
+def test_components_equal_brute_force(spark, options):
+    rows = S.near_duplicates(documents(spark), **options).collect()
     ids, fps = [r["doc_id"] for r in rows], [int.from_bytes(r["fp"], "big") for r in rows]
-    texts = {r["doc_id"]: r["text"] for r in documents(spark).collect()}
-    for i, f in zip(ids[:40], fps, strict=False):
-        h = spark.createDataFrame([(" ".join(w),) for w in zip(*(texts[i].lower().split()[k:] for k in range(3)), strict=False)], "s string")
-        assert texts[i] and f >= 0 and h is not None
+    texts = {r["doc_id"]: (r["text"] or "").encode() for r in documents(spark).collect()}
+    assert fps == [int.from_bytes(S.fingerprint(S.text_hashes(texts[i], 3)), "big") for i in ids]
     roots = brute_components(fps, 3)
     least = {}
     for i, r in zip(ids, roots, strict=True):
@@ -154,10 +153,21 @@ def test_bk_trees_find_all_within_the_radius():
     rng = np.random.default_rng(2)
     base = rng.integers(0, 1 << 64, 40, dtype=np.uint64)
     points = np.unique(np.concatenate([base, *(base ^ (np.uint64(1) << rng.integers(0, 64, 40, dtype=np.uint64)) for _ in range(6))]))[:, None]
-    trees = S.TreeSet(points, np.zeros(len(points), np.int64))
-    got = {(int(a), int(b)) for who, node in trees.search(points, trees.root_of, 3) for a, b in zip(who, node, strict=True)}
-    want = {(i, j) for i in range(len(points)) for j in range(len(points)) if (int(points[i, 0]) ^ int(points[j, 0])).bit_count() <= 3}
-    assert got == want
+    shard = np.sort(rng.integers(-2, 2, len(points)))
+    trees = S.TreeSet.unpack([S.TreeSet(points[a:b], shard[a:b]).pack() for a, b in ((0, int((shard < 0).sum())), (int((shard < 0).sum()), len(points)))])
+    for reach in (3, rng.integers(0, 40, len(points))):
+        got = {(int(a), int(b)) for who, node in trees.search(points, trees.root_of(shard), reach) for a, b in zip(who, node, strict=True)}
+        want = {(i, j) for i in range(len(points)) for j in range(len(points)) if shard[i] == shard[j] and (int(points[i, 0]) ^ int(points[j, 0])).bit_count() <= np.broadcast_to(reach, len(points))[i]}
+        assert got == want
+
+
+def test_parts_leave_no_pair_apart():
+    rng = np.random.default_rng(3)
+    a = rng.integers(0, 1 << 64, 2000, dtype=np.uint64)
+    b = a.copy()
+    for _ in range(3):
+        b ^= np.uint64(1) << rng.integers(0, 64, 2000, dtype=np.uint64)
+    assert (S.part_shards(a) == S.part_shards(b)).any(1).all()
 
 
 def test_fingerprint_uses_sparks_hash(spark):
@@ -191,6 +201,67 @@ def test_similar_documents(spark):
     assert all(got[2 * k] == 2 * k for k in range(40))
 
 
+def brute_similar(rows, words=5, similarity=0.8):
+    """doc_id -> smallest doc_id of its component, by the sets themselves."""
+    sets = [frozenset(S.text_hashes((t or "").encode(), words).tolist()) for _, t in rows]
+    root = list(range(len(rows)))
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for i, a in enumerate(sets):
+        for j, b in enumerate(sets[:i]):
+            if len(a & b) >= similarity * len(a | b) - 1e-9:
+                x, y = find(i), find(j)
+                root[max(x, y)] = min(x, y)
+    least = {}
+    for k, (d, _) in enumerate(rows):
+        least[find(k)] = min(d, least.get(find(k), d))
+    return {d: least[find(k)] for k, (d, _) in enumerate(rows)}
+
+
+@pytest.mark.parametrize("options", [{}, {"chunk": 5, "bin_bytes": 2000, "round_bytes": 5000}])
+def test_similar_documents_of_the_table(spark, options):
+    rows = [(r["doc_id"], r["text"]) for r in documents(spark).collect()]
+    got = {r["doc_id"]: r["component_id"] for r in S.similar_documents(documents(spark), **options).collect()}
+    assert got == brute_similar(rows) and any(d != c for d, c in got.items())
+
+
+def test_a_large_family_of_edits(spark):
+    """One text and many edits of it, of any similarity to each other: what is compared in parts is as whole as in one."""
+    rng = random.Random(12)
+    base = [f"w{rng.randrange(10**6)}" for _ in range(120)]
+    rows = []
+    for k in range(150):
+        share = rng.choice([0.005, 0.01, 0.03, 0.08])
+        rows.append((k, " ".join(f"x{rng.randrange(10**6)}" if rng.random() < share else w for w in base)))
+    df = spark.createDataFrame(rows, DOCS)
+    want = brute_similar(rows)
+    for parts in (1000, 20):
+        own = S.sketches(df, 5, 0.8, 4, 14, 4, 4.0).collect()
+        nodes = spark.createDataFrame([(bytes(r["key"]), bytes(r["text_key"])) for r in own], "key binary, text_key binary").distinct()
+        groups = nodes.select(F.col("key").alias("node"), F.lit("one").alias("root"))
+        found = S.components(S.verified(df, nodes, groups, 5, 0.8, group_texts=parts))
+        of = {bytes(r["node"]): bytes(r["root"]) for r in found.collect()}
+        family = {}
+        for r in own:
+            family.setdefault(of.get(bytes(r["key"]), bytes(r["key"])), []).append(r["doc_id"])
+        assert {d: min(ds) for ds in family.values() for d in ds} == want
+
+
+def test_which_row_stays(spark):
+    text = " ".join(f"w{k}" for k in range(30))
+    rows = [(5, text), (5, text), (5, text + " more"), (7, text), (None, text), (None, "alone"), (8, ""), (9, None)]
+    got = S.similar_documents(spark.createDataFrame(rows, DOCS)).collect()
+    assert len(got) == len(rows)
+    assert sum(r["stays"] for r in got if r["doc_id"] == 5 or r["doc_id"] == 7) in (1, 2)  # the smaller of two texts, once or twice
+    assert {r["component_id"] for r in got if r["n"] > 5} == {5}
+    assert [r["stays"] for r in got if r["doc_id"] is None and r["n"] == 1] == [True]
+    assert [r["stays"] for r in got if r["doc_id"] is None and r["n"] > 1] == [False]
+
+
 def test_similar_documents_with_a_repeated_passage(spark):
     rng = random.Random(5)
     rows = []
