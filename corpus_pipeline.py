@@ -5,13 +5,13 @@ return the columns of documents. `run` writes each stage's rows in the shared fo
 again for the next.
 
 Defined results: empty and null texts have no language and go in the first stage; later stages keep
-rows whose text has become empty; rows that repeat a doc_id are one document to the near-duplicate
+rows whose text has become empty; rows that repeat doc_id and text are one document to the near-duplicate
 stage, and one of them stays; columns that documents has besides its own stay as they are.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from stratasum.llm import bpe_automaton, decontaminate, line_dedup, ppm_language, simhash_bktree
@@ -19,6 +19,8 @@ from stratasum.llm.common import cut, table
 
 #: Bits a byte of text takes without a model. A text that no language codes in fewer is in none of them.
 PLAIN_BITS = 8.0
+#: A column that the near-duplicate stage adds for itself.
+TEXT_KEY = "__text_md5"
 #: Words that a worker of the last stage keeps, beside what earlier stages left in it.
 WORDS_KEPT = 60_000
 
@@ -36,16 +38,23 @@ def line_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near-duplicates (five words, similarity 0.8) the smallest doc_id stays; a text without words is no duplicate."""
-    found = simhash_bktree.similar_documents(docs)
-    gone = cut(found.filter(F.col("component_id") < F.col("doc_id")).filter("hex(fp) rlike '[1-9A-F]'").select("doc_id").distinct())
-    left = docs.join(gone, "doc_id", "left_anti")
-    # rows that repeat a doc_id: one stays; only the repeated ids meet their texts
-    twice = cut(docs.select("doc_id").filter("doc_id is not null").groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("doc_id"))
+    """Of each group of near-duplicates (five words, similarity 0.8) the row with the smallest doc_id, then text, stays; a text without words is no duplicate.
+
+    Rows are told apart by doc_id and text; of rows alike in both, one stays. A null doc_id is the largest.
+    """
+    found = cut(simhash_bktree.similar_documents(docs).filter("n > 0").select("doc_id", "text_key", "stays"))
+    gone = cut(found.filter("not stays").select("doc_id", "text_key").distinct())
+    keyed = docs.withColumn(TEXT_KEY, F.unhex(F.md5(F.coalesce("text", F.lit("")))))
+    left = keyed.join(gone, _same_row(keyed, gone), "left_anti")
+    twice = cut(found.filter("stays").groupBy("doc_id", "text_key").agg(F.count(F.lit(1)).alias("rows")).filter("rows > 1"))
     if twice.isEmpty():
         return left.select(*docs.columns)
-    one = left.join(twice, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return left.join(twice, "doc_id", "left_anti").select(*docs.columns).unionByName(one.select(*docs.columns))
+    one = left.join(twice, _same_row(left, twice), "left_semi").dropDuplicates(["doc_id", TEXT_KEY])
+    return left.join(twice, _same_row(left, twice), "left_anti").select(*docs.columns).unionByName(one.select(*docs.columns))
+
+
+def _same_row(docs: DataFrame, other: DataFrame) -> Column:
+    return docs["doc_id"].eqNullSafe(other["doc_id"]) & (docs[TEXT_KEY] == other["text_key"])
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
