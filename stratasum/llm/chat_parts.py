@@ -15,7 +15,8 @@ code points, and for the conversation as spans.
 One conversation is one row, as its digest needs; its turns are pre-aggregated before the shuffle.
 
 Defined results: null texts and roles count as empty; turns of a conversation are ordered by turn
-(nulls first), then role, then text, and repeated rows stay as turns; a null conv_id is a conversation;
+(nulls first), then role, then the text of their parts, and repeated rows stay as turns; conv_id and turn
+are of any types that sort (`op3` reads them as whole numbers, and a text that is none raises); a null conv_id is a conversation;
 an unknown part type is kept as a placeholder with no tokens; no rows, no conversations.
 """
 
@@ -64,8 +65,9 @@ def format_chat(turns: DataFrame, trained: tuple[str, ...] = TRAINED) -> DataFra
     attachments: number, turn_index, type, ref, tokens.
     """
     parts = F.coalesce(F.col("parts").cast(PARTS), F.array().cast(PARTS))
-    key = F.to_json(F.struct(parts.alias("parts")))
-    rows = turns.select("conv_id", F.struct("turn", F.coalesce(F.col("role").cast("string"), F.lit("")).alias("role"), key.alias("key"), parts.alias("parts")).alias("t"))
+    text = F.array_join(F.transform(parts, lambda p: F.coalesce(p["text"], F.lit(""))), "")
+    rest = F.to_json(F.struct(parts.alias("parts")))  # of turns alike in their texts
+    rows = turns.select("conv_id", F.struct("turn", F.coalesce(F.col("role").cast("string"), F.lit("")).alias("role"), text.alias("text"), rest.alias("rest"), parts.alias("parts")).alias("t"))
     whole = rows.groupBy("conv_id").agg(F.sort_array(F.collect_list("t")).alias("ts"))
     # number of attachments before each turn, by one pass over the counts
     held = F.transform("ts", lambda t: F.size(F.filter(t["parts"], lambda p: ~_is_text(p))))

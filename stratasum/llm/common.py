@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import ctypes
 import gc
+import re
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -27,22 +28,41 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """A new folder name under the checkpoint folder of the session, which driver and executors share.
+    """A new folder name under the checkpoint folder of the session, which driver and executors share, in a folder of this application.
 
-    Only where the session names none (single-JVM tests) a temporary folder takes its place.
+    Only in local mode, where they are one process, a session without one gets a temporary folder.
     """
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         base = "file://" + tempfile.mkdtemp(prefix="stratasum-")
         spark.sparkContext.setCheckpointDir(base)
-    return f"{base.rstrip('/')}/tables/{uuid.uuid4().hex}"
+    return f"{base.rstrip('/')}/tables/{spark.sparkContext.applicationId}/{uuid.uuid4().hex}"
 
 
 def cut(df: DataFrame) -> DataFrame:
     """The same rows from a table written in the shared folder: lost executors do not lose it."""
     spark, path = df.sparkSession, shared_dir(df.sparkSession)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._cut_at = path
+    return out
+
+
+def drop(*tables: DataFrame | str) -> None:
+    """Removes tables that `cut` has written, or folders; nothing may read them after that."""
+    spark = SparkSession.active()
+    for t in tables:
+        path = t if isinstance(t, str) else getattr(t, "_cut_at", None)
+        if path:
+            place = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+            place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(place, True)
+
+
+def drop_all(spark: SparkSession) -> None:
+    """Removes all tables of this application. For the end of a job, when its results are elsewhere."""
+    drop(shared_dir(spark).rpartition("/")[0])
 
 
 def remainder(column: str, m: int) -> Column:

@@ -12,18 +12,22 @@ score. Every such pair is found:
   if not. No alignment scores more than the sum over its passage, so only passages whose sum can
   reach the similarity are aligned.
 
-The test set is the small side: it is cut into blocks of at most `block_words` words, and each block is
-broadcast and run against all documents. Nothing else is held; the counts are a row for each word
-of the test set.
+A seed is an n-gram of one word: longer ones would lose pairs whose every second or third word is
+replaced, which still score above the similarity.
+
+The test set is the small side: it is cut into blocks of at most `block_bytes`, and each block is
+broadcast and run against all documents. The driver holds one block and a row for each of its words.
 
 Defined results: words are runs of letters and digits in lower case; null and empty texts and items
-without words match nothing; repeated rows give repeated pairs; a null doc_id or item_id is kept.
+without words match nothing; repeated rows give repeated pairs; a null doc_id or item_id is kept, of
+whatever type; empty tables give no pairs, and nothing is taken away.
 """
 
 from __future__ import annotations
 
 import math
 import re
+from collections.abc import Iterator
 from itertools import repeat
 
 import numpy as np
@@ -35,7 +39,8 @@ from .common import cut, map_texts, table
 
 SIMILARITY = 0.5
 MATCH, REPLACED, GAP = 2, -1, -1
-BLOCK_WORDS = 2_000_000
+#: Bytes of the items that are indexed and broadcast at once.
+BLOCK_BYTES = 16 << 20
 WORD = re.compile(r"[^\W_]+")
 
 
@@ -107,8 +112,8 @@ class ItemIndex:
         enough = np.add.reduceat(found, np.cumsum(length) - length, dtype=np.int64) >= similarity * length - 1e-9
         return items[enough], n_seeds[enough]
 
-    def matches(self, text: str | None, similarity: float) -> list[tuple[int | None, float, int, int, int]]:
-        """item_id, score, seeds found, first and last word (exclusive) of the aligned passage."""
+    def matches(self, text: str | None, similarity: float, first_only: bool = False) -> list[tuple[int | None, float, int, int, int]]:
+        """item_id, score, seeds found, first and last word (exclusive) of the aligned passage; first_only: one item is enough."""
         own = self.numbers(words_of(text))
         at = np.flatnonzero(own)
         if not len(at):
@@ -124,6 +129,8 @@ class ItemIndex:
                 best = max(best, (score, a + end - min(end, len(item)), a + end))
             if best[0] > 0 and best[0] >= similarity:
                 out.append((self.ids[i], best[0], n_seeds, best[1], best[2]))
+                if first_only:
+                    break
         return out
 
     def _passages(self, at: np.ndarray, known: np.ndarray, item: np.ndarray, need: float) -> list[tuple[int, int]]:
@@ -145,17 +152,18 @@ class ItemIndex:
         return list(zip(first.tolist(), (last + 1).tolist(), strict=True))
 
 
-def blocks(benchmark: DataFrame, block_words: int = BLOCK_WORDS) -> list[list[tuple]]:
-    """The test set in blocks. It is the bounded side; the driver reads it row by row."""
-    out, size = [[]], 0
+def blocks(benchmark: DataFrame, block_bytes: int = BLOCK_BYTES) -> Iterator[list[tuple]]:
+    """The test set in blocks of about so many bytes of text, read row by row; the driver holds one block."""
+    out, size = [], 0
     for r in benchmark.select("item_id", "text").orderBy("item_id", "text").toLocalIterator():
-        n = len(r["text"] or "") // 2 + 1
-        if size + n > block_words and out[-1]:
-            out.append([])
-            size = 0
-        out[-1].append((r["item_id"], r["text"]))
+        n = len((r["text"] or "").encode()) + 16
+        if out and size + n > block_bytes:
+            yield out
+            out, size = [], 0
+        out.append((r["item_id"], r["text"]))
         size += n
-    return out
+    if out:
+        yield out
 
 
 def word_counts(docs: DataFrame, shared) -> DataFrame:
@@ -178,18 +186,24 @@ def word_counts(docs: DataFrame, shared) -> DataFrame:
     return map_texts(docs.select("text"), "word bigint, n bigint", make).groupBy("word").agg(F.sum("n").alias("n"))
 
 
-def contaminated(docs: DataFrame, benchmark: DataFrame, similarity: float = SIMILARITY, block_words: int = BLOCK_WORDS) -> DataFrame:
-    """doc_id, item_id, score, n_seeds, first_word, last_word of each document and item that align."""
-    spark, kind = docs.sparkSession, dict(docs.dtypes)["doc_id"]
-    schema = f"doc_id {kind}, item_id bigint, score double, n_seeds bigint, first_word bigint, last_word bigint"
-    found = None
-    for rows in blocks(benchmark, block_words):
+def _indexes(docs: DataFrame, benchmark: DataFrame, similarity: float, block_bytes: int) -> Iterator:
+    """The index of each block of the test set, broadcast, with seeds chosen by the counts of all documents."""
+    spark = docs.sparkSession
+    for rows in blocks(benchmark, block_bytes):
         index = ItemIndex(rows)
         if not index.items:
             continue
         counts = {r["word"]: r["n"] for r in word_counts(docs, spark.sparkContext.broadcast(index)).collect()}  # a row for each word of the block
         index.keep_rare(counts, similarity)
-        shared = spark.sparkContext.broadcast(index)
+        yield spark.sparkContext.broadcast(index)
+
+
+def contaminated(docs: DataFrame, benchmark: DataFrame, similarity: float = SIMILARITY, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """doc_id, item_id, score, n_seeds, first_word, last_word of each document and item that align."""
+    kind, item_kind = dict(docs.dtypes)["doc_id"], dict(benchmark.dtypes)["item_id"]
+    schema = f"doc_id {kind}, item_id {item_kind}, score double, n_seeds bigint, first_word bigint, last_word bigint"
+    found = None
+    for shared in _indexes(docs, benchmark, similarity, block_bytes):
 
         def make(shared=shared):
             own = shared.value
@@ -201,15 +215,32 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, similarity: float = SIMI
                         got.extend(hits)
                         at.extend([k] * len(hits))
                 ids = part.column("doc_id").take(pa.array(at, pa.int64()))
-                kinds = (pa.int64(), pa.float64(), pa.int64(), pa.int64(), pa.int64())
-                columns = [pa.array([g[c] for g in got], t) for c, t in enumerate(kinds)]
-                return pa.RecordBatch.from_arrays([ids, *columns], ["doc_id", "item_id", "score", "n_seeds", "first_word", "last_word"])
+                items = pa.array([g[0] for g in got]) if got else pa.array([], pa.null())
+                kinds = (pa.float64(), pa.int64(), pa.int64(), pa.int64())
+                columns = [pa.array([g[c] for g in got], t) for c, t in enumerate(kinds, 1)]
+                return pa.RecordBatch.from_arrays([ids, items, *columns], ["doc_id", "item_id", "score", "n_seeds", "first_word", "last_word"])
 
             return one
 
         part = map_texts(docs.select("doc_id", "text"), schema, make)
         found = part if found is None else cut(found.unionByName(part))
-    return spark.createDataFrame([], schema) if found is None else found
+    return docs.sparkSession.createDataFrame([], schema) if found is None else found
+
+
+def clean(docs: DataFrame, benchmark: DataFrame, similarity: float = SIMILARITY, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """The rows of docs, with all their columns, whose text aligns with no item. Each row is judged by its own text, whatever its doc_id; nothing is joined."""
+    for shared in _indexes(docs, benchmark, similarity, block_bytes):
+
+        def make(shared=shared):
+            own = shared.value
+
+            def one(part: pa.RecordBatch) -> pa.RecordBatch:
+                return part.filter(pa.array([not (text and own.matches(text, similarity, True)) for text in part.column("text").to_pylist()], pa.bool_()))
+
+            return one
+
+        docs = map_texts(docs, docs.schema, make)
+    return docs
 
 
 def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -45,7 +45,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import as_bytes, cut, kept_in_worker, map_texts, shared_dir, table
+from .common import as_bytes, cut, drop, kept_in_worker, map_texts, shared_dir, table
 from .graph import components
 
 WORDS, RADIUS, PARTS, SEED = 3, 3, 5, 42
@@ -360,6 +360,7 @@ def links(nodes: DataFrame, n_words: int, key_bytes: int, chunk: int = CHUNK, ro
         found = live.filter(F.col("round") == r).select("tree", "key", "fp", "reach").mapInArrow(lambda b, s=shared, m=name: _probe(b, m, s, n_words, key_bytes), "a binary, b binary")
         found.distinct().write.mode("append").parquet(f"{place}/links")
         shared.unpersist()
+    drop(sizes, trees, f"{place}/live")
     return spark.read.schema("a binary, b binary").parquet(f"{place}/links")
 
 

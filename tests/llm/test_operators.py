@@ -387,6 +387,16 @@ def test_chat_round_trip(spark):
     assert C.format_chat(turns.limit(0)).count() == 0
 
 
+def test_tied_turns_are_ordered_by_text(spark, tmp_path):
+    rows = [(1, 0, "user", "ok thanks"), (1, 0, "user", "ok"), (1, 0, "user", None), (1, 0, "user", 'ok "so"'), (1, 0, "user", "ok"), (1, None, None, "é\\<|"), (None, 2, "assistant", "a"), (None, 2, "assistant", "A")]
+    spark.createDataFrame(rows, "conv_id bigint, turn bigint, role string, text string").write.parquet(f"{tmp_path}/conversations.parquet")
+    con = duckdb.connect()
+    con.execute(f"create view conversations as select * from '{tmp_path}/conversations.parquet/*.parquet'")
+    want = con.sql(C.ORACLE_SQL)
+    got = C.op3_chat_parts(spark, str(tmp_path)).select(*want.columns)
+    assert sorted(map(tuple, got.collect()), key=str) == sorted(want.fetchall(), key=str)
+
+
 def test_chat_equals_sql(spark):
     con = duckdb.connect()
     con.execute(f"create view conversations as select * from '{SMALL}/conversations.parquet'")
@@ -520,9 +530,30 @@ def test_contaminated_equals_brute_force(spark):
     got = {(r["doc_id"], r["item_id"]) for r in D.contaminated(documents(spark), benchmark).collect()}
     vocabulary = {}
     code = lambda t: np.array([vocabulary.setdefault(w, len(vocabulary)) for w in D.words_of(t)])
-    coded = [(d["doc_id"], code(d["text"])) for d in docs if len(d["text"]) < 3000]
-    want = {(i, x["item_id"]) for i, words in coded for x in items if D.align(code(x["text"]), words)[0] >= D.SIMILARITY}
-    assert {p for p in got if p[0] in {i for i, _ in coded}} == want and want
+    coded = [(d["doc_id"], code(d["text"] or "")) for d in docs]
+    want = {(i, x["item_id"]) for i, words in coded for x in items if len(words) and D.align(code(x["text"]), words)[0] >= D.SIMILARITY}
+    assert got == want and want
+    left = {r["doc_id"] for r in D.clean(documents(spark), benchmark, block_bytes=2000).collect()}
+    assert left == {d["doc_id"] for d in docs} - {i for i, _ in want}
+
+
+def test_every_third_word_replaced(spark):
+    item = " ".join(f"w{k}" for k in range(20))
+    copy = " ".join("other" if k % 3 == 2 else f"w{k}" for k in range(20))
+    benchmark = spark.createDataFrame([("i", item)], "item_id string, text string")
+    got = D.contaminated(spark.createDataFrame([("d", f"before {copy} after")], "doc_id string, text string"), benchmark).collect()
+    assert [(r["doc_id"], r["item_id"]) for r in got] == [("d", "i")] and got[0]["score"] >= 0.5
+
+
+def test_rows_are_cleaned_by_their_own_text(spark):
+    item = " ".join(f"w{k}" for k in range(20))
+    benchmark = spark.createDataFrame([(1, item)], "item_id bigint, text string")
+    rows = [(None, item), (None, "clean"), (5, "clean too"), (5, item), (6, None), (7, "")]
+    docs = spark.createDataFrame(rows, DOCS).withColumn("item_id", F.lit("clash"))
+    got = D.clean(docs, benchmark)
+    assert got.columns == docs.columns
+    assert sorted(((r["doc_id"], r["text"]) for r in got.collect()), key=str) == sorted([(None, "clean"), (5, "clean too"), (6, None), (7, "")], key=str)
+    assert D.clean(docs, benchmark.limit(0)).count() == 6 and D.clean(docs.limit(0), benchmark).count() == 0
 
 
 def test_edited_and_hot_copies(spark):
@@ -532,7 +563,7 @@ def test_edited_and_hot_copies(spark):
     benchmark = spark.createDataFrame([(9, item), (10, None), (11, "")], "item_id bigint, text string")
     got = D.contaminated(spark.createDataFrame(rows, DOCS), benchmark).collect()
     assert sorted(r["doc_id"] for r in got) == list(range(50)) and {r["item_id"] for r in got} == {9}
-    assert D.contaminated(spark.createDataFrame(rows, DOCS), benchmark, block_words=1).count() == 50
+    assert D.contaminated(spark.createDataFrame(rows, DOCS), benchmark, block_bytes=1).count() == 50
     assert D.contaminated(spark.createDataFrame(rows, DOCS), benchmark.limit(0)).count() == 0
 
 
