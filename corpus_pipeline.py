@@ -45,7 +45,8 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     found = cut(simhash_bktree.similar_documents(docs).filter("n > 0").select("doc_id", "text_key", "stays"))
     gone = cut(found.filter("not stays").select("doc_id", "text_key").distinct())
     keyed = docs.withColumn(TEXT_KEY, F.unhex(F.md5(F.coalesce("text", F.lit("")))))
-    left = keyed.join(gone, _same_row(keyed, gone), "left_anti")
+    # texts are dealt by row at every size: the rows that go grow with the input, and are not to be broadcast while they are few
+    left = keyed.join(gone.hint("merge"), _same_row(keyed, gone), "left_anti")
     twice = cut(found.filter("stays").groupBy("doc_id", "text_key").agg(F.count(F.lit(1)).alias("rows")).filter("rows > 1"))
     if twice.isEmpty():
         return left.select(*docs.columns)
@@ -58,12 +59,8 @@ def _same_row(docs: DataFrame, other: DataFrame) -> Column:
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that align with a benchmark item go."""
-    return docs.join(_hit_ids(docs, table(spark, sf_dir, "benchmark")), "doc_id", "left_anti").select(*docs.columns)
-
-
-def _hit_ids(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    return cut(decontaminate.contaminated(docs, benchmark).select("doc_id").distinct())
+    """Rows that align with a benchmark item go, each by its own text."""
+    return decontaminate.clean(docs, table(spark, sf_dir, "benchmark"))
 
 
 def encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
