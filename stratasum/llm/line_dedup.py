@@ -2,25 +2,31 @@
 
 A line's key is the line without white space at its ends and with A-Z in lower case. Keys of at least
 `min_chars` code points that at least `min_docs` documents hold lose all their lines, except in the
-largest doc_id that holds them. Each document gives its distinct keys once, as 128-bit hashes; a
-pre-aggregated count finds the frequent ones. Those are dealt to shards of bounded size by their
-hash. A task builds for each shard a minimal perfect hash (levels of bit arrays; keys that collide go
-one level down) and, in its order, arrays of 64-bit fingerprints, counts and largest doc_ids.
-Documents probe the arrays; their lines are never joined or shuffled.
-
-The arrays are broadcast while they take at most `broadcast_bytes`. Beyond, they are probed in rounds
-of shard groups of that size, with the marks kept in a written table between rounds, so that neither
-an executor nor the driver ever holds more than one group.
+largest doc_id that holds them. Each document gives its distinct keys once, as 128-bit hashes, whose
+documents are counted with pre-aggregation. All distinct hashes but those of a single document, which
+no threshold asks for, are dealt to shards of bounded size. A task builds for each shard a minimal
+perfect hash (levels of bit arrays; keys that collide go one level down) and, in its order, arrays of
+64-bit fingerprints, of counts and of largest doc_ids. Documents probe the arrays for the counts of their
+lines and decide by them; their lines are never joined or shuffled.
+
+The arrays are broadcast while they take at most `broadcast_bytes`, by default a share of an executor's
+memory. Beyond, they are probed in rounds of shard groups of that size, with the marks kept in a written
+table between rounds, so that neither an executor nor the driver ever holds more than one group. Each
+further round reads and writes the texts once, so rounds should be as large as memory lets them be.
 
 Defined results: a null or empty text is one empty line and is returned as the empty text; a document
 is a row, so repeated rows count each; a null doc_id counts as the smallest; in rows that repeat the
-largest doc_id all keep their lines. Other columns than doc_id and text stay as they are.
+largest doc_id all keep their lines; doc_id must be a whole number, since the largest is asked for (a type
+that is none raises a ValueError); an empty table gives no rows. Other columns than doc_id and text stay as
+they are.
 """
 
 from __future__ import annotations
 
 import hashlib
+import itertools
 import math
+import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -30,19 +36,29 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import as_bytes, cut, kept_in_worker, map_texts, table
+from .common import as_bytes, cut, drop, kept_in_worker, map_texts, table
 
 MIN_CHARS, MIN_DOCS = 40, 5
+#: Documents that a key must have to be indexed: what a single one holds is never shared.
+INDEXED_DOCS = 2
 #: Keys of a shard, about.
 SHARD_KEYS = 200_000
-#: Bytes of a key in the arrays, at most.
-KEY_BYTES = 28
-BROADCAST_BYTES = 64 << 20
+#: Bytes of a key in the arrays: fingerprint, count, doc_id, and its share of the bit arrays with their ranks.
+KEY_BYTES = 25
+#: Bytes of arrays that are broadcast at once, at least, and as a share of an executor's memory.
+BROADCAST_BYTES, BROADCAST_SHARE = 64 << 20, 1 / 48
 LEAST_ID = -(1 << 63)
 #: Positions of a level per key of it.
 ROOM = 2.0
 
 
+def round_bytes(spark: SparkSession) -> int:
+    """What may be broadcast at once: a fixed share of an executor's memory, BROADCAST_BYTES at least."""
+    unit = {"": 1, "b": 1, "k": 1 << 10, "m": 1 << 20, "g": 1 << 30, "t": 1 << 40}
+    found = re.fullmatch(r"(\d+)([bkmgt]?)b?", spark.conf.get("spark.executor.memory", "1g").lower())
+    return max(BROADCAST_BYTES, int(int(found[1]) * unit[found[2]] * BROADCAST_SHARE) if found else 0)
+
+
 def line_key(line: bytes, min_chars: int) -> bytes | None:
     key = line.strip().lower()
     if len(key) < min_chars or (len(key) < 4 * min_chars and len(key.decode()) < min_chars):
@@ -57,6 +73,28 @@ def _mix(h: np.ndarray, level: int) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
+class _Bits:
+    """A bit array of which the number of ones before a place is known from a count every 64 places."""
+
+    def __init__(self, words: np.ndarray, size: int, base: int):
+        self.words, self.size = words, size
+        ones = np.bitwise_count(words)
+        self.before = (np.cumsum(ones, dtype=np.int64) - ones + base).astype(np.int32)
+        self.after = base + int(ones.sum())
+
+    @classmethod
+    def of(cls, bits: np.ndarray, base: int) -> _Bits:
+        padded = np.zeros(-(-len(bits) // 64) * 64, bool)
+        padded[: len(bits)] = bits
+        return cls(np.packbits(padded, bitorder="little").view(np.uint64), len(bits), base)
+
+    def get(self, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Whether the bits are set, and the number of ones before them."""
+        word, bit = self.words[at >> 6], (at & 63).astype(np.uint64)
+        below = word & ((np.uint64(1) << bit) - np.uint64(1))
+        return (word >> bit & np.uint64(1)).astype(bool), self.before[at >> 6] + np.bitwise_count(below)
+
+
 class PerfectHash:
     """Minimal perfect hash of distinct pairs (hash, fingerprint), with an array of values for each name.
 
@@ -64,58 +102,59 @@ class PerfectHash:
     """
 
     def __init__(self, high: np.ndarray, low: np.ndarray, **values: np.ndarray):
-        self.levels: list[tuple[np.ndarray, np.ndarray]] = []
-        left, level, base = np.arange(len(high)), 0, 0
+        self.levels: list[_Bits] = []
+        left, base = np.arange(len(high)), 0
         place = np.zeros(len(high), np.int64)
         while len(left):
             size = max(8, int(ROOM * len(left)) + 1)
-            at = (_mix(high[left] ^ low[left] * np.uint64(level & 1), level) % np.uint64(size)).astype(np.int64)
-            alone = np.bincount(at, minlength=size) == 1
-            rank = np.cumsum(alone) - 1 + base
-            mine = alone[at]
-            place[left[mine]] = rank[at[mine]]
-            self.levels.append((alone, rank.astype(np.int32)))
-            base += int(alone.sum())
-            left, level = left[~mine], level + 1
+            at = self._at(high[left], low[left], len(self.levels), size)
+            bits = _Bits.of(np.bincount(at, minlength=size) == 1, base)
+            mine, rank = bits.get(at)
+            place[left[mine]] = rank[mine]
+            self.levels.append(bits)
+            base, left = bits.after, left[~mine]
         order = np.empty(len(high), np.int64)
         order[place] = np.arange(len(high))
         self.low = low[order]
         self.values = {k: v[order] for k, v in values.items()}
 
+    @staticmethod
+    def _at(high: np.ndarray, low: np.ndarray, level: int, size: int) -> np.ndarray:
+        return (_mix(high ^ low * np.uint64(level & 1), level) % np.uint64(size)).astype(np.int64)
+
     def probe(self, high: np.ndarray, low: np.ndarray) -> np.ndarray:
         out = np.full(len(high), -1, np.int64)
         left = np.arange(len(high))
-        for level, (alone, rank) in enumerate(self.levels):
+        for level, bits in enumerate(self.levels):
             if not len(left):
                 break
-            at = (_mix(high[left] ^ low[left] * np.uint64(level & 1), level) % np.uint64(len(alone))).astype(np.int64)
-            found = alone[at]
-            out[left[found]] = rank[at[found]]
+            found, rank = bits.get(self._at(high[left], low[left], level, bits.size))
+            out[left[found]] = rank[found]
             left = left[~found]
         if len(self.low):
             out[(out >= 0) & (self.low[out] != low)] = -1
         return out
 
     def pack(self) -> bytes:
-        head = np.array([len(self.levels), len(self.low), *(len(a) for a, _ in self.levels)], np.int64).tobytes()
-        return head + b"".join(np.packbits(a).tobytes() for a, _ in self.levels) + self.low.tobytes() + b"".join(v.astype(np.int64).tobytes() for _, v in sorted(self.values.items()))
+        head = np.array([len(self.levels), len(self.low), *(b.size for b in self.levels)], np.int64).tobytes()
+        return head + b"".join(b.words.tobytes() for b in self.levels) + self.low.tobytes() + b"".join(v.tobytes() for _, v in sorted(self.values.items()))
 
     @classmethod
-    def unpack(cls, data: bytes, names: tuple[str, ...]) -> PerfectHash:
+    def unpack(cls, data: bytes, kinds: dict[str, type]) -> PerfectHash:
+        """The packed arrays, as views of data; kinds: the type of each array of values."""
         self = cls.__new__(cls)
         n_levels, n = (int(x) for x in np.frombuffer(data, np.int64, 2))
-        sizes = np.frombuffer(data, np.int64, n_levels, 16)
         at, base, self.levels = 16 + 8 * n_levels, 0, []
-        for size in map(int, sizes):
-            alone = np.unpackbits(np.frombuffer(data, np.uint8, (size + 7) // 8, at))[:size].astype(bool)
-            self.levels.append((alone, (np.cumsum(alone) - 1 + base).astype(np.int32)))
-            at, base = at + (size + 7) // 8, base + int(alone.sum())
+        for size in np.frombuffer(data, np.int64, n_levels, 16).tolist():
+            bits = _Bits(np.frombuffer(data, np.uint64, -(-size // 64), at), size, base)
+            self.levels.append(bits)
+            at, base = at + bits.words.nbytes, bits.after
         self.low = np.frombuffer(data, np.uint64, n, at)
-        at += 8 * n
+        at += self.low.nbytes
         self.values = {}
-        for name in sorted(names):
-            self.values[name] = np.frombuffer(data, np.int64, n, at)
-            at += 8 * n
+        for name, kind in sorted(kinds.items()):
+            self.values[name] = np.frombuffer(data, kind, n, at)
+            at += self.values[name].nbytes
         return self
 
 
@@ -138,29 +177,43 @@ def keys_of(df: DataFrame, min_chars: int) -> DataFrame:
     return map_texts(df.select(F.coalesce(F.col("doc_id").cast("bigint"), F.lit(LEAST_ID)).alias("doc_id"), "text"), "doc_id bigint, high bigint, low bigint", make)
 
 
-def frequent_keys(df: DataFrame, min_chars: int, min_docs: int) -> DataFrame:
-    """high, low, n_docs, last_id of each key that at least min_docs rows hold."""
+def counted_keys(df: DataFrame, min_chars: int, indexed_docs: int = INDEXED_DOCS) -> DataFrame:
+    """high, low, n_docs, last_id of each key that at least indexed_docs rows hold."""
     counted = keys_of(df, min_chars).groupBy("high", "low").agg(F.count(F.lit(1)).alias("n_docs"), F.max("doc_id").alias("last_id"))
-    return counted.filter(F.col("n_docs") >= min_docs)
+    return counted.filter(F.col("n_docs") >= indexed_docs)
+
+
+#: Counts saturate at the largest number that their array holds.
+VALUES = {"last_id": np.int64, "n_docs": np.int32}
 
 
-def build_shards(frequent: DataFrame, n_shards: int) -> DataFrame:
-    """shard, keys, packed arrays: one row for each shard that has keys."""
+def build_shards(counted: DataFrame, n_shards: int) -> DataFrame:
+    """shard, n_keys, packed arrays: one row for each shard that has keys. A task holds one shard at a time."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kept_in_worker(None)
-        parts = list(batches)
-        if not parts:
-            return
-        rows = pa.Table.from_batches(parts).sort_by("shard")
-        shard = rows.column("shard").to_numpy()
-        columns = {c: rows.column(c).to_numpy() for c in ("high", "low", "n_docs", "last_id")}
-        edges = np.flatnonzero(np.diff(shard, prepend=-1, append=-1)) if len(shard) else []
-        for a, b in zip(edges, edges[1:], strict=False):
-            built = PerfectHash(columns["high"][a:b].view(np.uint64), columns["low"][a:b].view(np.uint64), n_docs=columns["n_docs"][a:b], last_id=columns["last_id"][a:b])
-            yield pa.RecordBatch.from_pydict({"shard": pa.array([int(shard[a])], pa.int32()), "n_keys": pa.array([int(b - a)], pa.int64()), "packed": pa.array([built.pack()], pa.binary())})
-
-    dealt = frequent.withColumn("shard", F.pmod(F.col("high"), F.lit(n_shards)).cast("int")).repartition(max(1, min(n_shards, 2000)), "shard")
+        held: list[pa.RecordBatch] = []
+
+        def one() -> pa.RecordBatch:
+            rows = pa.Table.from_batches(held)
+            held.clear()
+            column = lambda c: rows.column(c).to_numpy()
+            n_docs = np.minimum(column("n_docs"), np.iinfo(np.int32).max).astype(np.int32)
+            built = PerfectHash(column("high").view(np.uint64), column("low").view(np.uint64), n_docs=n_docs, last_id=column("last_id"))
+            return pa.RecordBatch.from_pydict({"shard": pa.array([rows.column("shard")[0].as_py()], pa.int32()), "n_keys": pa.array([rows.num_rows], pa.int64()), "packed": pa.array([built.pack()], pa.binary())})
+
+        for batch in batches:
+            number = batch.column("shard").to_numpy()
+            edges = [0, *(np.flatnonzero(np.diff(number)) + 1).tolist(), len(number)]
+            for a, b in itertools.pairwise(edges):
+                if held and held[0].column("shard")[0].as_py() != number[a]:
+                    yield one()
+                if b > a:
+                    held.append(batch.slice(a, b - a))
+        if held:
+            yield one()
+
+    dealt = counted.withColumn("shard", F.pmod(F.col("high"), F.lit(n_shards)).cast("int")).repartition("shard").sortWithinPartitions("shard")
     return dealt.mapInArrow(run, "shard int, n_keys bigint, packed binary")
 
 
@@ -169,23 +222,23 @@ class LineIndex:
 
     def __init__(self, rows: list, n_shards: int):
         self.n_shards = n_shards
-        self.shards = {r["shard"]: PerfectHash.unpack(bytes(r["packed"]), ("n_docs", "last_id")) for r in rows}
+        self.shards = {r["shard"]: PerfectHash.unpack(r["packed"], VALUES) for r in rows}
 
-    def last_ids(self, high: np.ndarray, low: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """For each hash whether it is indexed, and the largest doc_id."""
-        found, last = np.zeros(len(high), bool), np.zeros(len(high), np.int64)
+    def counts(self, high: np.ndarray, low: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """For each hash the number of documents that hold it (0: not indexed here), and the largest doc_id."""
+        number, last = np.zeros(len(high), np.int64), np.zeros(len(high), np.int64)
         shard = np.mod(high, self.n_shards)
         for k in np.unique(shard):
             if (own := self.shards.get(int(k))) is not None:
                 at = np.flatnonzero(shard == k)
                 hit = own.probe(high[at].view(np.uint64), low[at].view(np.uint64))
                 ok = hit >= 0
-                found[at[ok]] = True
+                number[at[ok]] = own.values["n_docs"][hit[ok]]
                 last[at[ok]] = own.values["last_id"][hit[ok]]
-        return found, last
+        return number, last
 
 
-def _prober(df: DataFrame, rows: list, n_shards: int, min_chars: int):
+def _prober(df: DataFrame, rows: list, n_shards: int, min_chars: int, min_docs: int):
     """Maker of the function that gives the rows of a batch, their __drop marks (a byte for each line, in order; null: none yet) with those of these shards added."""
     packed = df.sparkSession.sparkContext.broadcast([{"shard": r["shard"], "packed": bytes(r["packed"])} for r in rows])
 
@@ -204,9 +257,9 @@ def _prober(df: DataFrame, rows: list, n_shards: int, min_chars: int):
                         digests.append(xxhash.xxh3_128_digest(k))
                         owner.append(ids[d])
             both = np.frombuffer(b"".join(digests), np.int64).reshape(-1, 2)
-            found, last = index.last_ids(both[:, 0].copy(), both[:, 1].copy())
+            number, last = index.counts(both[:, 0].copy(), both[:, 1].copy())
             marks = [bytearray(m) if m is not None else bytearray(len(own)) for m, own in zip(before, lines, strict=True)]
-            for k in np.flatnonzero(found & (last != np.array(owner, np.int64))):
+            for k in np.flatnonzero((number >= min_docs) & (last != np.array(owner, np.int64))):
                 d, i = place[k]
                 marks[d][i] = 1
             at = part.schema.get_field_index("__drop")
@@ -245,24 +298,30 @@ def _finisher(df: DataFrame, digest_only: bool):
     return schema, make
 
 
-def dedup_lines(df: DataFrame, min_chars: int = MIN_CHARS, min_docs: int = MIN_DOCS, broadcast_bytes: int = BROADCAST_BYTES, shard_keys: int = SHARD_KEYS, digest_only: bool = False) -> DataFrame:
+def dedup_lines(df: DataFrame, min_chars: int = MIN_CHARS, min_docs: int = MIN_DOCS, broadcast_bytes: int | None = None, shard_keys: int = SHARD_KEYS, digest_only: bool = False) -> DataFrame:
     """The rows of df with their kept texts and the columns __lines and __dropped; digest_only: doc_id, n_lines, n_dropped, kept_sha256.
 
     Builds the index when called (jobs over all documents), then returns a lazy frame.
     """
+    if not isinstance(df.schema["doc_id"].dataType, T.IntegralType):
+        raise ValueError("doc_id must be a whole number")
     if digest_only:
         df = df.select("doc_id", "text")
-    frequent = cut(frequent_keys(df, min_chars, min_docs))
-    n_keys = frequent.count()
+    counted = cut(counted_keys(df, min_chars, min(min_docs, INDEXED_DOCS)))
+    n_keys = counted.count()
     n_shards = max(1, math.ceil(n_keys / shard_keys))
-    shards = cut(build_shards(frequent, n_shards))
-    per_round = max(1, broadcast_bytes // (KEY_BYTES * shard_keys))
-    marked = df.withColumn("__drop", F.lit(None).cast("binary"))
+    shards = cut(build_shards(counted, n_shards))
+    drop(counted)
+    per_round = max(1, (broadcast_bytes or round_bytes(df.sparkSession)) // (KEY_BYTES * shard_keys))
+    marked, before = df.withColumn("__drop", F.lit(None).cast("binary")), None
     for first in range(0, n_shards, per_round):
         rows = shards.filter(F.col("shard").between(first, first + per_round - 1)).collect()  # at most broadcast_bytes
-        probe = _prober(marked, rows, n_shards, min_chars)
+        probe = _prober(marked, rows, n_shards, min_chars, min_docs)
         if first + per_round < n_shards:
             marked = cut(map_texts(marked, marked.schema, probe))
+            if before is not None:
+                drop(before)
+            before = marked
     schema, finish = _finisher(marked, digest_only)
 
     def both():  # one pass of Python, so a task has one worker

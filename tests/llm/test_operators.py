@@ -106,12 +106,26 @@ def test_perfect_hash():
     rng = np.random.default_rng(0)
     high, low = (rng.integers(0, 1 << 64, 5000, dtype=np.uint64) for _ in range(2))
     packed = LD.PerfectHash(high, low, n=np.arange(5000)).pack()
-    again = LD.PerfectHash.unpack(packed, ("n",))
+    assert len(packed) < 5000 * (LD.KEY_BYTES - 4) and len(LD.PerfectHash(high[:0], low[:0], n=np.arange(0)).pack()) == 16
+    again = LD.PerfectHash.unpack(packed, {"n": np.int64})
     at = again.probe(high, low)
     assert sorted(at) == list(range(5000)) and (again.values["n"][at] == np.arange(5000)).all()
     assert (again.probe(high, low + np.uint64(1)) == -1).all()
 
 
+def test_counts_are_probed(spark):
+    """Keys below the threshold are indexed, and stay by their count."""
+    line = "a line that some documents share, and long enough to count"
+    rows = [(k, f"{line} {j}") for j in (2, 4, 5) for k in range(10 * j, 10 * j + j)]
+    df = spark.createDataFrame(rows, DOCS)
+    assert sorted(r["n_docs"] for r in LD.counted_keys(df, 40).collect()) == [2, 4, 5]
+    for least in (2, 3, 5, 6):
+        got = LD.dedup_lines(df, min_docs=least, digest_only=True).collect()
+        assert sorted((tuple(r) for r in got), key=str) == brute_lines(rows, 40, least)
+    with pytest.raises(ValueError, match="whole number"):
+        LD.dedup_lines(spark.createDataFrame([("a", "b")], "doc_id string, text string"))
+
+
 def test_line_dedup_keeps_columns(spark):
     out = LD.dedup_lines(odd(spark))
     assert out.count() == len(ODD) and {"score", "fp", "h"} <= set(out.columns)
