@@ -1,50 +1,62 @@
 """Population flow in a Markov chain: each step sums, for every node, what flows in along its arcs.
 
 Arcs are (src, dst, share), where the shares that leave a node add up to 1. All strategies give the
-same states; they differ in what is shuffled. `auto` lets Spark choose, `broadcast` sends the state
-to the arcs and falls back beyond a checked size, `shuffle` meets arcs that were dealt by source once,
-`salted` splits the arcs of hub sources over several partitions and copies the state for each.
+same states; they differ in what is shuffled. Arcs are computed and placed once, before the first step,
+for all of them: `shuffle` deals them by source into buckets, so that steps shuffle states only; `auto`
+lets Spark choose over the placed arcs; `broadcast` sends the state to the arcs and falls back beyond a
+checked size; `salted` deals the arcs of hub sources over several buckets and copies the state for each.
 """
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from stratasum.plans.fixpoint import Certificate, FixpointResult, StagedFixpoint, StopRule, converged, max_steps, shared_count
-from stratasum.plans.materialize import keep, place_by
+from stratasum.operators.set_aggregates import MOST_PARTS
+from stratasum.plans.fixpoint import Certificate, FixpointResult, StagedFixpoint, StopRule, Watch, converged, max_steps, shared_count
+from stratasum.plans.materialize import keep, keep_counted, place_by
 
 START, STEPS, SALTS = 100_000.0, 1000, 8
 #: Rows of a state that may be broadcast.
 BROADCAST_ROWS = 5_000_000
+#: Nodes of a chain whose limit is solved for on the driver.
+SOLVED_NODES = 2000
 
 
 def transition(weights: DataFrame) -> DataFrame:
     """src, dst, share from src, dst, weight: each weight over the sum of those with its source."""
-    whole = Window.partitionBy("src")
     summed = weights.groupBy("src", "dst").agg(F.sum("weight").alias("weight"))
-    return summed.select("src", "dst", (F.col("weight") / F.sum("weight").over(whole)).alias("share"))
+    whole = summed.groupBy("src").agg(F.sum("weight").alias("whole"))  # a join, which Spark can split at a hub, not a window
+    return summed.join(whole, "src").select("src", "dst", (F.col("weight") / F.col("whole")).alias("share"))
 
 
 def validate(arcs: DataFrame, tolerance: float = 1e-9) -> DataFrame:
-    """node, violation: broken preconditions. Shares sum to 1, arcs are unique, self-arcs exist, no node is a sink."""
+    """node, violation: broken preconditions. Shares sum to 1, none is null or negative, arcs are unique, self-arcs exist, no node is a sink."""
     sums = arcs.groupBy("src").agg(F.sum("share").alias("s")).filter(F.abs(F.col("s") - 1) > tolerance).select(F.col("src").alias("node"), F.lit("share_sum").alias("violation"))
+    odd = arcs.filter("share is null or share < 0").select(F.col("src").alias("node"), F.lit("bad_share").alias("violation")).distinct()
     twice = arcs.groupBy("src", "dst").count().filter("count > 1").select(F.col("src").alias("node"), F.lit("repeated_arc").alias("violation")).distinct()
-    nodes = arcs.select(F.col("src").alias("node")).union(arcs.select("dst")).distinct()
-    selfish = arcs.filter("src = dst and share > 0").select(F.col("src").alias("node"))
-    lonely = nodes.join(selfish, "node", "left_anti").select("node", F.lit("no_self_arc").alias("violation"))
-    sinks = nodes.join(arcs.select(F.col("src").alias("node")).distinct(), "node", "left_anti").select("node", F.lit("sink").alias("violation"))
-    return sums.unionByName(twice).unionByName(lonely).unionByName(sinks)
+    ends = _ends(arcs.withColumn("weight", F.when(F.col("share") > 0, F.lit(1))))
+    lonely = ends.filter("selfish = 0").select("node", F.lit("no_self_arc").alias("violation"))
+    sinks = ends.filter("leaving = 0").select("node", F.lit("sink").alias("violation"))
+    return sums.unionByName(odd).unionByName(twice).unionByName(lonely).unionByName(sinks)
+
+
+def _ends(arcs: DataFrame) -> DataFrame:
+    """node, selfish (has a self-arc of some weight), leaving (arcs that leave it), out (their weight): one aggregate of both ends of each arc."""
+    weight = F.col("weight")
+    own = F.struct(F.col("src").alias("node"), ((F.col("src") == F.col("dst")) & weight.isNotNull()).cast("int").alias("selfish"), F.lit(1).alias("leaving"), weight.alias("out"))
+    other = F.struct(F.col("dst").alias("node"), F.lit(0).alias("selfish"), F.lit(0).alias("leaving"), F.lit(None).cast(arcs.schema["weight"].dataType).alias("out"))
+    both = arcs.select(F.explode(F.array(own, other)).alias("e")).select("e.*")
+    return both.groupBy("node").agg(F.max("selfish").alias("selfish"), F.sum("leaving").alias("leaving"), F.sum("out").alias("out"))
 
 
 def repair(weights: DataFrame) -> DataFrame:
     """Weights where every node has a self-arc: one that lacks it gets as much as flows out of it; a pure sink keeps what it gets."""
-    summed = weights.groupBy("src", "dst").agg(F.sum("weight").alias("weight"))
-    nodes = summed.select(F.col("src").alias("node")).union(summed.select("dst")).distinct()
-    selfish = summed.filter("src = dst").select(F.col("src").alias("node"))
-    outflow = summed.groupBy("src").agg(F.sum("weight").alias("out")).withColumnRenamed("src", "node")
-    missing = nodes.join(selfish, "node", "left_anti").join(outflow, "node", "left")
-    return summed.unionByName(missing.select(F.col("node").alias("src"), F.col("node").alias("dst"), F.coalesce("out", F.lit(1).cast(summed.schema["weight"].dataType)).alias("weight")))
+    summed = keep(weights.groupBy("src", "dst").agg(F.sum("weight").alias("weight")))
+    kind = summed.schema["weight"].dataType
+    missing = _ends(summed).filter("selfish = 0")
+    return summed.unionByName(missing.select(F.col("node").alias("src"), F.col("node").alias("dst"), F.coalesce(F.col("out").cast(kind), F.lit(1).cast(kind)).alias("weight")))
 
 
 def seed_from_self_arcs(arcs: DataFrame, start: float = START) -> DataFrame:
@@ -53,16 +65,19 @@ def seed_from_self_arcs(arcs: DataFrame, start: float = START) -> DataFrame:
 
 
 class Chain:
-    """Arcs prepared for a strategy, with the body and the sum of a step."""
+    """Arcs placed for a strategy, once, with the body and the sum of a step."""
 
     def __init__(self, arcs: DataFrame, strategy: str = "auto", salts: int = SALTS):
+        if strategy not in ("auto", "broadcast", "shuffle", "salted"):
+            raise ValueError(f"no such strategy: {strategy}")
         self.strategy, self.salts = strategy, salts
         arcs = arcs.select("src", "dst", "share")
-        if strategy == "shuffle":
-            arcs = place_by(arcs, "src")
-        elif strategy == "salted":
-            arcs = arcs.withColumn("salt", F.pmod(F.xxhash64("dst"), F.lit(salts)).cast("int"))
-        self.arcs = arcs
+        if strategy == "salted":
+            self.arcs = place_by(arcs.withColumn("salt", F.pmod(F.xxhash64("dst"), F.lit(salts)).cast("int")), "src", "salt")
+        elif strategy == "shuffle":
+            self.arcs = place_by(arcs, "src")
+        else:
+            self.arcs = keep(arcs)
 
     def body(self, state: DataFrame) -> DataFrame:
         """dst, flow: a row for each arc whose source has mass."""
@@ -80,15 +95,36 @@ class Chain:
     def gather(body: DataFrame) -> DataFrame:
         return body.groupBy(F.col("dst").alias("node")).agg(F.sum("flow").alias("mass"))
 
-    @staticmethod
-    def gather_at_count(body: DataFrame, certificate: Certificate) -> DataFrame:
-        """The goal form: running sums over one global counter, kept where the counter is the certified size."""
-        order = Window.orderBy("dst", "src")
-        counted = body.withColumn("n", F.row_number().over(order))
-        running = F.sum("flow").over(Window.partitionBy("dst").orderBy("n").rowsBetween(Window.unboundedPreceding, Window.currentRow))
-        per = counted.withColumn("running", running).groupBy("dst").agg(F.max_by("running", "n").alias("mass"))
-        size = counted.agg(F.max("n").alias("n")).filter(F.col("n") == certificate.n)
-        return per.join(F.broadcast(size)).select(F.col("dst").alias("node"), "mass")
+
+def sums_at_count(body: DataFrame, by: str, order: list[str], values: list[str], certificate: Certificate, watch: Watch | None = None) -> DataFrame:
+    """by and the sum of each value: the goal form of grouped sums, with one counter for the whole body.
+
+    The body is range-partitioned by group and order. Each part counts and sums on its own, from what the
+    parts before it hold (a row a part, broadcast), so no part of it passes through a single task. The
+    total of a group is its running sum at its largest counter, and is given only if the counter of the
+    whole body ends at the certified size; else the plan raises.
+    """
+    parts = min(int(body.sparkSession.conf.get("spark.sql.shuffle.partitions")), MOST_PARTS)
+    dealt = keep(body.select(by, *order, *values).repartitionByRange(parts, by, *order).withColumn("__part", F.spark_partition_id()))
+    sizes = dealt.groupBy("__part").agg(F.count(F.lit(1)).alias("__n"), F.min(by).alias("__first"))
+    before = Window.orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)  # a row a part: MOST_PARTS at most
+    size = F.sum("__n").over(Window.orderBy("__part").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))
+    offsets = sizes.select("__part", "__first", F.coalesce(F.sum("__n").over(before), F.lit(0)).alias("__n0"), size.alias("__size"))
+    # a group that goes on in a part is its first one
+    firsts = F.broadcast(offsets.select(F.col("__first").alias(by)).distinct())
+    carried = dealt.join(firsts, by).groupBy("__part", by).agg(*[F.sum(v).alias(f"__sum_{v}") for v in values])
+    earlier = Window.partitionBy(by).orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)
+    carried = carried.select("__part", by, *[F.sum(f"__sum_{v}").over(earlier).alias(f"__acc_{v}") for v in values])
+    inside = Window.partitionBy("__part", by).orderBy(*order).rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    counted = dealt if watch is None else watch(certificate.name, dealt)
+    counted = counted.join(F.broadcast(offsets.drop("__first")), "__part").join(F.broadcast(carried), ["__part", by], "left")
+    counter = F.col("__n0") + F.row_number().over(Window.partitionBy("__part").orderBy(by, *order))
+    running = [(F.coalesce(F.col(f"__acc_{v}"), F.lit(0.0)) + F.sum(v).over(inside)).alias(v) for v in values]
+    facts = counted.select(by, counter.alias("__counter"), F.struct(*running).alias("__running"), "__size")
+    last = facts.groupBy(by).agg(F.max_by("__running", "__counter").alias("__total"), F.max("__size").alias("__size"))
+    broken = F.raise_error(F.concat(F.lit(f"{certificate.name} has "), F.col("__size").cast("string"), F.lit(f" rows, not {certificate.n}")))
+    checked = last.select(by, F.when(F.col("__size") == certificate.n, F.col("__total")).otherwise(broken).alias("__total"))
+    return checked.select(by, *[F.col("__total")[v].alias(v) for v in values])
 
 
 def markov(
@@ -107,43 +143,79 @@ def markov(
     start: the same mass for each node with a self-arc, or (node, mass) rows. steps=0 reports the start.
     """
     chain = Chain(arcs, strategy)
-    seed = start.select("node", F.col("mass").cast("double").alias("mass")) if isinstance(start, DataFrame) else seed_from_self_arcs(arcs, start)
+    seed = start.select("node", F.col("mass").cast("double").alias("mass")) if isinstance(start, DataFrame) else seed_from_self_arcs(chain.arcs, start)
     rule = max_steps(steps)
     if eps is not None:
         rule = converged(eps) | rule
     if stop is not None:
         rule = stop | rule
-    certificate = None
+    certificates = {}
+    if certify not in ("complete", "verify", "goal"):
+        raise ValueError(f"no such certification: {certify}")
     if certify != "complete":
         seed = keep(seed)
-        certificate = shared_count(arcs.join(seed.select(F.col("node").alias("src")), "src").select("src", "dst"), "flow")
-    return StagedFixpoint(seed, lambda s: (chain.body(s), Chain.gather), ["node"], ["mass"], rule, measure, retain, certify, certificate, Chain.gather_at_count).run()
+        certificates["flow"] = shared_count(chain.arcs.join(seed.select(F.col("node").alias("src")), "src").select("src", "dst"), "flow")
+
+    def advance(state: DataFrame, watch: Watch) -> DataFrame:
+        if certify == "goal":
+            return sums_at_count(chain.body(state), "dst", ["src"], ["flow"], certificates["flow"], watch).select(F.col("dst").alias("node"), F.col("flow").alias("mass"))
+        return Chain.gather(watch("flow", chain.body(state)))
+
+    return StagedFixpoint(seed, advance, ["node"], ["mass"], rule, measure, retain, certify, certificates).run()
+
+
+def limit_of(arcs: DataFrame, start: DataFrame, most: int = SOLVED_NODES) -> DataFrame:
+    """node, mass: what an ergodic chain converges to, solved for as a linear system, to measure steps against.
+
+    The system is dense and solved on the driver: chains of more than `most` nodes are refused.
+    """
+    nodes = arcs.select(F.col("src").alias("node")).union(arcs.select("dst")).union(start.select("node")).distinct()
+    names = [r["node"] for r in nodes.orderBy("node").limit(most + 1).collect()]
+    if len(names) > most:
+        raise ValueError(f"more than {most} nodes")
+    place = {n: i for i, n in enumerate(names)}
+    share = np.zeros((len(names), len(names)))
+    for r in arcs.select("src", "dst", "share").collect():  # at most `most` squared
+        share[place[r["dst"]], place[r["src"]]] += r["share"]
+    total = start.agg(F.sum("mass")).first()[0] or 0.0
+    system = np.vstack([share - np.eye(len(names)), np.ones(len(names))])
+    mass = np.linalg.lstsq(system, np.append(np.zeros(len(names)), total), rcond=None)[0]
+    return arcs.sparkSession.createDataFrame([(n, float(m)) for n, m in zip(names, mass, strict=True)], f"node {nodes.schema['node'].dataType.simpleString()}, mass double")
 
 
 def link_rank(arcs: DataFrame, damping: float = 0.85, steps: int = 20, eps: float | None = None, dangling: str = "uniform", retain: str = "last") -> FixpointResult:
     """node, mass: damped ranks of the nodes of arcs (src, dst, share). Mass at nodes without arcs is spread evenly, or stays (`dangling="self"`)."""
-    nodes = keep(arcs.select(F.col("src").alias("node")).union(arcs.select("dst")).distinct())
-    n = nodes.count()
+    if dangling not in ("uniform", "self"):
+        raise ValueError(f"no such rule for dangling nodes: {dangling}")
     arcs = place_by(arcs.select("src", "dst", "share"), "src")
+    nodes, n = keep_counted(arcs.select(F.col("src").alias("node")).union(arcs.select("dst")).distinct())
     ends = keep(nodes.join(arcs.select(F.col("src").alias("node")).distinct(), "node", "left_anti"))
 
-    def advance(state: DataFrame):
-        flows = state.join(arcs, state["node"] == arcs["src"]).select("dst", (F.col("mass") * F.col("share")).alias("flow"))
+    def advance(state: DataFrame, watch: Watch) -> DataFrame:
+        body = watch("flow", state.join(arcs, state["node"] == arcs["src"]).select("dst", (F.col("mass") * F.col("share")).alias("flow")))
         lost = state.join(ends, "node", "left_semi").agg(F.coalesce(F.sum("mass"), F.lit(0.0)).alias("lost"))
         own = state.join(ends, "node", "left_semi").select(F.col("node").alias("dst"), F.col("mass").alias("flow"))
-
-        def finish(body: DataFrame) -> DataFrame:
-            got = (body.unionByName(own) if dangling == "self" else body).groupBy(F.col("dst").alias("node")).agg(F.sum("flow").alias("got"))
-            even = F.lit(0.0) if dangling == "self" else F.col("lost") / n
-            rank = (1 - damping) / n + damping * (F.coalesce("got", F.lit(0.0)) + even)
-            return nodes.join(got, "node", "left").crossJoin(F.broadcast(lost)).select("node", rank.alias("mass"))  # one row
-
-        return flows, finish
+        got = (body.unionByName(own) if dangling == "self" else body).groupBy(F.col("dst").alias("node")).agg(F.sum("flow").alias("got"))
+        even = F.lit(0.0) if dangling == "self" else F.col("lost") / n
+        rank = (1 - damping) / n + damping * (F.coalesce("got", F.lit(0.0)) + even)
+        return nodes.join(got, "node", "left").crossJoin(F.broadcast(lost)).select("node", rank.alias("mass"))  # one row
 
     rule = max_steps(steps) if eps is None else converged(eps) | max_steps(steps)
     return StagedFixpoint(nodes.select("node", F.lit(1.0 / max(1, n)).alias("mass")), advance, ["node"], ["mass"], rule, "abs", retain).run()
 
 
+def reloading_steps(read_arcs, state: DataFrame, steps: int) -> DataFrame:
+    """node, mass after some steps, where each step is a job of its own that reads and derives the arcs anew: the way of systems without recursion, to compare with.
+
+    read_arcs: a function that gives the arcs from their source.
+    """
+    for _ in range(steps):
+        arcs = read_arcs()
+        flows = arcs.join(state, arcs["src"] == state["node"]).select("dst", (F.col("mass") * F.col("share")).alias("flow"))
+        state = keep(flows.groupBy(F.col("dst").alias("node")).agg(F.sum("flow").alias("mass")))
+    return state
+
+
 def stratified_masses(spark: SparkSession, arcs_view: str, steps: int, start: float = START) -> DataFrame:
     """step, node, mass by plain SQL recursion: paths are listed first and summed after it. Rows grow as degree to the power of steps."""
     return spark.sql(f"""

@@ -16,11 +16,11 @@ from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from stratasum.functions.aggspec import SPECS
-from stratasum.plans.materialize import keep
+from stratasum.plans.materialize import keep, observed
 
 #: Parts of a prefix sum are no more than this, so the broadcast of their totals is bounded.
 MOST_PARTS = 20_000
@@ -91,6 +91,14 @@ def final(df: DataFrame, kind: str, value: str | None, order_by: list[str], stra
     return own.join(F.broadcast(cardinality.select(F.col("n").alias("counter"))), "counter").select(F.col("running").alias("value"))
 
 
+def final_counted(df: DataFrame, kind: str, value: str | None) -> tuple[object, int]:
+    """The final aggregate by completion, and the number of items, which the same job counts on the way."""
+    seen = Observation()
+    watched = df.observe(seen, F.count(F.lit(1)).alias("n"))
+    out = watched.agg(SPECS[kind].total(F.col(value) if value else F.lit(1)).alias("value")).first()["value"]
+    return out, int(observed(seen).get("n", 0))
+
+
 def permutation_facts(df: DataFrame, item: str, max_n: int = 7) -> DataFrame:
     """counter, visited: the count by its definition, which visits the items in all orders.
 

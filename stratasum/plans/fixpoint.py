@@ -1,14 +1,18 @@
 """Fixpoints: staged (all facts of a step before those of the next), semi-naive and naive.
 
 In a staged fixpoint an aggregate over the body of a step is final when the step ends. Why that is
-sound can be shown in three ways: `goal` computes the size of the body beforehand and picks, from the
-running aggregate, the fact at that counter; `complete` relies on the blocking aggregate to see the
-end of the body; `verify` does that and compares the counted body with the certificate.
+sound can be shown in three ways: `goal` computes the sizes of the bodies beforehand and picks, from the
+running aggregates, the facts at these counters; `complete` relies on the blocking aggregate to see the
+end of the body; `verify` does that and compares the counted bodies with the certificates.
+
+No loop ends in silence before its fixpoint: where a bound on rounds is given and met, RoundsExceeded
+is raised. (The step cap of a staged fixpoint is a rule of its program; it is reported as `stopped_by`.)
 """
 
 from __future__ import annotations
 
 import time
+import uuid
 from collections.abc import Callable
 from dataclasses import dataclass, field
 from functools import reduce
@@ -16,7 +20,10 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
-from .materialize import discard, keep
+from .materialize import discard, keep, keep_counted, observed, shared_folder, write_counted
+
+#: Rows of a delta that are sent to every task instead of shuffling what they join.
+DELTA_ROWS = 1_000_000
 
 
 @dataclass(frozen=True)
@@ -32,6 +39,10 @@ class CertificateBroken(RuntimeError):
     """A step's body did not have the certified size."""
 
 
+class RoundsExceeded(RuntimeError):
+    """A bound on rounds was met before the fixpoint."""
+
+
 def shared_count(body: DataFrame, name: str = "body") -> Certificate:
     """Counts a body once, on its keys only."""
     return Certificate(name, body.count())
@@ -46,6 +57,8 @@ class TraceRow:
     changed: int | None = None
     seconds: float = 0.0
     retained_rows: int = 0
+    jobs: int = 0
+    bodies: dict = field(default_factory=dict)
     more: dict = field(default_factory=dict)
 
 
@@ -89,29 +102,55 @@ class FixpointResult:
         return self.trace[-1].step
 
     def trace_frame(self, spark: SparkSession) -> DataFrame:
-        rows = [(t.step, t.body_rows, t.state_rows, t.change, t.changed, t.seconds, t.retained_rows) for t in self.trace]
-        return spark.createDataFrame(rows, "step int, body_rows bigint, state_rows bigint, change double, changed bigint, seconds double, retained_rows bigint")
+        rows = [(t.step, t.body_rows, t.state_rows, t.change, t.changed, t.seconds, t.retained_rows, t.jobs) for t in self.trace]
+        return spark.createDataFrame(rows, "step int, body_rows bigint, state_rows bigint, change double, changed bigint, seconds double, retained_rows bigint, jobs int")
+
+
+class Watch:
+    """Counts the bodies of one step while the step is computed, and what else a step wants to know of its rows."""
+
+    def __init__(self) -> None:
+        self.seen: dict[str, tuple[DataFrame, Observation]] = {}
+
+    def __call__(self, name: str, body: DataFrame, **measures: Column) -> DataFrame:
+        watched = Observation()
+        self.seen[name] = (body, watched)
+        return body.observe(watched, F.count(F.lit(1)).alias("n"), *[c.alias(m) for m, c in measures.items()])
+
+    def counts(self) -> dict[str, int]:
+        return {name: int(observed(o).get("n", 0)) for name, (_, o) in self.seen.items()}
+
+    def measures(self) -> dict[str, float]:
+        return {m: v for _, o in self.seen.values() for m, v in observed(o).items() if m != "n"}
+
+    def check(self, certificates: dict[str, Certificate], step: int) -> None:
+        """Raises where a body does not have its certified size. A retried task may have been observed twice, so a difference is counted anew."""
+        for name, n in self.counts().items():
+            c = certificates.get(name)
+            if c is not None and n != c.n and (n := self.seen[name][0].count()) != c.n:
+                raise CertificateBroken(f"step {step}: {name} has {n} rows, not {c.n}")
 
 
 @dataclass
 class StagedFixpoint:
-    """seed: state 0. advance(state) -> (body, reduce): the joined body of the next state and how to aggregate it.
+    """seed: state 0. advance(state, watch) -> the next state, lazily; bodies go through watch(name, body).
 
-    keys: what names a state row. change: columns of a row (with old values as prev_*) whose maximum or
-    sum is the step's change. retain: last, all, window:k, or chain_max (all, with a running largest
-    step, filtered at the end). mark: column that carries the step number.
+    keys: what names a state row; values: its numbers. measure: drop (largest fall), abs, l1 or l2 between
+    steps. retain: last, all, window:k, or chain_max (all, and the last step by a chain of maxima).
+    certificates: by body; with certify="verify" each step is checked against them. A goal form takes
+    its certificates itself, in `advance`, and raises inside the plan.
     """
 
     seed: DataFrame
-    advance: Callable[[DataFrame], tuple[DataFrame, Callable[[DataFrame], DataFrame]]]
+    advance: Callable[[DataFrame, Watch], DataFrame]
     keys: list[str]
     values: list[str]
     stop: StopRule
     measure: str = "drop"
     retain: str = "last"
     certify: str = "complete"
-    certificate: Certificate | None = None
-    goal: Callable[[DataFrame, Certificate], DataFrame] | None = None
+    certificates: dict[str, Certificate] = field(default_factory=dict)
+    main_body: str | None = None
 
     def _difference(self) -> tuple[Column, Column]:
         gaps = [(F.coalesce(F.col(f"prev_{v}"), F.lit(0.0)) - F.coalesce(F.col(v), F.lit(0.0))) for v in self.values]
@@ -126,91 +165,126 @@ class StagedFixpoint:
         return total, F.sum(F.when(moved, 1).otherwise(0))
 
     def run(self) -> FixpointResult:
-        state = keep(self.seed)
-        n = state.count()
+        spark = self.seed.sparkSession
+        state, n = keep_counted(self.seed.select(*self.keys, *self.values))
         trace = [TraceRow(0, None, n, None, None, 0.0, n)]
         kept, reason = [(0, state)], "cap"
-        if not self.stop.test(trace):
-            while True:
-                began, step = time.time(), trace[-1].step + 1
-                body, finish = self.advance(state)
-                if self.certify == "goal":
-                    new, watched = self.goal(body, self.certificate), None
-                else:
-                    watched = Observation()
-                    new = finish(body.observe(watched, F.count(F.lit(1)).alias("n")))
+        most = {"last": 1, "all": None, "chain_max": None}.get(self.retain, int(self.retain.split(":")[1]) if ":" in self.retain else 1)
+        chain = spark.createDataFrame([(0,)], "step int") if self.retain == "chain_max" else None
+        while not (found := self.stop.test(trace)):
+            began, step = time.time(), trace[-1].step + 1
+            with _jobs_of(spark) as jobs:
+                watch, seen = Watch(), Observation()
+                new = self.advance(state, watch)
                 total, moved = self._difference()
                 old = state.select(*self.keys, *[F.col(v).alias(f"prev_{v}") for v in self.values])
-                seen = Observation()
                 # a row that is gone counts as one whose values became nothing
                 both = new.select(*self.keys, *self.values, F.lit(True).alias("__here")).join(old, self.keys, "full")
                 both = both.observe(seen, total.alias("change"), moved.alias("changed"), F.sum(F.when(F.col("__here"), 1).otherwise(0)).alias("rows"))
                 state = keep(both.filter("__here").select(*self.keys, *self.values))
-                got = seen.get
-                row = TraceRow(step, watched.get["n"] if watched else None, int(got["rows"] or 0), None if got["change"] is None else float(got["change"]), int(got["changed"] or 0), time.time() - began)
-                if self.certify == "verify" and row.body_rows != self.certificate.n:
-                    counted = body.count()  # a retried task may have been observed twice
-                    if counted != self.certificate.n:
-                        raise CertificateBroken(f"step {step}: {counted} rows, not {self.certificate.n}")
-                    row.body_rows = counted
-                kept.append((step, state))
-                most = {"last": 1, "all": None, "chain_max": None}.get(self.retain, int(self.retain.split(":")[1]) if ":" in self.retain else 1)
-                while most is not None and len(kept) > most:
-                    discard(kept.pop(0)[1])
-                trace.append(row)
-                row.retained_rows = sum(t.state_rows for t in trace[-len(kept) :])
-                if found := self.stop.test(trace):
-                    reason = found
-                    break
+                if self.certify == "verify":
+                    watch.check(self.certificates, step)
+            got, bodies = {"rows": 0, "change": None, "changed": 0} | observed(seen), watch.counts()
+            main = self.main_body or next(iter(bodies), None)
+            row = TraceRow(step, bodies.get(main), int(got["rows"] or 0), None if got["change"] is None else float(got["change"]), int(got["changed"] or 0), time.time() - began, 0, jobs(), bodies, watch.measures())
+            kept.append((step, state))
+            if chain is not None:  # a fact that is larger than all before: the chain only grows
+                chain = chain.unionByName(spark.createDataFrame([(step,)], "step int"))
+            while most is not None and len(kept) > most:
+                discard(kept.pop(0)[1])
+            trace.append(row)
+            row.retained_rows = sum(t.state_rows for t in trace[-len(kept) :])
+        reason = found
         history = None
         if self.retain != "last":
             history = reduce(DataFrame.unionByName, [s.select(F.lit(k).alias("step"), *self.keys, *self.values) for k, s in kept])
         final = state.select(F.lit(trace[-1].step).alias("step"), *self.keys, *self.values)
-        if self.retain == "chain_max":
-            top = reduce(lambda a, b: max(a, b), [k for k, _ in kept])
-            final = history.filter(F.col("step") == top)
+        if chain is not None:
+            final = history.join(F.broadcast(end_of_chain(chain)), "step")
         return FixpointResult(final, history, trace, reason)
 
 
+class _jobs_of:
+    """Counts the Spark jobs that run inside the block."""
+
+    def __init__(self, spark: SparkSession):
+        self.context = spark.sparkContext
+
+    def __enter__(self) -> Callable[[], int]:
+        self.tag = f"step-{uuid.uuid4().hex}"
+        self.context.addJobTag(self.tag)
+        return lambda: self.n
+
+    def __exit__(self, *_: object) -> None:
+        self.context.removeJobTag(self.tag)
+        self.n = len(self.context._jsc.sc().statusTracker().getJobIdsForTag(self.tag))
+
+
+def end_of_chain(chain: DataFrame) -> DataFrame:
+    """step: the fact of a chain that has no successor, which is its maximum. One row."""
+    return chain.join(chain.select((F.col("step") - 1).alias("step")), "step", "left_anti")
+
+
 def last_step(history: DataFrame) -> DataFrame:
     """The rows of the largest step, selected in a stratum above the recursion."""
     top = history.agg(F.max("step").alias("step"))
     return history.join(F.broadcast(top), "step")
 
 
-def semi_naive(base: DataFrame, step: Callable[[DataFrame], DataFrame], keys: list[str], rounds: int = 1000) -> tuple[DataFrame, list[int]]:
-    """All facts and the number of new ones in each round; only new facts feed the next round."""
-    known = delta = keep(base.dropDuplicates(keys))
-    sizes = [delta.count()]
-    while sizes[-1] and len(sizes) <= rounds:
-        delta = keep(step(delta).dropDuplicates(keys).join(known, keys, "left_anti"))
-        sizes.append(delta.count())
-        if sizes[-1]:
-            known = known.unionByName(delta)
-            if len(sizes) % 8 == 0:
-                known = keep(known)
-    return known, sizes
+def _bounded(rounds: int | None, done: int) -> None:
+    if rounds is not None and done >= rounds:
+        raise RoundsExceeded(f"no fixpoint after {rounds} rounds")
+
+
+def small(df: DataFrame, n: int) -> DataFrame:
+    """df with a broadcast hint if it has few rows; n is their known number."""
+    return F.broadcast(df) if n <= DELTA_ROWS else df
+
 
+def semi_naive(base: DataFrame, step: Callable[[DataFrame], DataFrame], keys: list[str], rounds: int | None = None) -> tuple[DataFrame, list[int]]:
+    """All facts and the number of new ones in each round; only new facts feed the next round.
 
-def naive(base: DataFrame, step: Callable[[DataFrame], DataFrame], keys: list[str], rounds: int = 1000) -> tuple[DataFrame, list[int]]:
+    A round is one job, which counts its own output. Facts are written once, into the folder of their
+    round; all rounds together are one table. Offers and known facts meet in one aggregate, so a round
+    shuffles keys once and joins the new facts only.
+    """
+    spark, folder = base.sparkSession, shared_folder(base.sparkSession)
+    first = base.dropDuplicates(keys)
+    columns, schema = first.columns, first.schema
+    sizes = [write_counted(first, f"{folder}/0")]
+    others = [c for c in columns if c not in keys]
+    while sizes[-1]:
+        _bounded(rounds, len(sizes) - 1)
+        known = spark.read.schema(schema).option("recursiveFileLookup", "true").parquet(folder)
+        delta = spark.read.schema(schema).parquet(f"{folder}/{len(sizes) - 1}")
+        offers = step(small(delta, sizes[-1])).select(*columns, F.lit(False).alias("__known"))
+        both = offers.unionByName(known.select(*columns, F.lit(True).alias("__known")))
+        new = both.groupBy(*keys).agg(F.max("__known").alias("__known"), *[F.first(c).alias(c) for c in others]).filter("not __known").select(*columns)
+        sizes.append(write_counted(new, f"{folder}/{len(sizes)}"))
+    return spark.read.schema(schema).option("recursiveFileLookup", "true").parquet(folder), sizes
+
+
+def naive(base: DataFrame, step: Callable[[DataFrame], DataFrame], keys: list[str], rounds: int | None = None) -> tuple[DataFrame, list[int]]:
     """The same, where all facts feed every round."""
-    known = keep(base.dropDuplicates(keys))
-    sizes = [known.count()]
-    while len(sizes) <= rounds:
-        known = keep(known.unionByName(step(known)).dropDuplicates(keys))
-        n = known.count()
-        if n == sum(sizes):
-            break
-        sizes.append(n - sum(sizes))
-    return known, [*sizes, 0]
+    known, n = keep_counted(base.dropDuplicates(keys))
+    sizes = [n]
+    while True:
+        _bounded(rounds, len(sizes) - 1)
+        old = known
+        known, more = keep_counted(known.unionByName(step(small(known, n))).dropDuplicates(keys))
+        discard(old)
+        if more == n:
+            return known, [*sizes, 0]
+        sizes.append(more - n)
+        n = more
 
 
 def recursive_view(spark: SparkSession, seed_sql: str, step_sql: str, name: str, keys: list[str], values: list[str], stop: StopRule, retain: str = "last") -> FixpointResult:
     """The user writes seed and step as queries over the view `name`; aggregates are allowed, as steps are staged."""
 
-    def advance(state: DataFrame):
+    def advance(state: DataFrame, watch: Watch) -> DataFrame:
         state.createOrReplaceTempView(name)
-        return spark.sql(step_sql), lambda body: body
+        return watch("body", spark.sql(step_sql))
 
     return StagedFixpoint(spark.sql(seed_sql), advance, keys, values, stop, retain=retain).run()
 
@@ -219,17 +293,19 @@ def _least(costs: DataFrame) -> DataFrame:
     return costs.groupBy("node").agg(F.min("cost").alias("cost"))
 
 
-def min_in_recursion(arcs: DataFrame, source: int, rounds: int = 1000) -> DataFrame:
+def min_in_recursion(arcs: DataFrame, source: int, rounds: int | None = None) -> DataFrame:
     """node, cost: least path cost from source, where the minimum is taken in every round. Costs must not be negative."""
     spark = arcs.sparkSession
-    best = delta = keep(spark.createDataFrame([(source, 0.0)], "node bigint, cost double"))
-    for _ in range(rounds):
-        offers = _least(delta.join(arcs, delta["node"] == arcs["src"]).select(arcs["dst"].alias("node"), (F.col("cost") + arcs["cost_of"]).alias("cost")))
-        better = offers.join(best.withColumnRenamed("cost", "old"), "node", "left").filter("old is null or cost < old").select("node", "cost")
-        delta = keep(better)
-        if delta.isEmpty():
-            break
-        best = keep(_least(best.unionByName(delta)))
+    best, n = keep_counted(spark.createDataFrame([(source, 0.0)], "node bigint, cost double"))
+    delta, done = best, 0
+    while n:
+        _bounded(rounds, done)
+        d = small(delta, n)
+        offers = _least(d.join(arcs, d["node"] == arcs["src"]).select(arcs["dst"].alias("node"), (F.col("cost") + arcs["cost_of"]).alias("cost")))
+        delta, n = keep_counted(offers.join(best.withColumnRenamed("cost", "old"), "node", "left").filter("old is null or cost < old").select("node", "cost"))
+        if n:
+            best = keep(_least(best.unionByName(delta)))
+        done += 1
     return best
 
 
@@ -254,34 +330,45 @@ def check_premappable(arcs: DataFrame, facts: DataFrame) -> bool:
     return step(facts).exceptAll(step(_least(facts))).isEmpty()
 
 
-def monotone_threshold(arcs: DataFrame, seed: DataFrame, k: int, rounds: int = 1000) -> DataFrame:
-    """Nodes that join once at least k of their predecessors have: a count that only grows, tested from below."""
-    members = keep(seed.select("node").dropDuplicates())
-    for _ in range(rounds):
-        reached = arcs.join(members, arcs["src"] == members["node"], "left_semi").groupBy("dst").agg(F.count_distinct("src").alias("n")).filter(F.col("n") >= k)
-        new = keep(reached.select(F.col("dst").alias("node")).join(members, "node", "left_anti"))
-        if new.isEmpty():
-            break
-        members = keep(members.unionByName(new))
+def monotone_threshold(arcs: DataFrame, seed: DataFrame, k: int, rounds: int | None = None) -> DataFrame:
+    """Nodes that join once at least k of their predecessors have: a count that only grows, tested from below.
+
+    Counts are kept, and each round adds what its new members give, so no arc is counted twice.
+    """
+    once = arcs.select("src", "dst").distinct()
+    delta, n = keep_counted(seed.select("node").dropDuplicates())
+    members, counts, done = delta, None, 0
+    while n:
+        _bounded(rounds, done)
+        d = small(delta, n)
+        more = once.join(d, once["src"] == d["node"]).groupBy(F.col("dst").alias("node")).agg(F.count(F.lit(1)).alias("n"))
+        counts = keep(more if counts is None else counts.unionByName(more).groupBy("node").agg(F.sum("n").alias("n")))
+        delta, n = keep_counted(counts.filter(F.col("n") >= k).select("node").join(members, "node", "left_anti"))
+        if n:
+            members = keep(members.unionByName(delta))
+        done += 1
     return members
 
 
-def reachable_from(arcs: DataFrame, source: int, strategy: str = "semi_naive") -> DataFrame:
+def reachable_from(arcs: DataFrame, source: int, strategy: str = "semi_naive", rounds: int | None = None) -> DataFrame:
     """node: reachable from source; the bound argument seeds the recursion instead of filtering a closure."""
-    spark = arcs.sparkSession
-    base = spark.createDataFrame([(source,)], "node bigint")
+    return reachable(arcs, arcs.sparkSession.createDataFrame([(source,)], "node bigint"), strategy, rounds)
+
+
+def reachable(arcs: DataFrame, base: DataFrame, strategy: str = "semi_naive", rounds: int | None = None) -> DataFrame:
+    """node: reachable from the nodes of base, these included."""
 
     def step(delta: DataFrame) -> DataFrame:
         return delta.join(arcs, delta["node"] == arcs["src"]).select(arcs["dst"].alias("node"))
 
-    return (semi_naive if strategy == "semi_naive" else naive)(base, step, ["node"])[0]
+    return (semi_naive if strategy == "semi_naive" else naive)(base, step, ["node"], rounds)[0]
 
 
-def closure(arcs: DataFrame) -> DataFrame:
+def closure(arcs: DataFrame, rounds: int | None = None) -> DataFrame:
     """src, dst of every path: the unbound recursion that a bound argument avoids."""
     base = arcs.select("src", "dst")
 
     def step(delta: DataFrame) -> DataFrame:
         return delta.alias("d").join(arcs.alias("a"), F.col("d.dst") == F.col("a.src")).select(F.col("d.src").alias("src"), F.col("a.dst").alias("dst"))
 
-    return semi_naive(base, step, ["src", "dst"])[0]
+    return semi_naive(base, step, ["src", "dst"], rounds)[0]

@@ -11,6 +11,8 @@ from stratasum.operators import lloyd as L
 from stratasum.operators import markov as M
 from stratasum.operators import set_aggregates as A
 from stratasum.plans import fixpoint as X
+from stratasum.plans.datalog import Atom, Clause, ask
+from stratasum.plans.program import Literal, Program, Rule
 from stratasum.sources import flows
 from stratasum.sources.catalog import table
 
@@ -51,7 +53,7 @@ query(f"WITH {ITEMS} SELECT item, count(*) OVER w AS counter, CAST(sum(cents) OV
 
 def _final(kind: str, strategy: str):
     def f(spark: SparkSession, sf_dir: str) -> DataFrame:
-        out = A.final(flows.supplier_items(spark, sf_dir), kind, "cents", ["item"], strategy)
+        out = A.final(flows.supplier_items(spark, sf_dir), kind, "cents", ["item"], strategy, mode="prefix" if strategy == "precount" else "window")
         return out.withColumn("value", F.round("value", 4)) if kind == "avg" else out
 
     return f
@@ -99,27 +101,30 @@ def agg_set_vs_bag(spark, sf_dir):
     return both[0].unionByName(both[1])
 
 
-@query(f"WITH {ITEMS} SELECT CAST(sum(cents // 100 * (cents // 100)) AS BIGINT) AS value FROM items WHERE cents >= 0")
+@query(f"WITH {ITEMS}, whole AS (SELECT CAST(floor(cents / 100) AS BIGINT) AS units FROM items) SELECT CAST(sum(units * units) AS BIGINT) AS value FROM whole")
 def agg_custom_template(spark, sf_dir):
-    items = flows.supplier_items(spark, sf_dir).filter("cents >= 0").withColumn("cents", F.floor(F.col("cents") / 100))
-    return A.final(items, "sum_squares", "cents", ["item"], "precount")
+    items = flows.supplier_items(spark, sf_dir).withColumn("cents", F.floor(F.col("cents") / 100))
+    return A.final(items, "sum_squares", "cents", ["item"], "precount", mode="prefix")
 
 
-# ---- groups
+@query(f"WITH {ITEMS} SELECT CAST(sum(cents) AS BIGINT) AS value, count(*) AS n FROM items")
+def agg_final_sum_counted(spark, sf_dir):
+    """The final sum by completion; the number of items is saved on the way, in the same job."""
+    value, n = A.final_counted(flows.supplier_items(spark, sf_dir), "sum", "cents")
+    return spark.createDataFrame([(value, n)], "value bigint, n bigint")
 
-PAIRS = "pairs AS (SELECT o_orderpriority AS grp, o_orderkey AS item, CAST(round(o_totalprice * 100) AS BIGINT) AS cents FROM orders)"
-FEW = "pairs AS (SELECT o_orderpriority AS grp, o_orderkey AS item, CAST(round(o_totalprice * 100) AS BIGINT) AS cents FROM orders WHERE o_orderkey < 200)"
 
+# ---- groups
 
+PAIRS = "pairs AS (SELECT o_orderpriority AS grp, o_orderkey AS item, CAST(round(o_totalprice * 100) AS BIGINT) AS cents FROM orders)"
 @query(f"""
-WITH {FEW}, steps AS (SELECT row_number() OVER (ORDER BY item) AS counter, grp, cents FROM pairs),
+WITH {PAIRS}, steps AS (SELECT row_number() OVER (ORDER BY item) AS counter, grp, cents FROM pairs),
 every AS (
   SELECT g.grp, s.counter, CASE WHEN s.grp = g.grp THEN s.cents ELSE 0 END AS own FROM (SELECT DISTINCT grp FROM pairs) g, steps s
   UNION ALL SELECT DISTINCT grp, 0, 0 FROM pairs)
 SELECT grp, counter, CAST(sum(own) OVER (PARTITION BY grp ORDER BY counter) AS BIGINT) AS running FROM every""")
 def grp_running_sum_global(spark, sf_dir):
-    pairs = flows.order_pairs(spark, sf_dir).filter("item < 200")
-    return A.grouped_running(pairs, ["grp"], "cents", ["item"], counter="global")
+    return A.grouped_running(flows.order_pairs(spark, sf_dir), ["grp"], "cents", ["item"], counter="global", mode="prefix")
 
 
 @query(f"WITH {PAIRS} SELECT grp, row_number() OVER w AS counter, CAST(sum(cents) OVER w AS BIGINT) AS running FROM pairs WINDOW w AS (PARTITION BY grp ORDER BY item)")
@@ -127,10 +132,9 @@ def grp_running_sum_local(spark, sf_dir):
     return A.grouped_running(flows.order_pairs(spark, sf_dir), ["grp"], "cents", ["item"])
 
 
-def _grouped(kind: str, strategy: str, scope: str = "group", few: bool = False):
+def _grouped(kind: str, strategy: str, scope: str = "group"):
     def f(spark, sf_dir):
-        pairs = flows.order_pairs(spark, sf_dir)
-        out = A.grouped_final(pairs.filter("item < 200") if few else pairs, ["grp"], "cents", ["item"], kind, strategy, scope)
+        out = A.grouped_final(flows.order_pairs(spark, sf_dir), ["grp"], "cents", ["item"], kind, strategy, scope, "prefix" if scope == "global" else "window")
         return out.withColumn("value", F.round("value", 4)) if kind == "avg" else out
 
     return f
@@ -147,19 +151,7 @@ for _name, _kind, _strategy, _scope in (
     ("grp_final_max", "max", "max_running", "group"),
 ):
     _sql = "round(CAST(sum(cents) AS DOUBLE) / count(*), 4)" if _kind == "avg" else _FORM[_kind]
-    query(f"WITH {FEW if _scope == 'global' else PAIRS} SELECT grp, {_sql} AS value FROM pairs GROUP BY grp", _name)(_grouped(_kind, _strategy, _scope, _scope == "global"))
-
-
-@query()
-def grp_running_sum_global_all(spark, sf_dir):
-    """grp_running_sum_global over all orders."""
-    return A.grouped_running(flows.order_pairs(spark, sf_dir), ["grp"], "cents", ["item"], counter="global", mode="prefix")
-
-
-@query()
-def grp_final_sum_precount_all(spark, sf_dir):
-    """grp_final_sum_precount over all orders."""
-    return A.grouped_final(flows.order_pairs(spark, sf_dir), ["grp"], "cents", ["item"], "sum", "precount", "global", "prefix")
+    query(f"WITH {PAIRS} SELECT grp, {_sql} AS value FROM pairs GROUP BY grp", _name)(_grouped(_kind, _strategy, _scope))
 
 
 @query(f"""WITH {PAIRS} SELECT grp, strategy, CAST(sum(cents) AS BIGINT) AS value
@@ -318,11 +310,13 @@ def fix_sql_program(spark, sf_dir):
     return _masses(out.history)
 
 
-def _rank_sql(weights: str, steps: int, digits: int) -> str:
+def _rank_sql(weights: str, steps: int, digits: int, dangling: str = "uniform") -> str:
     parts = [f"WITH {weights}, {UNREPAIRED}, nodes AS MATERIALIZED (SELECT src AS node FROM arcs UNION SELECT dst FROM arcs), ends AS MATERIALIZED (SELECT node FROM nodes WHERE node NOT IN (SELECT src FROM arcs)), n AS (SELECT count(*) * 1.0e0 AS n FROM nodes), r0 AS (SELECT node, 1 / n AS mass FROM nodes, n)"]
     for k in range(1, steps + 1):
         p = f"r{k - 1}"
-        parts.append(f"g{k} AS (SELECT dst AS node, sum(mass * share) AS got FROM {p} JOIN arcs ON src = node GROUP BY dst), r{k} AS MATERIALIZED (SELECT nodes.node, 0.15e0 / n + 0.85e0 * (coalesce(got, 0) + coalesce((SELECT sum(mass) FROM {p} JOIN ends USING (node)), 0) / n) AS mass FROM nodes LEFT JOIN g{k} USING (node), n)")
+        own = f" UNION ALL SELECT node, mass FROM {p} JOIN ends USING (node)" if dangling == "self" else ""
+        even = "0" if dangling == "self" else f"coalesce((SELECT sum(mass) FROM {p} JOIN ends USING (node)), 0) / n"
+        parts.append(f"f{k} AS (SELECT dst AS node, mass * share AS flow FROM {p} JOIN arcs ON src = node{own}), g{k} AS (SELECT node, sum(flow) AS got FROM f{k} GROUP BY node), r{k} AS MATERIALIZED (SELECT nodes.node, 0.15e0 / n + 0.85e0 * (coalesce(got, 0) + {even}) AS mass FROM nodes LEFT JOIN g{k} USING (node), n)")
     return ", ".join(parts) + f" SELECT {steps} AS step, node, round(mass, {digits}) AS mass FROM r{steps}"
 
 
@@ -332,12 +326,52 @@ def link_rank(spark, sf_dir):
     return out.select("step", "node", F.round("mass", 9).alias("mass"))
 
 
-@query()
+HOST_LINKS = """
+raw AS (
+  SELECT src, dst, count(*) * 1.0 AS weight
+  FROM (SELECT regexp_extract(url, '^[a-z]+://([^/?#:]+)', 1) AS src, unnest(regexp_extract_all(html, 'href="/([^"]+)"', 1)) AS dst FROM pages)
+  GROUP BY 1, 2)"""
+
+
+@query(_rank_sql(HOST_LINKS, 5, 9))
 def link_rank_hosts(spark, sf_dir):
     out = M.link_rank(M.transition(flows.host_paths(spark, sf_dir)), steps=5).final
     return out.select("step", "node", F.round("mass", 9).alias("mass"))
 
 
+@query(_rank_sql(HOST_LINKS, 5, 9, "self"))
+def link_rank_dangling_self(spark, sf_dir):
+    out = M.link_rank(M.transition(flows.host_paths(spark, sf_dir)), steps=5, dangling="self").final
+    return out.select("step", "node", F.round("mass", 9).alias("mass"))
+
+
+@query(_chain_sql(3, "SELECT node, round(mass, 3) AS mass FROM chain WHERE step = 3"))
+def base_reloading_markov(spark, sf_dir):
+    start = M.seed_from_self_arcs(flows.nation_flow(spark, sf_dir))
+    return M.reloading_steps(lambda: flows.nation_flow(spark, sf_dir), start, 3).select("node", F.round("mass", 3).alias("mass"))
+
+
+def markov_program(finish: str = "complete", top: str = "max_stage") -> Program:
+    """The chain as rules: mass of stage 0 from self-arcs, mass of stage J + 1 from that of J, and the last stage."""
+    return Program((
+        Rule("mass", (Literal("arc"),), "sum", "complete", lambda f: f["arc"].filter("src = dst").select(F.col("src").alias("node"), "src", F.lit(M.START).alias("flow")), ("node",), "flow", ("src",), "mass"),
+        Rule("mass", (Literal("mass", shift=1), Literal("arc")), "sum", finish, lambda f: f["mass"].withColumnRenamed("node", "src").join(f["arc"], "src").select(F.col("dst").alias("node"), "src", (F.col("mass") * F.col("share")).alias("flow")), ("node",), "flow", ("src",), "mass"),
+        Rule("final", (Literal("mass"),), None, top),
+    ))
+
+
+def _program_markov(finish: str, top: str):
+    def f(spark, sf_dir):
+        arcs = X.keep(flows.nation_flow(spark, sf_dir))
+        return _masses(markov_program(finish=finish, top=top).run({"arc": arcs}, X.converged(1e-6) | X.max_steps(M.STEPS)).frames["final"])
+
+    return f
+
+
+for _name, _finish, _top in (("program_markov", "complete", "last_delta"), ("program_markov_precount", "precount", "max_stage"), ("program_markov_negation", "negation", "chain_max")):
+    query(_chain_sql(60, CONVERGED), _name)(_program_markov(_finish, _top))
+
+
 @query(_chain_sql(3, ALL_STEPS, EVENT_WEIGHTS))
 def base_stratified_markov(spark, sf_dir):
     flows.event_flow(spark, sf_dir).createOrReplaceTempView("event_arcs")
@@ -346,40 +380,41 @@ def base_stratified_markov(spark, sf_dir):
 
 # ---- fixpoints
 
-FEW_ARCS = SUCCESSION.format("l_partkey") + ", few AS (SELECT DISTINCT src, dst FROM raw WHERE src < 300 AND dst < 300)"
+PART_ARCS = SUCCESSION.format("l_partkey") + ", ways AS (SELECT DISTINCT src, dst FROM raw)"
 
 
-def _few_arcs(spark, sf_dir):
-    return flows.part_weights(spark, sf_dir).filter("src < 300 and dst < 300").select("src", "dst").distinct()
+def _part_arcs(spark, sf_dir):
+    return X.keep(flows.part_weights(spark, sf_dir).select("src", "dst").distinct())
 
 
-REACH = f"WITH RECURSIVE {FEW_ARCS}, reach(node) AS (SELECT CAST(1 AS BIGINT) UNION SELECT dst FROM reach JOIN few ON src = node) SELECT node FROM reach"
+REACH = f"WITH RECURSIVE {PART_ARCS}, reach(node) AS (SELECT CAST(1 AS BIGINT) UNION SELECT dst FROM reach JOIN ways ON src = node) SELECT node FROM reach"
 
 
 @query(REACH)
 def fix_reachability(spark, sf_dir):
-    return X.reachable_from(X.keep(_few_arcs(spark, sf_dir)), 1)
+    return X.reachable_from(_part_arcs(spark, sf_dir), 1)
 
 
 @query(REACH)
 def fix_reachability_naive(spark, sf_dir):
-    return X.reachable_from(X.keep(_few_arcs(spark, sf_dir)), 1, "naive")
+    return X.reachable_from(_part_arcs(spark, sf_dir), 1, "naive")
 
 
-def _all_arcs(spark, sf_dir):
-    return X.keep(flows.part_weights(spark, sf_dir).select("src", "dst").distinct())
+CHAINED = "next AS (SELECT o_orderkey AS src, lead(o_orderkey) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS dst, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS n FROM orders)"
+LATER = f"WITH RECURSIVE {CHAINED}, reach(node) AS (SELECT src FROM next WHERE n = 1 UNION SELECT dst FROM reach JOIN next ON src = node WHERE dst IS NOT NULL) SELECT node FROM reach"
 
 
-@query()
-def fix_reachability_all(spark, sf_dir):
-    """fix_reachability over the succession of all parts."""
-    return X.reachable_from(_all_arcs(spark, sf_dir), 1)
+def _later_orders(how: str):
+    """Every order, reached from the first one of its customer: many rounds, each with fewer new facts."""
 
+    def f(spark, sf_dir):
+        return X.reachable(*flows.order_chains(spark, sf_dir), how)
+
+    return f
 
-@query()
-def fix_reachability_naive_all(spark, sf_dir):
-    """fix_reachability_naive over the succession of all parts."""
-    return X.reachable_from(_all_arcs(spark, sf_dir), 1, "naive")
+
+query(LATER, "fix_order_chains")(_later_orders("semi_naive"))
+query(LATER, "fix_order_chains_naive")(_later_orders("naive"))
 
 
 NATION_ARCS = WEIGHTS + ", few AS (SELECT src, dst FROM raw r WHERE weight > (SELECT 1.15 * avg(weight) FROM raw) AND src <> dst)"
@@ -398,13 +433,40 @@ def closure_then_filter(spark, sf_dir):
 
 @query(f"WITH RECURSIVE {NATION_ARCS}, closure(src, dst) AS (SELECT src, dst FROM few WHERE src = 3 UNION SELECT c.src, f.dst FROM closure c JOIN few f ON f.src = c.dst) SELECT CAST(src AS BIGINT) AS src, CAST(dst AS BIGINT) AS dst FROM closure")
 def magic_reach(spark, sf_dir):
-    arcs = _heavy_arcs(spark, sf_dir)
-    first = arcs.filter("src = 3").select(F.col("dst").alias("node"))
-    out, _ = X.semi_naive(first, lambda d: d.join(arcs, d["node"] == arcs["src"]).select(arcs["dst"].alias("node")), ["node"])
-    return out.select(F.lit(3).cast("bigint").alias("src"), F.col("node").alias("dst"))
+    """The binding is pushed into the left-linear rules."""
+    return _asked(spark, sf_dir, LEFT_LINEAR)[0]
+
+
+def _paths(first: str, then: str) -> list[Clause]:
+    return [Clause(Atom("path", ("x", "z")), (Atom("arc", ("x", "z")),)), Clause(Atom("path", ("x", "z")), (Atom(first, ("x", "y")), Atom(then, ("y", "z"))))]
 
 
-COSTS = SUCCESSION.format("l_suppkey") + ", " + UNREPAIRED + ", costs AS (SELECT src, dst, 1 - share AS cost_of FROM arcs WHERE src < 40 AND dst < 40)"
+LEFT_LINEAR, RIGHT_LINEAR = _paths("path", "arc"), _paths("arc", "path")
+
+
+def _asked(spark, sf_dir, rules, push=True):
+    arcs = _heavy_arcs(spark, sf_dir).select(F.col("src").alias("c0"), F.col("dst").alias("c1"))
+    out, found = ask(rules, {"arc": arcs}, Atom("path", (3, "z")), push)
+    return out.select(F.lit(3).cast("bigint").alias("src"), F.col("z").alias("dst")), found
+
+
+@query(f"WITH RECURSIVE {NATION_ARCS}, closure(src, dst) AS (SELECT src, dst FROM few WHERE src = 3 UNION SELECT c.src, f.dst FROM closure c JOIN few f ON f.src = c.dst) SELECT CAST(src AS BIGINT) AS src, CAST(dst AS BIGINT) AS dst FROM closure")
+def magic_reach_right(spark, sf_dir):
+    """The same from right-linear rules, where the rewriting asks for all nodes that are reached."""
+    return _asked(spark, sf_dir, RIGHT_LINEAR)[0]
+
+
+@query(f"""WITH RECURSIVE {NATION_ARCS}, closure(src, dst) AS (SELECT src, dst FROM few UNION SELECT c.src, f.dst FROM closure c JOIN few f ON f.src = c.dst),
+met(node) AS (SELECT 3 UNION SELECT dst FROM closure WHERE src = 3)
+SELECT 'plain' AS form, count(*) AS facts FROM closure UNION ALL SELECT 'left', count(*) FROM closure WHERE src = 3
+UNION ALL SELECT 'right', count(*) FROM closure WHERE src IN (SELECT node FROM met)""")
+def measure_magic_facts(spark, sf_dir):
+    """Path facts that are derived without the rewriting and with it."""
+    rows = [(form, sum(n for r, n in _asked(spark, sf_dir, rules, push)[1].facts.items() if r.startswith("path"))) for form, rules, push in (("plain", LEFT_LINEAR, False), ("left", LEFT_LINEAR, True), ("right", RIGHT_LINEAR, True))]
+    return spark.createDataFrame(rows, "form string, facts bigint")
+
+
+COSTS = SUCCESSION.format("l_suppkey") + ", " + UNREPAIRED + ", costs AS (SELECT src, dst, 1 - share AS cost_of FROM arcs)"
 PATHS = f"""WITH RECURSIVE {COSTS}, path(node, cost, hops) AS (
   SELECT CAST(1 AS BIGINT), CAST(0 AS DOUBLE), 0
   UNION ALL
@@ -414,7 +476,7 @@ SELECT node, round(min(cost), 6) AS cost FROM path GROUP BY node"""
 
 def _costs(spark, sf_dir):
     arcs = M.transition(flows._succession(spark, sf_dir, "l_suppkey"))
-    return X.keep(arcs.filter("src < 40 and dst < 40").select("src", "dst", (1 - F.col("share")).alias("cost_of")))
+    return X.keep(arcs.select("src", "dst", (1 - F.col("share")).alias("cost_of")))
 
 
 @query(PATHS.format(12))
@@ -427,24 +489,14 @@ def premap_shortest_stratified(spark, sf_dir):
     return X.stratified_min(_costs(spark, sf_dir), 1, 3).select("node", F.round("cost", 6).alias("cost"))
 
 
-def _all_costs(spark, sf_dir):
-    arcs = M.transition(flows._succession(spark, sf_dir, "l_suppkey"))
-    return X.keep(arcs.select("src", "dst", (1 - F.col("share")).alias("cost_of")))
+def _threshold_sql(rounds: int) -> str:
+    levels = [f"WITH {SUCCESSION.format('l_suppkey')}, ways AS (SELECT DISTINCT src, dst FROM raw), m0 AS (SELECT CAST(range AS BIGINT) AS node FROM range(1, 6))"]
+    for k in range(1, rounds + 1):
+        levels.append(f"m{k} AS MATERIALIZED (SELECT node FROM m{k - 1} UNION SELECT dst FROM ways JOIN m{k - 1} ON src = node GROUP BY dst HAVING count(*) >= 2)")
+    return ", ".join(levels) + f" SELECT node FROM m{rounds}"
 
 
-@query()
-def premap_shortest_all(spark, sf_dir):
-    """premap_shortest over the arcs of all suppliers."""
-    return X.min_in_recursion(_all_costs(spark, sf_dir), 1).select("node", F.round("cost", 6).alias("cost"))
-
-
-@query()
-def premap_shortest_stratified_all(spark, sf_dir):
-    """premap_shortest_stratified over the arcs of all suppliers. It lists all paths, which is what the minimum in recursion avoids."""
-    return X.stratified_min(_all_costs(spark, sf_dir), 1, 3).select("node", F.round("cost", 6).alias("cost"))
-
-
-@query()
+@query(_threshold_sql(8))
 def monotone_threshold(spark, sf_dir):
     arcs = X.keep(flows._succession(spark, sf_dir, "l_suppkey").select("src", "dst").distinct())
     seed = spark.createDataFrame([(k,) for k in range(1, 6)], "node bigint")
@@ -544,13 +596,19 @@ def lloyd_init_first(spark, sf_dir):
     return L.seeds(flows.part_points(spark, sf_dir), 10)
 
 
-@query(f"""WITH {POINTS}, f1 AS (SELECT x, y FROM pts ORDER BY id LIMIT 1),
-f2 AS (SELECT p.x, p.y FROM pts p, f1 ORDER BY (p.x - f1.x) ** 2 + (p.y - f1.y) ** 2 DESC, id LIMIT 1),
-f3 AS (SELECT p.x, p.y FROM pts p, f1, f2 ORDER BY least((p.x - f1.x) ** 2 + (p.y - f1.y) ** 2, (p.x - f2.x) ** 2 + (p.y - f2.y) ** 2) DESC, id LIMIT 1),
-every AS (SELECT 0 AS c, * FROM f1 UNION ALL SELECT 1, * FROM f2 UNION ALL SELECT 2, * FROM f3)
-SELECT c AS centre_id, 0 AS dim, x AS val FROM every UNION ALL SELECT c, 1, y FROM every""")
+def _farthest_sql(k: int) -> str:
+    gap = "(p.x - f{0}.x) ** 2 + (p.y - f{0}.y) ** 2"
+    levels = [f"WITH {POINTS}, f0 AS (SELECT x, y FROM pts ORDER BY id LIMIT 1)"]
+    for i in range(1, k):
+        least = f"least({', '.join(gap.format(j) for j in range(i))})" if i > 1 else gap.format(0)
+        levels.append(f"f{i} AS MATERIALIZED (SELECT p.x, p.y FROM pts p, {', '.join(f'f{j}' for j in range(i))} ORDER BY {least} DESC, id LIMIT 1)")
+    every = " UNION ALL ".join(f"SELECT {i} AS c, * FROM f{i}" for i in range(k))
+    return ", ".join(levels) + f", every AS ({every}) SELECT c AS centre_id, 0 AS dim, x AS val FROM every UNION ALL SELECT c, 1, y FROM every"
+
+
+@query(_farthest_sql(10))
 def lloyd_init_farthest(spark, sf_dir):
-    return L.seeds(flows.part_points(spark, sf_dir), 3, "farthest")
+    return L.seeds(flows.part_points(spark, sf_dir), 10, "farthest")
 
 
 def _seeded(how: str):
@@ -564,12 +622,77 @@ for _how in ("random", "plusplus", "parallel"):
     query(None, f"lloyd_init_{_how}")(_seeded(_how))
 
 
-@query(f"WITH {POINTS}, n AS (SELECT id, p.x, p.y, min(struct_pack(d := (p.x - q.x) ** 2 + (p.y - q.y) ** 2, c := q.c)) AS m FROM pts p, first q GROUP BY id, p.x, p.y) SELECT CAST(m.c AS INT) AS centre_id, 0 AS dim, round(sum(x * (1 + id % 3)) / sum(1 + id % 3), 6) AS val FROM n GROUP BY m.c UNION ALL SELECT CAST(m.c AS INT), 1, round(sum(y * (1 + id % 3)) / sum(1 + id % 3), 6) FROM n GROUP BY m.c")
+def _clusters_sql(points: str, dims: int, k: int, steps: int, tail: str, weight: str = "1") -> str:
+    """Steps over points(id, v1, v2, ...) from the first k; empty centres stay. Ends in tables n1.. (id, m) and c0.. (c, v1, ...)."""
+    vs = [f"v{j}" for j in range(1, dims + 1)]
+    of = lambda t: ", ".join(f"{t}.{v}" for v in vs)
+    levels = [f"WITH {points}, c0 AS (SELECT CAST(row_number() OVER (ORDER BY id) - 1 AS INT) AS c, {', '.join(vs)} FROM (SELECT * FROM pts ORDER BY id LIMIT {k}))"]
+    for s in range(1, steps + 1):
+        d = " + ".join(f"(p.{v} - q.{v}) * (p.{v} - q.{v})" for v in vs)
+        levels.append(f"n{s} AS MATERIALIZED (SELECT id, {of('p')}, min(struct_pack(d := {d}, c := q.c)) AS m FROM pts p, c{s - 1} q GROUP BY id, {of('p')})")
+        means = ", ".join(f"sum({v} * {weight}) / sum({weight}) AS {v}" for v in vs)
+        levels.append(f"a{s} AS (SELECT m.c AS c, {means} FROM n{s} GROUP BY m.c)")
+        levels.append(f"c{s} AS MATERIALIZED (SELECT o.c, {', '.join(f'coalesce(a.{v}, o.{v}) AS {v}' for v in vs)} FROM c{s - 1} o LEFT JOIN a{s} a ON a.c = o.c)")
+    return ", ".join(levels) + " " + tail
+
+
+def _centres_sql(step: int, dims: int, first: int = 0) -> str:
+    return " UNION ALL ".join(f"SELECT {step} AS step, c AS centre_id, {j + first} AS dim, round(v{j + 1}, 6) + 0.0 AS val FROM c{step}" for j in range(dims))
+
+
+PLANE = "pts AS MATERIALIZED (SELECT p_partkey AS id, CAST(p_size * 20 AS DOUBLE) AS v1, CAST(round((p_retailprice - 900) * 10) AS DOUBLE) AS v2 FROM part)"
+
+
+@query(_clusters_sql(PLANE, 2, 10, 3, _centres_sql(3, 2), "(1 + id % 3)"))
 def lloyd_weighted(spark, sf_dir):
     wide = flows.part_points(spark, sf_dir)
     points = flows.tall(wide).withColumn("w", (1 + F.col("point_id") % 3).cast("double"))
-    own = L.nearest(L.squared_distances(points, L.seeds(wide, 10)))
-    return L.recentre(own, points, "w").select("centre_id", "dim", F.round("val", 6).alias("val"))
+    return _rounded(L.lloyd(points, L.seeds(wide, 10), steps=3, eps=None, strategy="tall", weight="w").final)
+
+
+def _certified(certify: str):
+    def f(spark, sf_dir):
+        wide = flows.part_points(spark, sf_dir)
+        return _rounded(L.lloyd(flows.tall(wide), L.seeds(wide, 10), steps=3, eps=None, strategy="tall", certify=certify).final)
+
+    return f
+
+
+query(_clusters_sql(PLANE, 2, 10, 3, _centres_sql(3, 2)), "lloyd_goal_variant")(_certified("goal"))
+query(_clusters_sql(PLANE, 2, 10, 3, _centres_sql(3, 2)), "lloyd_verify_variant")(_certified("verify"))
+
+
+@query("SELECT CAST(step AS INT) AS step, (SELECT count(*) FROM part) * 20 AS distance_rows, (SELECT count(*) FROM part) * 10 AS nearest_rows, (SELECT count(*) FROM part) * 2 AS mean_rows FROM range(1, 4) AS t(step)")
+def lloyd_body_counts(spark, sf_dir):
+    wide = flows.part_points(spark, sf_dir)
+    trace = L.lloyd(flows.tall(wide), L.seeds(wide, 10), steps=3, eps=None, strategy="tall", certify="verify").trace
+    return spark.createDataFrame([(t.step, t.bodies["distance"], t.bodies["nearest"], t.bodies["mean"]) for t in trace[1:]], "step int, distance_rows bigint, nearest_rows bigint, mean_rows bigint")
+
+
+@query(_clusters_sql(PLANE, 2, 10, 3, _centres_sql(3, 2, 1)))
+def lloyd_dims_from_one(spark, sf_dir):
+    """Dimensions 1 and 2: tall points may number them as they like."""
+    wide = flows.part_points(spark, sf_dir)
+    later = lambda df: df.withColumn("dim", F.col("dim") + 1)
+    return _rounded(L.lloyd(later(flows.tall(wide)), later(L.seeds(wide, 10)), steps=3, eps=None, strategy="tall").final)
+
+
+def lloyd_program(top: str = "last_delta") -> Program:
+    """The clustering as rules: distances, packed minima, and means as the centres of the next stage. Centres without points end."""
+    return Program((
+        Rule("centre", (Literal("init"),), "avg", "complete", lambda f: f["init"], ("centre_id", "dim"), "val", ("val",), "val"),
+        Rule("dist", (Literal("point"), Literal("centre")), "sum", "complete", lambda f: L.gaps(f["point"], f["centre"], True), ("point_id", "centre_id"), "sq", ("dim",), "d"),
+        Rule("near", (Literal("dist"),), "min", "complete", lambda f: f["dist"].select("point_id", F.struct("d", "centre_id").alias("pair")), ("point_id",), "pair", ("pair",), "m"),
+        Rule("centre", (Literal("near", shift=1), Literal("point")), "avg", "complete", lambda f: f["near"].select("point_id", "m.centre_id").join(f["point"], "point_id"), ("centre_id", "dim"), "val", ("point_id",), "val"),
+        Rule("final", (Literal("centre"),), None, top),
+    ))
+
+
+@query(_lloyd_sql(3, CENTRES.format(3), keep=False))
+def program_lloyd(spark, sf_dir):
+    wide = flows.part_points(spark, sf_dir)
+    points, init = X.keep(flows.tall(wide)), L.seeds(wide, 10)
+    return _rounded(lloyd_program().run({"point": points, "init": init}, X.max_steps(3), "l2").frames["final"])
 
 
 @query("""
@@ -584,7 +707,17 @@ def lloyd_arrow_embeddings(spark, sf_dir):
     return out.withColumn("val", F.col("val") + 0.0)
 
 
-@query()
+ORDER_POINTS = "pts AS MATERIALIZED (SELECT l_orderkey AS id, sum(l_quantity) AS v1, avg(l_discount) * 100 AS v2, CAST(count(*) AS DOUBLE) AS v3 FROM lineitem GROUP BY l_orderkey)"
+EVENT_POINTS = "pts AS MATERIALIZED (SELECT event_id AS id, value AS v1, CAST(hour(ts) AS DOUBLE) AS v2 FROM events)"
+
+
+@query(_clusters_sql(EVENT_POINTS, 2, 5, 3, _centres_sql(3, 2)))
+def lloyd_events(spark, sf_dir):
+    wide = flows.event_points(spark, sf_dir)
+    return _rounded(L.lloyd(wide, L.seeds(wide, 5), steps=3, eps=None, strategy="arrow").final)
+
+
+@query(_clusters_sql(ORDER_POINTS, 3, 5, 3, _centres_sql(3, 3)))
 def lloyd_orders(spark, sf_dir):
     wide = flows.order_points(spark, sf_dir)
     return _rounded(L.lloyd(wide, L.seeds(wide, 5), steps=3, eps=None, strategy="arrow").final)
@@ -633,6 +766,54 @@ def measure_step_trace(spark, sf_dir):
     return out.trace_frame(spark).filter("step > 0").select("step", "body_rows", "state_rows")
 
 
+@query(_chain_sql(3, """, moved AS (SELECT step, node, mass, lag(mass) OVER (PARTITION BY node ORDER BY step) - mass AS fall FROM chain)
+SELECT step, round(max(fall), 2) AS largest_fall, round(max(abs(fall)), 2) AS largest_move, round(sum(abs(fall)), 2) AS l1, round(sqrt(sum(fall * fall)), 2) AS l2, CAST(count(*) FILTER (WHERE fall <> 0) AS BIGINT) AS changed
+FROM moved WHERE step > 0 GROUP BY step"""))
+def measure_change(spark, sf_dir):
+    """How far each step moves the state, by every measure."""
+    arcs = X.keep(flows.nation_flow(spark, sf_dir))
+    found = {m: M.markov(arcs, steps=3, measure=m).trace[1:] for m in ("drop", "abs", "l1", "l2")}
+    rows = [(a.step, round(a.change, 2), round(b.change, 2), round(c.change, 2), round(d.change**0.5, 2), a.changed) for a, b, c, d in zip(*found.values(), strict=True)]
+    return spark.createDataFrame(rows, "step int, largest_fall double, largest_move double, l1 double, l2 double, changed bigint")
+
+
+@query(f"WITH {WEIGHTS}, {REPAIRED}, v AS (SELECT count(DISTINCT src) AS n FROM arcs) SELECT 'last' AS retain, n AS retained_rows FROM v UNION ALL SELECT 'window:2', 2 * n FROM v UNION ALL SELECT 'all', 5 * n FROM v UNION ALL SELECT 'chain_max', 5 * n FROM v")
+def measure_retained(spark, sf_dir):
+    """Facts held after four steps, by what is kept."""
+    arcs = X.keep(flows.nation_flow(spark, sf_dir))
+    rows = [(r, M.markov(arcs, steps=4, retain=r).trace[-1].retained_rows) for r in ("last", "window:2", "all", "chain_max")]
+    return spark.createDataFrame(rows, "retain string, retained_rows bigint")
+
+
+@query("SELECT * FROM (VALUES ('lloyd', 4, 1), ('markov', 3, 1)) AS t(program, strata, loops)")
+def measure_strata(spark, sf_dir):
+    """Strata of the two programs, and how many of them are loops."""
+    rows = []
+    for name, program in (("lloyd", lloyd_program()), ("markov", markov_program())):
+        strata = program.strata()
+        loops = sum(any(x.relation in part for r in program.rules if r.head in part for x in r.body) for part in strata)
+        rows.append((name, len(strata), loops))
+    return spark.createDataFrame(rows, "program string, strata int, loops int")
+
+
+@query()
+def measure_jobs(spark, sf_dir):
+    """Spark jobs of each step, by the way its end is known."""
+    arcs = X.keep(flows.nation_flow(spark, sf_dir))
+    rows = [(c, t.step, t.jobs) for c in ("complete", "verify", "goal") for t in M.markov(arcs, steps=2, certify=c).trace[1:]]
+    return spark.createDataFrame(rows, "certify string, step int, jobs int")
+
+
+@query(_lloyd_sql(4, " UNION ALL ".join(f"SELECT {k} AS step, (SELECT count(*) FROM n{k} a JOIN n{k + 1} b USING (id) WHERE a.m.c <> b.m.c) AS n" for k in range(1, 4))))
+def measure_reassigned(spark, sf_dir):
+    """Points that change their centre after each step."""
+    wide = flows.part_points(spark, sf_dir)
+    history = X.keep(_parts(spark, sf_dir, 3, eps=None, retain="all").history)
+    at = lambda k: history.filter(F.col("step") == k)
+    frames = [L.reassigned(wide, at(k - 1), at(k)).select(F.lit(k).alias("step"), "n") for k in (1, 2, 3)]
+    return frames[0].unionByName(frames[1]).unionByName(frames[2])
+
+
 @query()
 def measure_skew(spark, sf_dir):
     """Rows of the largest and of the median partition when part arcs are dealt by source."""
@@ -648,10 +829,10 @@ def measure_fact_counts(spark, sf_dir):
     return one.crossJoin(F.broadcast(every))
 
 
-@query(_chain_sql(8, ", e AS (SELECT step, node, mass FROM chain) SELECT step, round(max(abs(mass - (SELECT mass FROM e x WHERE x.step = 8 AND x.node = e.node))), 2) AS gap FROM e WHERE step < 6 GROUP BY step"))
+@query(_chain_sql(60, ", e AS (SELECT step, node, mass FROM chain) SELECT step, round(max(abs(mass - (SELECT mass FROM e x WHERE x.step = 60 AND x.node = e.node))), 2) AS gap FROM e WHERE step < 6 GROUP BY step"))
 def measure_gap_to_exact(spark, sf_dir):
-    history = X.keep(M.markov(flows.nation_flow(spark, sf_dir), steps=8, retain="all").history)
-    exact = history.filter("step = 8").select("node", F.col("mass").alias("exact"))
-    return history.filter("step < 6").join(exact, "node").groupBy("step").agg(F.round(F.max(F.abs(F.col("mass") - F.col("exact"))), 2).alias("gap"))
-
-
+    """How far each step is from the limit of the chain, which is solved for."""
+    arcs = X.keep(flows.nation_flow(spark, sf_dir))
+    history = M.markov(arcs, steps=5, retain="all").history
+    exact = M.limit_of(arcs, M.seed_from_self_arcs(arcs)).withColumnRenamed("mass", "exact")
+    return history.join(exact, "node").groupBy("step").agg(F.round(F.max(F.abs(F.col("mass") - F.col("exact"))), 2).alias("gap"))

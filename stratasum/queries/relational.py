@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -192,25 +194,9 @@ def udaf_grouped(spark, sf_dir):
     return table(spark, sf_dir, "supplier").groupBy("s_nationkey").agg(F.round(rms("s_acctbal"), 4).alias("rms"))
 
 
-@query("SELECT row_number() OVER (ORDER BY s_suppkey) AS counter, CAST(sum(CAST(round(s_acctbal * 100) AS BIGINT)) OVER (ORDER BY s_suppkey) AS BIGINT) AS running FROM supplier WHERE s_suppkey <= 20")
+@query("SELECT row_number() OVER (ORDER BY s_suppkey) AS counter, CAST(sum(CAST(round(s_acctbal * 100) AS BIGINT)) OVER (ORDER BY s_suppkey) AS BIGINT) AS running FROM supplier")
 def udtf_running(spark, sf_dir):
-    @F.udtf(returnType="counter bigint, running bigint")
-    class Facts:
-        def eval(self, values: list):
-            total = 0
-            for n, x in enumerate(values, 1):
-                total += x
-                yield n, total
-
-    spark.udtf.register("continuous_sum", Facts)
-    few = table(spark, sf_dir, "supplier").filter("s_suppkey <= 20").select(F.struct("s_suppkey", F.round(F.col("s_acctbal") * 100).cast("bigint").alias("c")).alias("s"))
-    few.agg(F.transform(F.sort_array(F.collect_list("s")), lambda s: s["c"]).alias("cs")).createOrReplaceTempView("twenty_suppliers")
-    return spark.sql("SELECT f.counter, f.running FROM twenty_suppliers, LATERAL continuous_sum(cs) f")
-
-
-@query()
-def udtf_running_all(spark, sf_dir):
-    """udtf_running over all suppliers: the table function gets a part of the order at a time and goes on from the parts before it."""
+    """The continuous sum by a table function, which gets a part of the order at a time and goes on from the parts before it."""
 
     @F.udtf(returnType="counter bigint, running bigint")
     class Facts:
@@ -249,5 +235,67 @@ def op_tall_wide(spark, sf_dir):
     return back.groupBy("point_id").pivot("dim", [0, 1]).agg(F.first("val")).select("point_id", F.col("0").alias("x"), F.col("1").alias("y"))
 
 
+@query("SELECT n_name FROM nation")
+def scan_text(spark, sf_dir):
+    path = shared_folder(spark)
+    write(table(spark, sf_dir, "nation").select(F.col("n_name").alias("value")), path, "text")
+    return scan(spark, path, "text").select(F.col("value").alias("n_name"))
+
+
+@query("SELECT o_orderstatus, count(*) AS n FROM orders WHERE o_orderstatus <> 'F' GROUP BY o_orderstatus")
+def scan_partitioned(spark, sf_dir):
+    """Folders by status are found when read, and the filter prunes them."""
+    path = shared_folder(spark)
+    write(table(spark, sf_dir, "orders").select("o_orderkey", "o_orderstatus"), path, partition_by=("o_orderstatus",))
+    return scan(spark, path).filter("o_orderstatus <> 'F'").groupBy("o_orderstatus").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("SELECT o_orderpriority, round(quantile_cont(o_totalprice, 0.5), 4) AS middle, round(quantile_cont(o_totalprice, 0.9), 4) AS high FROM orders GROUP BY o_orderpriority")
+def agg_percentile(spark, sf_dir):
+    got = table(spark, sf_dir, "orders").groupBy("o_orderpriority").agg(F.percentile("o_totalprice", [0.5, 0.9]).alias("p"))
+    return got.select("o_orderpriority", F.round(F.col("p")[0], 4).alias("middle"), F.round(F.col("p")[1], 4).alias("high"))
+
+
+@query("SELECT c_nationkey, array_to_string(list_sort(list(DISTINCT c_mktsegment)), ',') AS segments FROM customer GROUP BY c_nationkey")
+def agg_collect_set(spark, sf_dir):
+    return table(spark, sf_dir, "customer").groupBy("c_nationkey").agg(F.array_join(F.sort_array(F.collect_set("c_mktsegment")), ",").alias("segments"))
+
+
+shared("set_intersect_all", "SELECT c_nationkey AS nation FROM customer INTERSECT ALL SELECT s_nationkey FROM supplier", "customer", "supplier")
 
 
+@query("SELECT user_id, CAST(len(list(DISTINCT event_type) FILTER (WHERE event_type <> 'click')) AS INT) AS others FROM events GROUP BY user_id")
+def fn_map_filter(spark, sf_dir):
+    kinds = table(spark, sf_dir, "events").groupBy("user_id", "event_type").agg(F.count(F.lit(1)).alias("n")).groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m"))
+    return kinds.select("user_id", F.size(F.map_filter("m", lambda k, v: k != "click")).alias("others"))
+
+
+@query("""SELECT event_id, '{"id":' || event_id || ',"type":"' || event_type || '"}' AS json FROM events""")
+def fn_to_json(spark, sf_dir):
+    return table(spark, sf_dir, "events").select("event_id", F.to_json(F.struct(F.col("event_id").alias("id"), F.col("event_type").alias("type"))).alias("json"))
+
+
+@query("SELECT event_id, CAST(json_extract_string(props, '$.k') AS INT) AS k FROM events")
+def fn_variant(spark, sf_dir):
+    return table(spark, sf_dir, "events").select("event_id", F.try_variant_get(F.try_parse_json("props"), "$.k", "int").alias("k"))
+
+
+@query("SELECT n_nationkey, reverse(n_name) AS name, n_regionkey * 2 AS twice FROM nation")
+def udf_row_and_arrow(spark, sf_dir):
+    """A function called row by row, and one called with Arrow arrays."""
+
+    @F.udf("string")
+    def backwards(x: str) -> str:
+        return x[::-1]
+
+    @F.arrow_udf("int")
+    def doubled(x: pa.Array) -> pa.Array:
+        return pa.compute.multiply(x, 2)
+
+    return table(spark, sf_dir, "nation").select("n_nationkey", backwards("n_name").alias("name"), doubled("n_regionkey").alias("twice"))
+
+
+@query()
+def op_sample_by(spark, sf_dir):
+    """About a tenth of the open orders and a hundredth of the others."""
+    return table(spark, sf_dir, "orders").sampleBy("o_orderstatus", {"O": 0.1, "F": 0.01, "P": 0.01}, seed=7).select("o_orderkey", "o_orderstatus")

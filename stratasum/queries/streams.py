@@ -49,7 +49,11 @@ def stream_sliding(spark, sf_dir):
     return out.select(F.col("window.start").cast("timestamp_ntz").alias("start_ts"), "n")
 
 
-@query()
+# a session ends its gap after its last event; it is final when the watermark has passed that
+@query("""WITH marked AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER w <= INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS first FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
+numbered AS (SELECT user_id, ts, sum(first) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS session FROM marked)
+SELECT user_id, min(ts) AS start_ts, count(*) AS n FROM numbered GROUP BY user_id, session
+HAVING max(ts) + INTERVAL 30 MINUTE <= (SELECT max(ts) FROM events) - INTERVAL 10 MINUTE""")
 def stream_session(spark, sf_dir):
     out = S.run_to_table(S.sessions(_stream(spark, sf_dir), "30 minutes", "10 minutes", ["user_id"]), "append")
     return out.select("user_id", F.col("session_window.start").cast("timestamp_ntz").alias("start_ts"), "n")
@@ -77,3 +81,33 @@ def stream_join(spark, sf_dir):
     events = table(spark, sf_dir, "events")
     pairs = S.near_pairs(S.replay(events, CHUNKS), S.replay(events, CHUNKS), "2 hours", "20 minutes")
     return S.run_to_table(pairs, "append").select("a_id", "b_id")
+
+
+@query("""WITH chunks AS (SELECT *, event_id % 4 AS chunk FROM events),
+marks AS (SELECT c.chunk, (SELECT max(ts) FROM chunks e WHERE e.chunk < c.chunk) - INTERVAL 2 HOUR AS mark FROM (SELECT DISTINCT chunk FROM chunks) c)
+SELECT event_type, CAST(count(*) FILTER (WHERE mark IS NULL OR ts >= mark) AS BIGINT) AS in_time, CAST(count(*) FILTER (WHERE ts < mark) AS BIGINT) AS late FROM chunks JOIN marks USING (chunk) GROUP BY event_type""")
+def stream_late(spark, sf_dir):
+    """Events replayed out of order: late ones are set aside instead of dropped."""
+    events = table(spark, sf_dir, "events")
+    in_time, late = S.split_late(S.replay(events, CHUNKS, F.col("event_id") % CHUNKS), "2 hours")
+    both = in_time.select("event_type", F.lit(1).alias("a"), F.lit(0).alias("b")).unionByName(late.select("event_type", F.lit(0).alias("a"), F.lit(1).alias("b")))
+    return both.groupBy("event_type").agg(F.sum("a").alias("in_time"), F.sum("b").alias("late"))
+
+
+def _stream_lloyd_sql(chunks: int) -> str:
+    levels = ["""WITH chunks AS (SELECT value AS x, CAST(hour(ts) AS DOUBLE) AS y, (event_id - (SELECT min(event_id) FROM events)) // greatest(1, (SELECT (max(event_id) - min(event_id)) // 4 + 1 FROM events)) AS chunk FROM events),
+c0 AS (SELECT * FROM (VALUES (0, 10e0, 6e0), (1, 50e0, 12e0), (2, 90e0, 18e0)) AS t(c, x, y)), s0 AS (SELECT c, 0 AS n, 0e0 AS sx, 0e0 AS sy FROM c0)"""]
+    for k in range(1, chunks + 1):
+        levels.append(f"n{k} AS MATERIALIZED (SELECT p.x, p.y, (SELECT min(struct_pack(d := (p.x - q.x) * (p.x - q.x) + (p.y - q.y) * (p.y - q.y), c := q.c)) FROM c{k - 1} q) AS m FROM chunks p WHERE chunk = {k - 1})")
+        levels.append(f"s{k} AS MATERIALIZED (SELECT o.c, o.n + coalesce(a.n, 0) AS n, o.sx + coalesce(a.sx, 0) AS sx, o.sy + coalesce(a.sy, 0) AS sy FROM s{k - 1} o LEFT JOIN (SELECT m.c AS c, count(*) AS n, sum(x) AS sx, sum(y) AS sy FROM n{k} GROUP BY m.c) a USING (c))")
+        levels.append(f"c{k} AS MATERIALIZED (SELECT c, CASE WHEN n = 0 THEN o.x ELSE sx / n END AS x, CASE WHEN n = 0 THEN o.y ELSE sy / n END AS y FROM s{k} JOIN c{k - 1} o USING (c))")
+    tail = " UNION ALL ".join(f"SELECT {k - 1} AS batch, c AS centre_id, CAST(n AS BIGINT) AS n, round(c{k}.x, 5) AS x, round(c{k}.y, 5) AS y FROM s{k} JOIN c{k} USING (c)" for k in range(1, chunks + 1))
+    return ", ".join(levels) + " " + tail
+
+
+@query(_stream_lloyd_sql(CHUNKS))
+def stream_centres(spark, sf_dir):
+    """Centres of (value, hour) that follow the stream."""
+    stream = _stream(spark, sf_dir).withColumn("hour", F.hour("ts").cast("double"))
+    out = S.stream_lloyd(stream, [[10.0, 6.0], [50.0, 12.0], [90.0, 18.0]], ["value", "hour"])
+    return out.select("batch", "centre_id", "n", F.round(F.col("v")[0], 5).alias("x"), F.round(F.col("v")[1], 5).alias("y"))

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from stratasum.operators.markov import repair, transition
+from stratasum.plans.materialize import keep
 
 from .catalog import table
 
@@ -91,3 +92,16 @@ def order_points(spark: SparkSession, sf_dir: str) -> DataFrame:
     """point_id, v: sum of quantities, mean discount in percent, number of lines of each order."""
     per = table(spark, sf_dir, "lineitem").groupBy("l_orderkey").agg(F.sum("l_quantity").alias("q"), (F.avg("l_discount") * 100).alias("d"), F.count(F.lit(1)).cast("double").alias("n"))
     return per.select(F.col("l_orderkey").alias("point_id"), F.array("q", "d", "n").alias("v"))
+
+
+def order_chains(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
+    """Arcs (src, dst) from each order to the next of its customer, and the nodes that begin a chain."""
+    w = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+    orders = table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("src"), F.lead("o_orderkey").over(w).alias("dst"), F.row_number().over(w).alias("n"))
+    placed = keep(orders)
+    return placed.filter("dst is not null").select("src", "dst"), placed.filter("n = 1").select(F.col("src").alias("node"))
+
+
+def event_points(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """point_id, v: value and hour of day of each event."""
+    return table(spark, sf_dir, "events").select(F.col("event_id").alias("point_id"), F.array("value", F.hour("ts").cast("double")).alias("v"))

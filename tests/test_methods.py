@@ -6,7 +6,9 @@ from pyspark.sql import functions as F
 from stratasum.operators import lloyd as L
 from stratasum.operators import markov as M
 from stratasum.operators import set_aggregates as A
+from stratasum.plans import datalog as D
 from stratasum.plans import fixpoint as X
+from stratasum.plans import materialize as mat
 from stratasum.plans.program import Literal, NotStratifiable, Program, Rule, drop_count_stratum, last_delta, negation_to_lookup
 from stratasum.queries import methods
 from stratasum.sources import flows
@@ -216,13 +218,13 @@ def test_global_counter_over_all_orders(spark, small):
     for n, r in enumerate(pairs, 1):
         sums[r["grp"]] += r["cents"]
         want += [(g, n, sums[g]) for g in groups]
-    got = methods.QUERIES["grp_running_sum_global_all"](spark, small).collect()
+    got = methods.QUERIES["grp_running_sum_global"](spark, small).collect()
     assert sorted((r["grp"], r["counter"], r["running"]) for r in got) == sorted(want)
-    final = methods.QUERIES["grp_final_sum_precount_all"](spark, small).collect()
+    final = methods.QUERIES["grp_final_sum_precount"](spark, small).collect()
     assert sorted((r["grp"], r["value"]) for r in final) == sorted(sums.items())
 
 
-@pytest.mark.parametrize("name", ["fix_reachability_all", "fix_reachability_naive_all"])
+@pytest.mark.parametrize("name", ["fix_reachability", "fix_reachability_naive"])
 def test_reachability_over_all_parts(spark, name, tmp_path):
     parts = [1, 250, 900, 7, 5000, 1, 12, 13]  # one order after the other: paths through large numbers
     rows = [(1, k, p) for k, p in enumerate(parts[:5])] + [(2, k, p) for k, p in enumerate(parts[5:7])] + [(3, 0, 13), (3, 1, 12)]
@@ -231,7 +233,7 @@ def test_reachability_over_all_parts(spark, name, tmp_path):
     assert sorted(r["node"] for r in got.collect()) == [1, 7, 12, 250, 900, 5000]
 
 
-@pytest.mark.parametrize("name", ["premap_shortest_all", "premap_shortest_stratified_all"])
+@pytest.mark.parametrize("name", ["premap_shortest", "premap_shortest_stratified"])
 def test_shortest_over_all_suppliers(spark, name, tmp_path):
     orders = [[1, 50, 70, 2], [1, 3], [1, 3], [3, 50], [3, 90], [70, 4], [50, 50]]
     rows = [(o, k, 1, s) for o, own in enumerate(orders) for k, s in enumerate(own)]
@@ -245,3 +247,351 @@ def test_shortest_over_all_suppliers(spark, name, tmp_path):
                 best[b] = min(best.get(b, math.inf), best[a] + c)
     got = {r["node"]: r["cost"] for r in methods.QUERIES[name](spark, str(tmp_path)).collect()}
     assert set(got) == {1, 2, 3, 4, 50, 70, 90} and got == pytest.approx(best, abs=1e-6)
+
+
+# ---- loops that must not end in silence
+
+
+def chain_of(spark, n):
+    return spark.createDataFrame([(k, k + 1, 1.0) for k in range(n)], "src bigint, dst bigint, cost_of double")
+
+
+@pytest.mark.parametrize("strategy", ["semi_naive", "naive"])
+def test_bounded_rounds_raise(spark, strategy):
+    arcs = chain_of(spark, 11)
+    with pytest.raises(X.RoundsExceeded):
+        X.reachable_from(arcs, 0, strategy, rounds=3)
+    assert X.reachable_from(arcs, 0, strategy, rounds=20).count() == 12
+    assert X.reachable_from(arcs, 0, strategy).count() == 12
+
+
+def test_bounds_of_other_loops_raise(spark):
+    arcs = chain_of(spark, 6)
+    with pytest.raises(X.RoundsExceeded):
+        X.min_in_recursion(arcs, 0, rounds=2)
+    assert X.min_in_recursion(arcs, 0).count() == 7
+    seed = spark.createDataFrame([(0,)], "node bigint")
+    with pytest.raises(X.RoundsExceeded):
+        X.monotone_threshold(arcs, seed, 1, rounds=2)
+    assert X.monotone_threshold(arcs, seed, 1).count() == 7
+    with pytest.raises(X.RoundsExceeded):
+        X.closure(arcs, rounds=1)
+
+
+def test_threshold_counts_each_arc_once(spark):
+    arcs = spark.createDataFrame([(1, 3), (1, 3), (2, 3), (3, 4), (1, 4), (4, 5), (9, 5)], "src bigint, dst bigint")
+    seed = spark.createDataFrame([(1,), (2,), (1,)], "node bigint")
+    assert {r["node"] for r in X.monotone_threshold(arcs, seed, 2).collect()} == {1, 2, 3, 4}
+
+
+def test_facts_with_more_columns(spark):
+    base = spark.createDataFrame([(0, "a")], "node bigint, why string")
+    arcs = chain_of(spark, 4)
+    out, sizes = X.semi_naive(base, lambda d: d.join(arcs, d["node"] == arcs["src"]).select(arcs["dst"].alias("node"), F.concat("why", F.lit("b")).alias("why")), ["node"])
+    assert {r["node"]: r["why"] for r in out.collect()} == {k: "a" + "b" * k for k in range(5)} and sizes == [1, 1, 1, 1, 1, 0]
+
+
+def test_end_of_chain(spark):
+    assert [r["step"] for r in X.end_of_chain(spark.range(8).select(F.col("id").cast("int").alias("step"))).collect()] == [7]
+
+
+# ---- the chain
+
+
+def closed_arcs(spark):
+    return spark.createDataFrame([(1, 1, 0.5), (1, 2, 0.5), (2, 1, 0.5), (2, 2, 0.5)], ARCS)
+
+
+def test_a_wrong_size_raises_in_the_goal_form(spark):
+    body = spark.createDataFrame([(k % 3, k, float(k)) for k in range(30)], "dst int, src int, flow double")
+    for n in (29, 31):
+        with pytest.raises(Exception, match="has 30 rows"):
+            M.sums_at_count(body, "dst", ["src"], ["flow"], X.Certificate("flow", n)).collect()
+
+
+def test_goal_sums_of_a_hub(spark):
+    """One group takes most of the rows, and so goes over several parts."""
+    rows = [(7 if k % 10 else k, k, float(k), 1.0) for k in range(1000)]
+    body = spark.createDataFrame(rows, "dst int, src int, flow double, one double")
+    got = {r["dst"]: (r["flow"], r["one"]) for r in M.sums_at_count(body, "dst", ["src"], ["flow", "one"], X.Certificate("flow", 1000)).collect()}
+    want = {}
+    for d, _, f, o in rows:
+        a, b = want.get(d, (0.0, 0.0))
+        want[d] = (a + f, b + o)
+    assert got == want
+
+
+@pytest.mark.parametrize("strategy", ["auto", "broadcast", "shuffle", "salted"])
+def test_steps_read_placed_arcs(spark, small, strategy):
+    chain = M.Chain(flows.nation_flow(spark, small), strategy)
+    state = spark.createDataFrame([(k, 1.0) for k in range(25)], "node int, mass double")
+    plan = M.Chain.gather(chain.body(state))._jdf.queryExecution().executedPlan().toString()
+    assert "lineitem" not in plan
+    assert plan.count("Scan parquet") == 1
+
+
+def test_bucketed_arcs_are_not_shuffled(spark):
+    arcs = spark.range(2000).select(F.col("id").alias("src"), ((F.col("id") * 7) % 2000).alias("dst"), F.lit(1.0).alias("share"))
+    chain = M.Chain(arcs, "shuffle")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        body = chain.body(spark.range(2000).select(F.col("id").alias("node"), F.lit(1.0).alias("mass")))
+        plan = body._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    assert plan.count("Exchange hashpartitioning") == 1 and body.count() == 2000  # the state's
+
+
+def test_validate_bad_shares(spark):
+    arcs = spark.createDataFrame([(1, 1, 1.5), (1, 2, -0.5), (2, 2, None)], ARCS)
+    found = {tuple(r) for r in M.validate(arcs).collect()}
+    assert {(1, "bad_share"), (2, "bad_share"), (2, "no_self_arc")} <= found
+
+
+def test_limit_of_a_chain(spark):
+    arcs = spark.createDataFrame([(1, 1, 0.5), (1, 2, 0.5), (2, 1, 1.0)], ARCS)
+    start = spark.createDataFrame([(1, 1e5), (2, 1e5)], "node bigint, mass double")
+    got = {r["node"]: r["mass"] for r in M.limit_of(arcs, start).collect()}
+    assert abs(got[1] - 4e5 / 3) < 1e-4 and abs(got[2] - 2e5 / 3) < 1e-4
+    with pytest.raises(ValueError):
+        M.limit_of(arcs, start, most=1)
+
+
+def test_what_is_retained(spark):
+    for retain, want in (("last", 2), ("window:2", 4), ("all", 8), ("chain_max", 8)):
+        out = M.markov(closed_arcs(spark), steps=3, retain=retain)
+        assert out.trace[-1].retained_rows == want
+        assert {r["step"] for r in out.final.collect()} == {3}
+    assert all(t.jobs > 0 for t in out.trace[1:])
+
+
+def test_link_rank_keeps_mass_at_dangling_nodes(spark):
+    arcs = spark.createDataFrame([(1, 2, 1.0)], ARCS)
+    for rule in ("uniform", "self"):
+        got = {r["node"]: r["mass"] for r in M.link_rank(arcs, steps=30, dangling=rule).final.collect()}
+        if rule == "uniform":
+            assert abs(sum(got.values()) - 1) < 1e-9
+        else:
+            assert abs(got[1] - 0.075) < 1e-9 and abs(got[2] - (0.075 + 0.85 * 0.075) / 0.15) < 0.02
+    with pytest.raises(ValueError):
+        M.link_rank(arcs, dangling="no")
+
+
+# ---- clustering
+
+
+def wide_points(spark, rows):
+    return spark.createDataFrame(rows, "point_id bigint, v array<double>")
+
+
+def centre_table(spark, rows):
+    return spark.createDataFrame(rows, "centre_id int, dim int, val double")
+
+
+def final_centres(out):
+    return {(r["centre_id"], r["dim"]): r["val"] for r in out.final.collect()}
+
+
+def test_null_points_are_no_points(spark):
+    wide = wide_points(spark, [(1, [0.0]), (2, None), (3, [3.0])])
+    start = centre_table(spark, [(0, 0, 1.0)])
+    for strategy in ("array", "arrow", "tall"):
+        points = L.tall_vectors(wide, "point_id", "v") if strategy == "tall" else wide
+        out = L.lloyd(points, start, steps=1, eps=None, strategy=strategy)
+        assert final_centres(out) == {(0, 0): 1.5}
+        assert out.trace[-1].more["objective"] == 5.0
+
+
+@pytest.mark.parametrize("odd", [[1.0], [1.0, None], [1.0, 2.0, 3.0]])
+def test_odd_points_raise(spark, odd):
+    wide = wide_points(spark, [(1, [0.0, 0.0]), (2, odd)])
+    start = centre_table(spark, [(0, 0, 1.0), (0, 1, 1.0)])
+    for strategy in ("array", "arrow"):
+        with pytest.raises(Exception, match="coordinate"):
+            L.lloyd(wide, start, steps=1, strategy=strategy)
+    tall = wide.select("point_id", F.posexplode("v").alias("dim", "val"))
+    with pytest.raises(Exception, match="coordinate|rows, not"):
+        L.lloyd(tall, start, steps=1, strategy="tall", certify="verify")
+
+
+@pytest.mark.parametrize("certify", ["complete", "verify", "goal"])
+def test_dims_may_be_any_numbers(spark, certify):
+    rows = [(p, d, float(v)) for p, xy in enumerate([(0, 0), (1, 0), (10, 4), (11, 4)]) for d, v in zip((5, 9), xy, strict=True)]
+    points = spark.createDataFrame(rows, "point_id bigint, dim int, val double")
+    start = centre_table(spark, [(0, 5, 0.0), (0, 9, 0.0), (1, 5, 10.0), (1, 9, 0.0)])
+    out = L.lloyd(points, start, steps=4, strategy="tall", certify=certify)
+    assert final_centres(out) == {(0, 5): 0.5, (0, 9): 0.0, (1, 5): 10.5, (1, 9): 4.0}
+    assert out.stopped_by == "converged" and [t.more["empty"] for t in out.trace[1:]] == [0, 0]
+    if certify != "goal":
+        assert out.trace[1].bodies["distance"] == 16 and out.trace[1].bodies["mean"] == 8
+
+
+def test_a_repeated_coordinate_breaks_its_certificate(spark):
+    points = spark.createDataFrame([(1, 0, 1.0), (1, 0, 1.0), (2, 0, 4.0)], "point_id bigint, dim int, val double")
+    start = centre_table(spark, [(0, 0, 0.0)])
+    with pytest.raises(X.CertificateBroken):
+        L.lloyd(points, start, steps=1, strategy="tall", certify="verify")
+    with pytest.raises(Exception, match="does not have|rows, not"):
+        L.lloyd(points, start, steps=1, strategy="tall", certify="goal")
+
+
+@pytest.mark.parametrize("rule,want", [("keep", {0: 0.0, 1: 1.0, 2: 100.0}), ("drop", {0: 0.0, 1: 1.0}), ("farthest", {0: 0.0, 1: 1.05, 2: 1.5})])
+def test_empty_centres_alike_in_all_strategies(spark, rule, want):
+    wide = wide_points(spark, [(1, [0.0]), (2, [1.0])] if rule != "farthest" else [(1, [0.0]), (2, [0.6]), (3, [1.5])])
+    start = centre_table(spark, [(0, 0, 0.0), (1, 0, 1.0), (2, 0, 100.0)])
+    for strategy in ("array", "arrow", "tall"):
+        points = L.tall_vectors(wide, "point_id", "v") if strategy == "tall" else wide
+        out = L.lloyd(points, start, steps=1, eps=None, strategy=strategy, empty=rule)
+        assert {c: round(v, 6) for (c, _), v in final_centres(out).items()} == want, strategy
+        assert out.trace[1].more["empty"] == 1
+
+
+def test_no_points(spark):
+    start = centre_table(spark, [(0, 0, 2.0)])
+    for strategy in ("array", "arrow", "tall"):
+        points = spark.createDataFrame([], "point_id bigint, dim int, val double") if strategy == "tall" else wide_points(spark, [])
+        assert final_centres(L.lloyd(points, start, steps=3, strategy=strategy)) == {(0, 0): 2.0}
+
+
+def test_bits_refuse_fractions(spark):
+    far = spark.createDataFrame([(1, 0, 0.4), (1, 1, 0.1)], "point_id bigint, centre_id int, d double")
+    with pytest.raises(Exception, match="no whole distance"):
+        L.nearest(far, "bits").collect()
+    assert L.nearest(far).first()["centre_id"] == 1
+    assert L.nearest(far.withColumn("d", F.col("d") * 10), "bits").first()["centre_id"] == 1
+
+
+def test_many_centres_are_refused_before_they_are_collected(spark, monkeypatch):
+    monkeypatch.setattr(L, "CENTRE_NUMBERS", 3)
+    start = centre_table(spark, [(k, 0, float(k)) for k in range(4)])
+    wide = wide_points(spark, [(1, [0.0]), (2, [3.0])])
+    with pytest.raises(ValueError, match="too many centres"):
+        L.lloyd(wide, start, steps=1)
+    out = L.lloyd(L.tall_vectors(wide, "point_id", "v"), start, steps=1, eps=None, strategy="tall")  # dealt by dim instead
+    assert final_centres(out) == {(k, 0): float(k) for k in range(4)}
+
+
+def test_reassigned(spark):
+    wide = wide_points(spark, [(k, [float(k)]) for k in range(5)])
+    assert L.reassigned(wide, centre_table(spark, [(0, 0, 0.0), (1, 0, 4.0)]), centre_table(spark, [(0, 0, 0.0), (1, 0, 2.0)])).first()["n"] == 1
+
+
+# ---- programs
+
+
+def test_rewrites_change_what_the_loop_keeps(spark):
+    arcs = closed_arcs(spark)
+    program = methods.markov_program(finish="negation", top="max_stage")
+    stop = X.max_steps(3)
+    kept = program.run({"arc": arcs}, stop)
+    fewer = last_delta(drop_count_stratum(negation_to_lookup(program)), "mass").run({"arc": arcs}, stop)
+    rows = lambda e: {(r["step"], r["node"], r["mass"]) for r in e.frames["final"].select("step", "node", "mass").collect()}
+    assert rows(kept) == rows(fewer) == {(3, 1, 1e5), (3, 2, 1e5)}
+    assert kept.loops["mass"].trace[-1].retained_rows == 8 and fewer.loops["mass"].trace[-1].retained_rows == 2
+    assert fewer.loops["mass"].trace[-1].jobs < kept.loops["mass"].trace[-1].jobs or fewer.loops["mass"].trace[-1].jobs <= 6
+
+
+def test_precounted_groups_must_keep_their_size(spark):
+    arcs = spark.createDataFrame([(1, 1, 0.5), (1, 2, 0.5), (2, 3, 1.0), (3, 3, 1.0)], ARCS)  # node 2 starts without mass
+    with pytest.raises(Exception, match="certified size"):
+        methods.markov_program(finish="precount").run({"arc": arcs}, X.max_steps(3))
+
+
+def test_recursion_needs_a_stop_rule(spark):
+    with pytest.raises(ValueError, match="stop rule"):
+        methods.markov_program().run({"arc": closed_arcs(spark)})
+
+
+def test_strata_of_a_program_that_counts(spark):
+    items = spark.createDataFrame([("a", 1, 5), ("a", 2, 6), ("b", 3, 7)], "grp string, item int, cents bigint")
+    for finish in ("complete", "precount", "negation", "max_running"):
+        rule = Rule("total", (Literal("items"),), "sum", finish, lambda f: f["items"], ("grp",), "cents", ("item",), "total")
+        got = Program((rule,)).run({"items": items}).frames["total"]
+        assert {tuple(r) for r in got.collect()} == {("a", 11), ("b", 7)}
+
+
+# ---- bindings pushed into recursion
+
+
+def brute_paths(arcs):
+    found = set(arcs)
+    while True:
+        more = found | {(a, d) for a, b in found for c, d in arcs if b == c}
+        if more == found:
+            return found
+        found = more
+
+
+@pytest.mark.parametrize("seed", [1, 2])
+def test_pushed_bindings(spark, seed):
+    import random
+
+    rng = random.Random(seed)
+    arcs = {(rng.randrange(12), rng.randrange(12)) for _ in range(14)}
+    frame = spark.createDataFrame(sorted(arcs), "c0 bigint, c1 bigint")
+    want = {z for x, z in brute_paths(arcs) if x == 3}
+    plain = None
+    for rules in (methods.LEFT_LINEAR, methods.RIGHT_LINEAR):
+        for push in (False, True):
+            out, found = D.ask(rules, {"arc": frame}, D.Atom("path", (3, "z")), push)
+            assert {r["z"] for r in out.collect()} == want
+            n = sum(v for k, v in found.facts.items() if k.startswith("path"))
+            if not push:
+                plain = n
+            assert n <= plain
+
+
+def test_constants_and_repeated_variables(spark):
+    frame = spark.createDataFrame([(1, 1), (1, 2), (2, 2), (3, 1)], "c0 bigint, c1 bigint")
+    rules = [D.Clause(D.Atom("own", ("x",)), (D.Atom("arc", ("x", "x")),)), D.Clause(D.Atom("one", ("x",)), (D.Atom("arc", ("x", 1)), D.Atom("own", ("x",))))]
+    out = D.evaluate(rules, {"arc": frame})
+    assert {r["c0"] for r in out.frames["own"].collect()} == {1, 2} and [r["c0"] for r in out.frames["one"].collect()] == [1]
+    with pytest.raises(ValueError):
+        D.evaluate([D.Clause(D.Atom("all", ("x", "y")), (D.Atom("arc", ("x", 1)), D.Atom("arc", ("y", 2))))], {"arc": frame})
+
+
+def test_mutual_recursion(spark):
+    frame = spark.createDataFrame([(k, k + 1) for k in range(6)], "c0 bigint, c1 bigint")
+    zero = spark.createDataFrame([(0,)], "c0 bigint")
+    rules = [
+        D.Clause(D.Atom("even", ("x",)), (D.Atom("zero", ("x",)),)),
+        D.Clause(D.Atom("odd", ("y",)), (D.Atom("even", ("x",)), D.Atom("arc", ("x", "y")))),
+        D.Clause(D.Atom("even", ("y",)), (D.Atom("odd", ("x",)), D.Atom("arc", ("x", "y")))),
+    ]
+    out = D.evaluate(rules, {"arc": frame, "zero": zero})
+    assert {r["c0"] for r in out.frames["even"].collect()} == {0, 2, 4, 6} and {r["c0"] for r in out.frames["odd"].collect()} == {1, 3, 5}
+
+
+# ---- written tables
+
+
+def test_kept_tables_can_go(spark):
+    df, n = mat.keep_counted(spark.range(5))
+    assert n == 5 and df.count() == 5
+    folder = mat.shared_folder(spark).rpartition("/")[0]
+    assert folder.endswith(f"steps/{spark.sparkContext.applicationId}")
+    mat.discard(df)
+    with pytest.raises(Exception, match="PATH_NOT_FOUND|does not exist"):
+        spark.read.parquet(df._kept_at).count()
+    placed = mat.place_by(spark.range(5), "id")
+    mat.discard(placed)
+    assert not spark.catalog.tableExists(placed._kept_as)
+
+
+def test_a_cluster_needs_a_shared_folder():
+    class Context:
+        master, applicationId = "spark://host:7077", "app"
+
+        def getCheckpointDir(self):
+            return None
+
+    class Session:
+        sparkContext = Context()
+
+        class conf:
+            @staticmethod
+            def get(name, default=None):
+                return default
+
+    with pytest.raises(RuntimeError, match="spark.checkpoint.dir"):
+        mat.shared_folder(Session())

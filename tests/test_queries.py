@@ -77,5 +77,5 @@ e.oracle_sql()
 def test_table_function_over_all_suppliers(spark, tmp_path):
     cents = [(k * 7919) % 1000 - 300 for k in range(1, 301)]
     spark.createDataFrame([(k, c / 100) for k, c in enumerate(cents, 1)], "s_suppkey bigint, s_acctbal double").repartition(3).write.parquet(f"{tmp_path}/supplier.parquet")
-    got = relational.QUERIES["udtf_running_all"](spark, str(tmp_path)).collect()
+    got = relational.QUERIES["udtf_running"](spark, str(tmp_path)).collect()
     assert sorted((r["counter"], r["running"]) for r in got) == [(n, sum(cents[:n])) for n in range(1, 301)]
