@@ -10,7 +10,7 @@ Labelled rows are taken by the smallest hashes of their doc_id, `label_rows` at
 what the driver trains on; statistics and verdicts cover all rows and whole texts.
 
 Defined results: null and empty texts have no words and fail the base; repeated rows get equal rows;
-without labels of both kinds there is no threshold, and the base alone decides.
+a doc_id may be of any type that sorts; without labels of both kinds there is no threshold, and the base alone decides.
 """
 
 from __future__ import annotations
@@ -196,7 +196,8 @@ def labelled_statistics(docs: DataFrame, labels: DataFrame, label_rows: int = LA
 
         return one
 
-    got = map_texts(rows.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("quality").cast("int").alias("quality"), "text"), "doc_id bigint, quality int, stats array<bigint>", make).collect()
+    kind = dict(docs.dtypes)["doc_id"]
+    got = map_texts(rows.select("doc_id", F.col("quality").cast("int").alias("quality"), "text"), f"doc_id {kind}, quality int, stats array<bigint>", make).collect()
     got.sort(key=lambda r: (r[0], r[1], r[2]))
     return np.array([r[2] for r in got], np.int64).reshape(-1, len(BASE + MORE)), np.array([r[1] for r in got], np.int64)
 

@@ -14,8 +14,9 @@ Laws: `bytes` makes the sums of sizes near equal (each is off by less than the l
 Only key, size and checksum are shuffled. What the driver holds is the sample and a row for each
 range and shard, bounded by `sample_keys`, the number of ranges and of shards.
 
-Defined results: a null text counts like the empty one; a null doc_id sorts first; rows that are alike
-in text and doc_id may change places; an empty table gives an empty result.
+Defined results: a null text counts like the empty one; a null doc_id sorts first, whole numbers by their
+value and ids of other types by a hash; rows that are alike in text and doc_id may change places; an
+empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -24,6 +25,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import cut, table
 
@@ -31,19 +33,20 @@ SHARDS, OVERHEAD = 40, 16
 SAMPLE_KEYS = 20_000
 #: A range is divided when it has more than so many times its share.
 OVERFULL = 2.0
-ROUNDS = 3
 LEAST_ID = -(1 << 63)
 
 
 def keyed(df: DataFrame) -> DataFrame:
     """doc_id, size, text_crc32 and the key (h, id) of each row."""
     text = F.coalesce(F.col("text"), F.lit(""))
+    whole = isinstance(df.schema["doc_id"].dataType, T.IntegralType)
+    number = F.col("doc_id").cast("bigint") if whole else F.when(F.col("doc_id").isNotNull(), F.xxhash64("doc_id"))
     return df.select(
         "doc_id",
         (F.octet_length(text) + OVERHEAD).cast("bigint").alias("size"),
         F.crc32(text).alias("text_crc32"),
         F.conv(F.substring(F.md5(text), 1, 15), 16, 10).cast("bigint").alias("h"),
-        F.coalesce(F.col("doc_id").cast("bigint"), F.lit(LEAST_ID)).alias("id"),
+        F.coalesce(number, F.lit(LEAST_ID)).alias("id"),
     )
 
 
@@ -73,10 +76,11 @@ def deal(rows: DataFrame, bounds: list[tuple[int, int]]) -> DataFrame:
         first = np.searchsorted(high, h.to_numpy(), "left")
         last = np.searchsorted(high, h.to_numpy(), "right")
         tied = np.flatnonzero(last > first)
-        first = first.astype(np.int32)
-        for k in tied:
-            first[k] += np.searchsorted(low[first[k] : last[k]], i.iloc[k], "right")
-        return pd.Series(first)
+        part, own = first.astype(np.int32), i.to_numpy()
+        for a in np.unique(first[tied]):  # boundaries of one text: at most as many as there are boundaries
+            rows = tied[first[tied] == a]
+            part[rows] += np.searchsorted(low[a : last[rows[0]]], own[rows], "right").astype(np.int32)
+        return pd.Series(part)
 
     return rows.withColumn("part", place("h", "id"))
 
@@ -90,7 +94,7 @@ def shard(df: DataFrame, shards: int = SHARDS, law: str = "bytes", sample_keys:
     n, total = rows.agg(F.count(F.lit(1)), F.coalesce(F.sum(weight), F.lit(0))).first()
     ranges = ranges or int(min(sample_keys // 20, max(shards, n // 50_000)))
     bounds = splitters(draw(rows, weight, total, sample_keys), ranges)
-    for _ in range(ROUNDS):
+    while True:
         sums = deal(rows, bounds).groupBy("part").agg(F.sum(weight).alias("w"), F.min(F.struct("h", "id")).alias("a"), F.max(F.struct("h", "id")).alias("z")).collect()
         full = [r for r in sums if r["w"] > OVERFULL * total / ranges and r["a"] != r["z"]]
         new = set(bounds)
@@ -98,7 +102,7 @@ def shard(df: DataFrame, shards: int = SHARDS, law: str = "bytes", sample_keys:
             inside = rows.filter(F.struct("h", "id").between(F.struct(F.lit(r["a"]["h"]).alias("h"), F.lit(r["a"]["id"]).alias("id")), F.struct(F.lit(r["z"]["h"]).alias("h"), F.lit(r["z"]["id"]).alias("id"))))
             parts = int(np.ceil(r["w"] * ranges / total)) + 1
             new |= set(splitters(draw(inside, weight, r["w"], 200 * parts), parts)) - {(r["a"]["h"], r["a"]["id"])}
-        if len(new) == len(bounds):
+        if len(new) == len(bounds):  # no range is overfull, or none has a key to be divided at
             break
         bounds = sorted(new)
     dealt = cut(deal(rows, bounds).withColumn("w", weight).repartition(len(bounds) + 1, "part"))
@@ -125,6 +129,12 @@ def shard(df: DataFrame, shards: int = SHARDS, law: str = "bytes", sample_keys:
     return placed.join(F.broadcast(starts), ["shard", "part"]).select("doc_id", "size", "text_crc32", F.lit(law).alias("law"), "shard", (F.col("start") + F.col("at")).cast("bigint").alias("slot"), F.lit(None).cast("int").alias("grown_shard"))
 
 
+def torn_groups(placed: DataFrame) -> DataFrame:
+    """groups, torn: groups of equal texts (told by checksum and size) of two rows or more, and how many of them are in more than one shard."""
+    per = placed.groupBy("text_crc32", "size").agg(F.count(F.lit(1)).alias("n"), F.min("shard").alias("a"), F.max("shard").alias("z")).filter("n > 1")
+    return per.agg(F.count(F.lit(1)).alias("groups"), F.count_if(F.col("a") < F.col("z")).alias("torn"))
+
+
 def op8_splitter_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shard(table(spark, sf_dir, "documents"))
 

@@ -3,6 +3,7 @@ import gzip
 import hashlib
 import math
 import random
+import re
 
 import duckdb
 import numpy as np
@@ -50,6 +51,18 @@ def test_tokens_equal_the_library():
         assert own.decode(want) == library.decode(want, skip_special_tokens=False)
 
 
+def test_documents_of_the_table_equal_the_library(spark):
+    from tokenizers import Tokenizer
+
+    library = Tokenizer.from_file(B.default_path())
+    got = {r["doc_id"]: r for r in B.op9_bpe(spark, SMALL).collect()}
+    for r in documents(spark).collect():
+        ids = library.encode(r["text"] or "", add_special_tokens=False).ids
+        back = library.decode(ids, skip_special_tokens=False)
+        own = got[r["doc_id"]]
+        assert (own["n_tokens"], own["ids_sha256"], own["decoded_sha256"]) == (len(ids), hashlib.sha256(",".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256(back.encode()).hexdigest())
+
+
 def test_automaton_on_small_merges():
     labels = {0: b"a", 1: b"b", 2: b"aa", 3: b"ab", 4: b"aab"}
     merges = [(0, 0, 2), (0, 1, 3), (2, 1, 4)]
@@ -359,9 +372,60 @@ def test_held_out_quality(spark):
     assert Q.score(odd(spark), Q.SubwordModel([], np.array([], int))).filter("score = 0.5").count() == len(ODD)
 
 
-def brute_statistics(text):
-    import re
+def brute_features(text, bits):
+    """Buckets of a text's features by their definition, in Python's integers."""
+    mask, odd = (1 << 64) - 1, 0x9E3779B97F4A7C15
+
+    def bucket(code, kind):
+        x = (code + kind) * odd & mask
+        x ^= x >> 29
+        return (x * odd & mask) >> 64 - bits
+
+    chars = [ord(c) for c in " " + text + " "]
+    out = []
+    for n in Q.GRAMS:
+        for i in range(len(chars) - n + 1):
+            code = 0
+            for c in chars[i : i + n]:
+                code = code * Q._BASE + c
+            out.append(bucket(code & mask, n))
+    words = [w for w in re.split("[\x20\x09-\x0d]+", text) if w]
+    code = [sum((ord(c) + 1) * Q._BASE**k for k, c in enumerate(w)) & mask for w in words]
+    out += [bucket(c, Q.WORD) for c in code]
+    out += [bucket(0 if a == b else (a * 31 & mask) ^ b, Q.PAIR) for a, b in zip(code, code[1:], strict=False)]
+    return sorted(out)
+
+
+def test_quality_features_by_definition():
+    texts = ["one two two\tTHREE\n", "", "é日本 😀 a", " x\x0b\x1cy ", "a" * 300]
+    for group in (texts, texts[::-1], texts[2:3]):
+        bucket, owner = Q.features([t.encode() for t in group], 18)
+        for k, t in enumerate(group):
+            assert sorted(bucket[owner == k].tolist()) == brute_features(t, 18)
+
+
+def test_quality_learns_what_a_gradient_step_says():
+    """One epoch over one text, against the step worked out in plain loops."""
+    text, bits, dims, rate = "good words here", 12, 3, 0.5
+    model = Q.SubwordModel([text.encode()], np.array([1]), bits, dims, epochs=1, rate=rate, seed=5)
+    rng = np.random.default_rng(5)
+    rng.permutation(1)
+    rng = np.random.default_rng(5)
+    vectors = rng.uniform(-1 / dims, 1 / dims, (1 << bits, dims)).astype(np.float32)
+    own = brute_features(text, bits)
+    hidden = [sum(vectors[b][d] for b in own) / len(own) for d in range(dims)]
+    p = [0.5, 0.5]  # the output starts at zero
+    out = [[-rate * (p[label] - (label == 1)) * h for h in hidden] for label in (0, 1)]
+    bias = [-0.1 * rate * (p[label] - (label == 1)) for label in (0, 1)]
+    assert abs(model.bias - (bias[1] - bias[0])) < 1e-6
+    want = vectors @ (np.array(out[1]) - np.array(out[0]))
+    assert np.abs(model.weight - want).max() < 1e-5
+    score = model.scores([text.encode(), None])
+    mean = sum(want[b] for b in own) / len(own)
+    assert abs(score[0] - 1 / (1 + math.exp(-(mean + model.bias)))) < 1e-5
+
 
+def brute_statistics(text):
     words = re.findall(r"[^\x20\x09-\x0D]+", text or "")
     lines = [line for line in (text or "").split("\n") if re.search(r"[^\x20\x09-\x0D]", line)]
     windows = [tuple(words[i : i + 3]) for i in range(len(words) - 2)]
@@ -375,6 +439,49 @@ def test_rule_statistics():
         assert I.statistics(None if text is None else text.encode())[:5] == brute_statistics(text)
 
 
+def test_base_statistics_of_the_table(spark):
+    con = duckdb.connect()
+    con.execute(f"create view documents as select * from '{SMALL}/documents.parquet'")
+    want = con.sql(r"""
+        WITH t AS (SELECT doc_id, coalesce(text, '') AS text FROM documents),
+        w AS (SELECT doc_id, text, regexp_extract_all(text, '[^\x20\x09-\x0D]+') AS ws, list_filter(string_split(text, chr(10)), lambda l: regexp_matches(l, '[^\x20\x09-\x0D]')) AS ls FROM t),
+        g AS (SELECT doc_id, list_transform(range(1, len(ws) - 1), lambda i: ws[i] || ' ' || ws[i + 1] || ' ' || ws[i + 2]) AS gs FROM w),
+        f AS (SELECT doc_id, unnest(gs) AS gram, generate_subscripts(gs, 1) AS i FROM g),
+        r AS (SELECT doc_id, unnest([i, i + 1, i + 2]) AS place FROM (SELECT *, count(*) OVER (PARTITION BY doc_id, gram) AS n FROM f) WHERE n > 1),
+        c AS (SELECT doc_id, count(DISTINCT place) AS n FROM r GROUP BY doc_id)
+        SELECT w.doc_id, len(ws), CAST(coalesce(list_sum(list_transform(ws, lambda x: length(x))), 0) AS BIGINT), length(regexp_replace(text, '[^#*$%&|<>]', '', 'g')),
+               len(ls) - len(list_distinct(ls)), coalesce(c.n, 0) FROM w LEFT JOIN c USING (doc_id)""").fetchall()
+    labels = spark.read.parquet(f"{SMALL}/labels.parquet")
+    got = I.judge(documents(spark), I.Judge(*I.labelled_statistics(documents(spark), labels))).select("doc_id", *I.BASE).collect()
+    assert sorted(map(tuple, got)) == sorted(want)
+
+
+def test_paths_of_a_small_forest():
+    """Depths by a walk of each tree, node by node."""
+    rng = np.random.default_rng(3)
+    rows = rng.normal(size=(60, 3))
+    forest = I.IsolationForest(rows, trees=7, tree_rows=20, seed=1)
+    seen = np.vstack([rows[:10], [[9.0, 9, 9], [-50, 0, 0]]])
+    got = forest.scores(seen)
+    for row, score in zip(seen, got, strict=True):
+        depths = []
+        for feature, cut, left, path in forest.trees:
+            at, depth = 0, 0
+            while feature[at] >= 0:
+                at, depth = left[at] + int(row[feature[at]] > cut[at]), depth + 1
+            assert path[at] >= depth
+            depths.append(path[at])
+        assert abs(score - 2 ** (-np.mean(depths) / I._mean_path(20))) < 1e-12
+    assert got[-1] > np.median(got[:10]) and got[-2] > np.median(got[:10])
+
+
+def test_rules_take_any_ids(spark):
+    docs = spark.createDataFrame([("a", "word " * 60), ("b", None), (None, "x")], "doc_id string, text string")
+    labels = spark.createDataFrame([("a", 1), ("b", 0)], "doc_id string, quality int")
+    got = I.judge(docs, I.Judge(*I.labelled_statistics(docs, labels))).collect()
+    assert {r["doc_id"] for r in got} == {"a", "b", None}
+
+
 def test_forest_keeps_good_rows(spark):
     sf = "/root/testdata/sf0.01"
     rows = I.op4_isolation_rules(spark, sf).join(spark.read.parquet(f"{sf}/labels.parquet"), "doc_id").filter("not base_failed").collect()
@@ -518,6 +625,17 @@ def test_shards(spark):
     same = spark.createDataFrame([(k, "same text") for k in range(400)], DOCS)
     assert {r["count"] for r in SS.shard(same, 4).groupBy("shard").count().collect()} == {100}
     assert SS.shard(spark.createDataFrame([], DOCS)).count() == 0
+    names = spark.createDataFrame([("a", "x"), ("b", "x"), (None, None)], "doc_id string, text string")
+    assert SS.shard(names, 2).count() == 3
+    assert tuple(SS.torn_groups(SS.shard(same, 4)).first()) == (1, 1)
+
+
+def test_ranges_do_not_change_the_shards(spark):
+    """Boundaries inside one text, and ranges divided until none is overfull."""
+    rows = [(k, "same text" if k % 2 else f"text {k} " * (k % 7)) for k in range(600)]
+    df = spark.createDataFrame(rows, DOCS)
+    made = [sorted(map(tuple, SS.shard(df, 5, sample_keys=n, ranges=r).select("doc_id", "shard", "slot").collect())) for n, r in ((20, 2), (40, 30), (600, 100))]
+    assert made[0] == made[1] == made[2]
 
 
 # ---- decontamination
