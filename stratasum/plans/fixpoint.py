@@ -364,11 +364,11 @@ def reachable(arcs: DataFrame, base: DataFrame, strategy: str = "semi_naive", ro
     return (semi_naive if strategy == "semi_naive" else naive)(base, step, ["node"], rounds)[0]
 
 
-def closure(arcs: DataFrame, rounds: int | None = None) -> DataFrame:
+def closure(arcs: DataFrame, rounds: int | None = None, strategy: str = "semi_naive") -> DataFrame:
     """src, dst of every path: the unbound recursion that a bound argument avoids."""
     base = arcs.select("src", "dst")
 
     def step(delta: DataFrame) -> DataFrame:
         return delta.alias("d").join(arcs.alias("a"), F.col("d.dst") == F.col("a.src")).select(F.col("d.src").alias("src"), F.col("a.dst").alias("dst"))
 
-    return semi_naive(base, step, ["src", "dst"], rounds)[0]
+    return (semi_naive if strategy == "semi_naive" else naive)(base, step, ["src", "dst"], rounds)[0]
