@@ -38,6 +38,8 @@ WORDS_KEPT = 200_000
 STEPS_KEPT = 400_000
 #: States are told apart below a trie node by at most so many tokens; above that, by name.
 FEW = 24
+#: Arcs that are known without a replay; steps need them only when they are made.
+ARCS_KEPT = 100_000
 #: Below this code point the pattern's classes are the same in all versions of Unicode that are in use.
 SETTLED = 0x530
 
@@ -75,7 +77,7 @@ class TokenAutomaton:
                 self.below[node] = None
             else:
                 self.below[node] = tuple(chain.from_iterable(found))
-        self._arcs: dict[tuple[int, int], bool] = {}
+        self._arcs: dict[int, bool] = {}
         self._reset()
 
     def _reset(self) -> None:
@@ -91,12 +93,13 @@ class TokenAutomaton:
         """Whether the state reached by token `state` (-1: the start) has the arc `label` after all gadgets."""
         if state < 0:
             return True
-        known = self._arcs.get((state, label))
+        key = state << 32 | label
+        known = self._arcs.get(key)
         if known is None:
             known = self._replay(state, label)
-            if len(self._arcs) >= STEPS_KEPT:
+            if len(self._arcs) >= ARCS_KEPT:
                 self._arcs.clear()
-            self._arcs[state, label] = known
+            self._arcs[key] = known
         return known
 
     def _replay(self, state: int, label: int) -> bool:
