@@ -282,8 +282,8 @@ def _lloyd_tall(points: DataFrame, centres: DataFrame, steps: int, eps: float |
             own = nearest(watch("nearest", body.groupBy("point_id", "centre_id").agg(F.sum("sq").alias("d"))), pack)
         joined = watch("mean", points.join(watch("assigned", own, objective=F.sum("d")), "point_id"))
         if certify == "goal":
-            items = joined.select(F.struct("centre_id", "dim").alias("slot"), "point_id", "val", F.lit(1.0).alias("one"))
-            both = sums_at_count(items, "slot", ["point_id"], ["val", "one"], sizes["mean"])
+            items = joined.select(F.struct("centre_id", "dim").alias("slot"), "val", F.lit(1.0).alias("one"))
+            both = sums_at_count(items, "slot", ["val", "one"], sizes["mean"])
             means = both.select("slot.centre_id", "slot.dim", (F.col("val") / F.col("one")).alias("new"))
         else:
             means = joined.groupBy("centre_id", "dim").agg((F.sum(w * F.col("val")) / F.sum(w)).alias("new"))

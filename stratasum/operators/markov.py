@@ -10,12 +10,11 @@ checked size; `salted` deals the arcs of hub sources over several buckets and co
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
-from stratasum.operators.set_aggregates import MOST_PARTS
-from stratasum.plans.fixpoint import Certificate, FixpointResult, StagedFixpoint, StopRule, Watch, converged, max_steps, shared_count
-from stratasum.plans.materialize import keep, keep_counted, place_by
+from stratasum.plans.fixpoint import Certificate, CertificateBroken, FixpointResult, StagedFixpoint, StopRule, Watch, converged, max_steps, shared_count
+from stratasum.plans.materialize import keep, keep_counted, observed, place_by
 
 START, STEPS, SALTS = 100_000.0, 1000, 8
 #: Rows of a state that may be broadcast.
@@ -96,35 +95,23 @@ class Chain:
         return body.groupBy(F.col("dst").alias("node")).agg(F.sum("flow").alias("mass"))
 
 
-def sums_at_count(body: DataFrame, by: str, order: list[str], values: list[str], certificate: Certificate, watch: Watch | None = None) -> DataFrame:
+def sums_at_count(body: DataFrame, by: str, values: list[str], certificate: Certificate, watch: Watch | None = None) -> DataFrame:
     """by and the sum of each value: the goal form of grouped sums, with one counter for the whole body.
 
-    The body is range-partitioned by group and order. Each part counts and sums on its own, from what the
-    parts before it hold (a row a part, broadcast), so no part of it passes through a single task. The
-    total of a group is its running sum at its largest counter, and is given only if the counter of the
-    whole body ends at the certified size; else the plan raises.
+    The counter runs through the parts of the body, one after the other. Each part makes its running sums
+    and counts on its own (Spark's partial aggregate); of its facts only the last of each group are
+    needed, since sums and counters go on from part to part. So a hub is no single task's, and where the
+    counter ends is known when the sums are written. They are given if it ends at the certified size.
     """
-    parts = min(int(body.sparkSession.conf.get("spark.sql.shuffle.partitions")), MOST_PARTS)
-    dealt = keep(body.select(by, *order, *values).repartitionByRange(parts, by, *order).withColumn("__part", F.spark_partition_id()))
-    sizes = dealt.groupBy("__part").agg(F.count(F.lit(1)).alias("__n"), F.min(by).alias("__first"))
-    before = Window.orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)  # a row a part: MOST_PARTS at most
-    size = F.sum("__n").over(Window.orderBy("__part").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))
-    offsets = sizes.select("__part", "__first", F.coalesce(F.sum("__n").over(before), F.lit(0)).alias("__n0"), size.alias("__size"))
-    # a group that goes on in a part is its first one
-    firsts = F.broadcast(offsets.select(F.col("__first").alias(by)).distinct())
-    carried = dealt.join(firsts, by).groupBy("__part", by).agg(*[F.sum(v).alias(f"__sum_{v}") for v in values])
-    earlier = Window.partitionBy(by).orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)
-    carried = carried.select("__part", by, *[F.sum(f"__sum_{v}").over(earlier).alias(f"__acc_{v}") for v in values])
-    inside = Window.partitionBy("__part", by).orderBy(*order).rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    counted = dealt if watch is None else watch(certificate.name, dealt)
-    counted = counted.join(F.broadcast(offsets.drop("__first")), "__part").join(F.broadcast(carried), ["__part", by], "left")
-    counter = F.col("__n0") + F.row_number().over(Window.partitionBy("__part").orderBy(by, *order))
-    running = [(F.coalesce(F.col(f"__acc_{v}"), F.lit(0.0)) + F.sum(v).over(inside)).alias(v) for v in values]
-    facts = counted.select(by, counter.alias("__counter"), F.struct(*running).alias("__running"), "__size")
-    last = facts.groupBy(by).agg(F.max_by("__running", "__counter").alias("__total"), F.max("__size").alias("__size"))
-    broken = F.raise_error(F.concat(F.lit(f"{certificate.name} has "), F.col("__size").cast("string"), F.lit(f" rows, not {certificate.n}")))
-    checked = last.select(by, F.when(F.col("__size") == certificate.n, F.col("__total")).otherwise(broken).alias("__total"))
-    return checked.select(by, *[F.col("__total")[v].alias(v) for v in values])
+    if watch is not None:
+        body = watch(certificate.name, body)
+    seen = Observation()
+    last = body.groupBy(by).agg(*[F.sum(v).alias(v) for v in values], F.count(F.lit(1)).alias("__n"))
+    kept = keep(last.observe(seen, F.sum("__n").alias("size")))
+    size = int(observed(seen).get("size") or 0)
+    if size != certificate.n:
+        raise CertificateBroken(f"{certificate.name} has {size} rows, not {certificate.n}")
+    return kept.drop("__n")
 
 
 def markov(
@@ -158,7 +145,7 @@ def markov(
 
     def advance(state: DataFrame, watch: Watch) -> DataFrame:
         if certify == "goal":
-            return sums_at_count(chain.body(state), "dst", ["src"], ["flow"], certificates["flow"], watch).select(F.col("dst").alias("node"), F.col("flow").alias("mass"))
+            return sums_at_count(chain.body(state), "dst", ["flow"], certificates["flow"], watch).select(F.col("dst").alias("node"), F.col("flow").alias("mass"))
         return Chain.gather(watch("flow", chain.body(state)))
 
     return StagedFixpoint(seed, advance, ["node"], ["mass"], rule, measure, retain, certify, certificates).run()
