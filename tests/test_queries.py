@@ -79,3 +79,20 @@ def test_table_function_over_all_suppliers(spark, tmp_path):
     spark.createDataFrame([(k, c / 100) for k, c in enumerate(cents, 1)], "s_suppkey bigint, s_acctbal double").repartition(3).write.parquet(f"{tmp_path}/supplier.parquet")
     got = relational.QUERIES["udtf_running"](spark, str(tmp_path)).collect()
     assert sorted((r["counter"], r["running"]) for r in got) == [(n, sum(cents[:n])) for n in range(1, 301)]
+
+
+def test_lloyd_past_the_steps_of_its_sql(spark, duck, tmp_path):
+    """Points on a line with all seeds at one end: 57 steps, while the SQL has 40; the fixed point is another query."""
+    spark.createDataFrame([(k, k, 900.0) for k in range(1, 101)], "p_partkey bigint, p_size int, p_retailprice double").coalesce(1).write.parquet(f"{tmp_path}/part.parquet")
+    con = duckdb.connect()
+    con.execute(f"create view part as select * from '{tmp_path}/part.parquet/*.parquet'")
+
+    def rows(name):
+        got = methods.QUERIES[name](spark, str(tmp_path))
+        return canon([tuple(r) for r in got.collect()], got.columns)
+
+    want = lambda n: con.sql(methods._lloyd_sql(n, f"SELECT c AS centre_id, 0 AS dim, round(x, 6) AS val FROM c{n} UNION ALL SELECT c, 1, round(y, 6) FROM c{n}"))
+    at_40, at_end = (canon(w.fetchall(), w.columns) for w in (con.sql(methods.ORACLES["lloyd_converged_part"]), want(60)))
+    assert at_40 != at_end
+    assert rows("lloyd_converged_part") == at_40
+    assert rows("lloyd_fixed_point_part") == at_end
