@@ -27,7 +27,7 @@ from __future__ import annotations
 
 import math
 import re
-from collections.abc import Iterator
+from collections.abc import Collection, Iterator
 from itertools import repeat
 
 import numpy as np
@@ -41,11 +41,25 @@ SIMILARITY = 0.5
 MATCH, REPLACED, GAP = 2, -1, -1
 #: Bytes of the items that are indexed and broadcast at once.
 BLOCK_BYTES = 16 << 20
+#: Items times words of a text that are tested at once.
+CELLS = 1 << 20
 WORD = re.compile(r"[^\W_]+")
+#: Bytes of UTF-8 to themselves, those of ASCII that are in no word to spaces.
+SPACES = bytes(b if b > 127 or chr(b).isalnum() else 32 for b in range(256))
+#: Distinct characters beyond ASCII that are replaced one by one; texts with more are searched.
+FEW_SYMBOLS = 16
 
 
 def words_of(text: str | None) -> list[str]:
-    return WORD.findall((text or "").lower())
+    """The runs of letters and digits in lower case, as WORD finds them; cutting at spaces is quicker."""
+    text = (text or "").lower()
+    if not text.isascii():
+        symbols = [c for c in set(text) if c > "\x7f" and not c.isalnum()]
+        if len(symbols) > FEW_SYMBOLS:
+            return WORD.findall(text)
+        for c in symbols:
+            text = text.replace(c, " ")
+    return text.encode("utf-8", "surrogatepass").translate(SPACES).decode("utf-8", "surrogatepass").split()
 
 
 def align(item: np.ndarray, passage: np.ndarray) -> tuple[float, int, int]:
@@ -85,9 +99,10 @@ class ItemIndex:
         self.words = np.concatenate(self.items) if self.items else np.empty(0, np.int64)
         self.start = np.cumsum(self.length) - self.length
         self.of_text, self.of_item = np.zeros((2, len(self.vocabulary) + 1), bool)
+        self.place = np.zeros(len(self.vocabulary) + 1, np.int64)
 
-    def numbers(self, words: list[str]) -> np.ndarray:
-        """The word numbers of a text (0: not in the vocabulary)."""
+    def numbers(self, words: Collection[str]) -> np.ndarray:
+        """The word numbers of a text, or of its distinct words (0: not in the vocabulary)."""
         return np.fromiter(map(self.vocabulary.get, words, repeat(0)), np.int64, len(words))
 
     def keep_rare(self, count: dict[int, int], similarity: float = SIMILARITY) -> None:
@@ -102,7 +117,9 @@ class ItemIndex:
 
     def candidates(self, present: np.ndarray, similarity: float) -> tuple[np.ndarray, np.ndarray]:
         """Items with a seed among the distinct word numbers of a text, and enough words in it; how many seeds each has."""
-        items, n_seeds = np.unique(self.seeded[_ranges(self.first[present], self.first[present + 1] - self.first[present])], return_counts=True)
+        seeds = np.bincount(self.seeded[_ranges(self.first[present], self.first[present + 1] - self.first[present])])
+        items = np.flatnonzero(seeds)
+        n_seeds = seeds[items]
         if not len(items):
             return items, n_seeds
         length = self.length[items]
@@ -119,9 +136,11 @@ class ItemIndex:
         if not len(at):
             return []
         known = own[at]
-        present = np.unique(known)
+        self.of_text[known] = True
+        present = np.flatnonzero(self.of_text)
+        self.of_text[present] = False
         out = []
-        for i, n_seeds in zip(*(x.tolist() for x in self.candidates(present, similarity)), strict=True):
+        for i, n_seeds in self._reaching(at, known, present, *self.candidates(present, similarity), similarity):
             item = self.items[i]
             best = (0.0, 0, 0)
             for a, b in self._passages(at, known, item, MATCH * similarity * len(item) - 1e-9):
@@ -133,6 +152,29 @@ class ItemIndex:
                     break
         return out
 
+    def _reaching(self, at: np.ndarray, known: np.ndarray, present: np.ndarray, items: np.ndarray, n_seeds: np.ndarray, similarity: float) -> Iterator[tuple[int, int]]:
+        """The candidates for which `_passages` finds any, with their seeds: its first test, for many items at once."""
+        loss = -max(REPLACED, GAP)
+        apart = 2 * (MATCH + loss) * len(known) + loss * int(at[-1]) + 1  # more than the sums of two items differ by
+        self.place[present] = np.arange(len(present))
+        column = self.place[known]
+        many = max(1, CELLS // len(known))
+        for first in range(0, len(items), many):
+            some = items[first : first + many]
+            length = self.length[some]
+            words = self.words[_ranges(self.start[some], length)]
+            self.of_text[present] = True
+            held = self.of_text[words]
+            self.of_text[present] = False
+            has = np.zeros((len(some), len(present)), bool)
+            has[np.repeat(np.arange(len(some)), length)[held], self.place[words[held]]] = True
+            row, k = np.divmod(np.flatnonzero(has[:, column]), len(column))  # the words of each item in the text, item by item; each has a seed there
+            before = (MATCH + loss) * np.arange(len(row)) - loss * at[k] - apart * row  # below those of earlier items, so that minima begin anew
+            ending = before + MATCH - np.minimum.accumulate(before)
+            best = np.maximum.reduceat(ending, np.searchsorted(row, np.arange(len(some))))
+            for j in np.flatnonzero(best >= MATCH * similarity * length - 1e-9).tolist():
+                yield int(some[j]), int(n_seeds[first + j])
+
     def _passages(self, at: np.ndarray, known: np.ndarray, item: np.ndarray, need: float) -> list[tuple[int, int]]:
         """The parts of a text, given as places and numbers of its known words, that hold every passage whose alignment may score `need`."""
         self.of_item[item] = True
@@ -176,7 +218,7 @@ def word_counts(docs: DataFrame, shared) -> DataFrame:
             total = np.zeros(len(index.vocabulary) + 1, np.int64)
             for text in part.column("text").to_pylist():
                 if text:
-                    total[np.unique(index.numbers(words_of(text)))] += 1
+                    total[index.numbers(set(words_of(text)))] += 1
             total[0] = 0
             k = np.flatnonzero(total)
             return pa.RecordBatch.from_arrays([pa.array(k), pa.array(total[k])], ["word", "n"])
