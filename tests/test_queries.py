@@ -98,7 +98,7 @@ def test_lloyd_past_the_steps_of_its_sql(spark, duck, tmp_path):
     assert rows("lloyd_fixed_point_part") == at_end
 
 
-@pytest.mark.parametrize("name,tables", [("sub_recursive_cte", "part")])
+@pytest.mark.parametrize("name,tables", [("measure_strata", "part lineitem orders customer supplier"), ("sub_recursive_cte", "part")])
 def test_results_come_from_the_given_tables(spark, small, tmp_path, name, tables):
     """Fewer rows of the tables give another result, the same as SQL over them."""
     queries, oracles = {**methods.QUERIES, **relational.QUERIES}, {**methods.ORACLES, **relational.ORACLES}
